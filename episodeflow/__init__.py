@@ -1,0 +1 @@
+"""Frequent episodes in timed event streams, as DataFrame plans."""
