@@ -716,7 +716,7 @@ def json_props_types(spark: SparkSession, sf_dir: str) -> DataFrame:
 def udtf_occurrences(spark: SparkSession, sf_dir: str) -> DataFrame:
     udfs.register(spark)
     T.user_events(spark, sf_dir).createOrReplaceTempView("episode_stream")
-    return spark.sql(f"SELECT ep_id, sum(freq) AS freq FROM episode_occurrences(TABLE(episode_stream) PARTITION BY stream ORDER BY t, eid, 'click>purchase', 0, {6 * HOUR}) GROUP BY ep_id")
+    return spark.sql(f"SELECT ep_id, sum(freq) AS freq FROM episode_occurrences(TABLE(episode_stream) PARTITION BY stream ORDER BY (t, eid), 'click>purchase', 0, {6 * HOUR}) GROUP BY ep_id")
 
 
 @query("WITH RECURSIVE s AS MATERIALIZED (SELECT event_type AS etype, user_id AS u, epoch_us(ts) AS t FROM events), k(etype, u, t) AS (SELECT etype, u, min(t) FROM s GROUP BY ALL UNION ALL SELECT k.etype, k.u, min(s.t) FROM k JOIN s ON s.etype = k.etype AND s.u = k.u AND s.t - k.t >= 7200000000 GROUP BY k.etype, k.u) SELECT etype, count(*) AS kept FROM k GROUP BY etype")

@@ -56,7 +56,7 @@ EVERY, JITTER_US, KEEP_FROM = 40, 1_000_000, 5
 def overlay(spark: SparkSession, sf_dir: str, u: int, seed: int = 0) -> DataFrame:
     """The channel stream with a pattern planted at every 40th event: unequal delays, jitter, 95 % transmission."""
     base = channels(spark, sf_dir)
-    nodes = F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(c).alias("c"), F.lit(d).alias("d")) for i, c, d in PLANTED]))
+    nodes = F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(c).alias("c"), F.lit(d).cast("long").alias("d")) for i, c, d in PLANTED]))
     j = F.expr(f"eid div {EVERY}")
     rows = base.where(F.col("eid") % EVERY == 0).withColumn("j", j).withColumn("n", nodes).select("*", "n.*")
     rows = rows.where((F.col("j") * 37 + F.col("i") * 11 + seed) % 100 >= KEEP_FROM)
