@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import held_out, record, slices
+from .common import enter, held_out, record, slices
 
 FILTERS, WIDTH, CHUNK = 16, 4, 256
 SAMPLE, BYTES, PASSES, STEPS, BATCH, RATE = 1500, 3 << 20, 6, 150, 64, 0.01
@@ -36,8 +36,10 @@ def chunked(data: np.ndarray, bounds: np.ndarray, chunk: int = CHUNK, width: int
     first = np.cumsum(many) - many
     start = bounds[:-1][of] + (np.arange(len(of)) - first[of]) * chunk
     at = start[:, None] + np.arange(chunk + width - 1)
-    codes = np.where(at < bounds[1:][of][:, None], data[np.minimum(at, max(0, len(data) - 1))] if len(data) else 0, PAD)
-    return codes.astype(np.int32), of
+    codes = np.full(at.shape, PAD, np.int32)  # PAD is no byte
+    inside = at < bounds[1:][of][:, None]
+    codes[inside] = data[at[inside]]
+    return codes, of
 
 
 class Network:
@@ -150,6 +152,7 @@ def score(docs: DataFrame, net: Network, threshold: float = 0.7) -> DataFrame:
     schema = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("score", pa.float64()), ("predicted", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("quality")
         net = sent.value
         for batch in slices(batches, most=1 << 20):
             column = batch.column(2)
