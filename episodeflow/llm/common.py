@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -45,6 +48,22 @@ def texts(docs: DataFrame, *more: str) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)
 
 
+#: What to call to let go of what a worker process remembers between tasks.
+CACHES: list = []
+_last: list[str] = [""]
+
+
+def enter(operator: str) -> None:
+    """Called by an operator's Python code: what another operator left in this (reused) worker process is let go."""
+    if _last[0] != operator:
+        _last[0] = operator
+        for clear in CACHES:
+            clear()
+        gc.collect()
+        with contextlib.suppress(OSError, AttributeError):
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about `most` bytes of text (a longer text: alone), which bounds a worker's memory."""
     for batch in batches:

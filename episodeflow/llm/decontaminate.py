@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ragged, record, slices, texts
+from .common import enter, ragged, record, slices, texts
 
 #: The masks, 1 = compared.
 MASKS = ("111010010111", "110110101011", "101101110110", "111111110000")
@@ -151,6 +151,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, shar
         sent = spark.sparkContext.broadcast(Items([tuple(r) for r in block.collect()], masks))
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            enter("seeds")
             items = sent.value
             for batch in slices(batches, most=2 << 20):
                 column = batch.column(1)

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import held_out, record, slices
+from .common import enter, held_out, record, slices
 
 SAMPLE, CONTENT, CHUNK, MARGIN, LEVEL = 1200, 400 << 10, 4096, 0.02, 6
 _NO_LETTERS = re.compile(r"[\W\d_]+")
@@ -36,11 +36,14 @@ def normal(text: str) -> bytes:
 
 def fit(docs: DataFrame, sample: int = SAMPLE, content: int = CONTENT) -> dict[str, bytes]:
     """A dictionary's content for each language of the rows that aren't held out."""
-    rows = docs.where("lang is not null and lang <> '' and text is not null").where(~held_out("doc_id")).select("lang", "doc_id", F.xxhash64("doc_id").alias("_h"), "text")
-    few = rows.withColumn("_k", F.row_number().over(W.partitionBy("lang").orderBy("_h", "doc_id"))).where(F.col("_k") <= sample)
+    known = docs.where("lang is not null and lang <> '' and doc_id is not null").where(~held_out("doc_id"))
+    ids = known.select("lang", F.col("doc_id").cast("long").alias("doc_id")).distinct()  # chosen without their texts
+    chosen = ids.withColumn("_k", F.row_number().over(W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))).where(F.col("_k") <= sample)
+    few = known.select("lang", F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(chosen), ["lang", "doc_id"]).where("text is not null")
     share = 4 * content // sample  # characters of each text of the sample
     out: dict[str, list[bytes]] = {}
-    for r in few.select("lang", "_k", F.substring("text", 1, share).alias("text")).orderBy("lang", "_k").collect():
+    one = few.groupBy("lang", "_k").agg(F.min(F.substring("text", 1, share)).alias("text"))  # a doc_id may repeat
+    for r in one.orderBy("lang", "_k").collect():
         out.setdefault(r["lang"], []).append(normal(r["text"]))
     return {k: b" ".join(v)[:content] for k, v in sorted(out.items())}
 
@@ -78,6 +81,7 @@ def identify(docs: DataFrame, contents: dict[str, bytes] | None = None, margin:
     schema = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred", pa.string()), ("score", pa.float64()), ("margin", pa.float64()), ("rejected", pa.bool_())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("language")
         judge = Judge(sent.value)
         for batch in slices(batches):
             said = [judge(t) for t in batch.column(2).to_pylist()]
@@ -95,6 +99,7 @@ def known_language(docs: DataFrame, margin: float = MARGIN) -> DataFrame:
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("language")
         judge = Judge(sent.value)
         for batch in slices(batches):
             said = [judge(t) for t in batch.column(at).to_pylist()]

@@ -23,8 +23,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import materialise, record, slices, texts
-from .tokens import encoder
+from .common import enter, materialise, record, slices, texts
+from .tokens import MOST_PIECES, encoder
 
 LIMIT = 1024
 #: (share of the sequence up to which a piece is small, groups): the plan with the fewest sequences is taken.
@@ -167,38 +167,56 @@ def best_plan(counts: dict[int, int], limit: int = LIMIT, schemes: tuple = SCHEM
     return min((Plan(counts, limit, small, groups) for small, groups in schemes), key=lambda p: p.sequences)
 
 
-def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT) -> DataFrame:
-    """(doc_id, piece, start, length, ids_crc32) of whole texts."""
-    schema = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())])
+def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT, remembered: int = MOST_PIECES, batch_bytes: int = 4 << 20) -> DataFrame:
+    """(doc_id, piece, start, length, ids_crc32, row) of whole texts; row numbers the pieces, from the task up.
+
+    remembered and batch_bytes trade a worker's memory for its speed.
+    """
+    schema = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("row", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, end = encoder(tokenizer), np.array([end_id], np.uint32)
-        for batch in slices(batches):
-            out: list[list] = [[], [], [], [], []]
-            for d, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = np.concatenate([enc.encode(t), end]).astype("<u4")
-                cuts = [0, *range(len(ids) % limit or limit, len(ids) + 1, limit)]
-                for k, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False)):
-                    for column, value in zip(out, (d, k, a, b - a, zlib.crc32(ids[a:b])), strict=True):
-                        column.append(value)
+        from pyspark import TaskContext
+
+        enter("ids")
+        row = TaskContext.get().partitionId() << 40
+        enc, end = encoder(tokenizer, remembered), np.array([end_id], "<u4").tobytes()
+        for batch in slices(batches, most=batch_bytes):
+            flat, lengths = enc.encode_all(batch.column(1).to_pylist())
+            ids = memoryview(flat.astype("<u4", copy=False)).cast("B")
+            names, numbers, starts, sizes, crcs = [], [], [], [], []
+            e = 0
+            for d, n in zip(batch.column(0).to_pylist(), lengths.tolist(), strict=True):
+                s, e, total = e, e + n, n + 1
+                a = 0
+                for k, b in enumerate(range(total % limit or limit, total + 1, limit)):
+                    crc = zlib.crc32(ids[4 * (s + a) : 4 * min(s + b, e)])
+                    names.append(d)
+                    numbers.append(k)
+                    starts.append(a)
+                    sizes.append(b - a)
+                    crcs.append(zlib.crc32(end, crc) if b == total else crc)
+                    a = b
+            rows = np.arange(row, row + len(names))
+            row += len(names)
+            out = [names, numbers, starts, sizes, crcs, rows]
             yield record(schema, *out)
 
-    return texts(docs).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return texts(docs).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, row long")
 
 
-def pack(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT, schemes: tuple = SCHEMES) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT, schemes: tuple = SCHEMES, **memory: int) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32, sequence_id, offset) of every piece."""
     spark = docs.sparkSession
-    cut = materialise(pieces(docs, tokenizer, end_id, limit), "pieces")
+    cut = materialise(pieces(docs, tokenizer, end_id, limit, **memory), "pieces")
     buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    cut = cut.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(buckets)).cast("int"))
+    cut = cut.withColumn("bucket", F.pmod(F.xxhash64("row"), F.lit(buckets)).cast("int"))
     sizes = materialise(cut.groupBy("length", "bucket").agg(F.count("*").alias("n")), "lengths")
     plan = best_plan({r[0]: r[1] for r in sizes.groupBy("length").agg(F.sum("n")).collect()}, limit, schemes)
     before = sizes.select("length", "bucket", F.coalesce(F.sum("n").over(W.partitionBy("length").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("before"))
     kinds = T.StructType([T.StructField(n, T.LongType()) for n in ("p_length", "rank_from", "n", "sequence_from", "each", "base")])
     rows = spark.createDataFrame(plan.rows, kinds)
-    ranked = cut.withColumn("_k", F.row_number().over(W.partitionBy("length", "bucket").orderBy("doc_id", "piece", "ids_crc32")) - 1)
-    ranked = ranked.join(before, ["length", "bucket"]).withColumn("_rank", F.col("before") + F.col("_k"))
+    ranked = cut.withColumn("_k", F.row_number().over(W.partitionBy("length", "bucket").orderBy("row")) - 1)
+    ranked = ranked.join(before.hint("merge"), ["length", "bucket"]).withColumn("_rank", F.col("before") + F.col("_k"))
     placed = ranked.join(F.broadcast(rows), (F.col("length") == F.col("p_length")) & (F.col("_rank") >= F.col("rank_from")) & (F.col("_rank") < F.col("rank_from") + F.col("n")))
     inside = F.col("_rank") - F.col("rank_from")
     return placed.select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("sequence_from") + F.floor(inside / F.col("each"))).cast("long").alias("sequence_id"), (F.col("base") + (inside % F.col("each")) * F.col("length")).cast("long").alias("offset"))

@@ -23,27 +23,38 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import new_path, ragged, record, slices, texts
+from .common import enter, new_path, ragged, record, slices, texts
 from .tokens import encoder
 
 HEAD = struct.Struct("<4sIIIIII")
 MAGIC, VERSION = b"PAIR", 1
 SHARD_TOKENS = 1 << 20
 ROUNDS, ROUND_RULES, MIN_PAIR = 6, 4096, 16
+BITS = 20
+
+
+def _slots(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """A hash of BITS bits for each pair."""
+    return (a * np.uint32(2654435761) + b * np.uint32(2246822519)) >> np.uint32(32 - BITS)
 
 
 def compress(ids: np.ndarray, first: int, rounds: int = ROUNDS, round_rules: int = ROUND_RULES, min_pair: int = MIN_PAIR) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Rules (two columns), their expansion lengths, and the sequence. Symbols below `first` are ids."""
-    seq = ids.astype(np.int64)
+    seq = ids.astype(np.uint32)
     rules, lengths = [np.empty((0, 2), np.uint32)], [np.empty(0, np.uint32)]
     made, size = 0, np.ones(first, np.uint32)
+    table = np.empty(1 << BITS, np.int32)
     for _ in range(rounds):
         if len(seq) < 2 * min_pair:
             break
-        keys = (seq[:-1] << 32) | seq[1:]
-        slot = (keys ^ (keys >> 29) * 0x9E3779B1) & 0xFFFFF
-        warm = np.bincount(slot, minlength=1 << 20) >= min_pair  # a pair this frequent has a slot this full
-        found, counts = np.unique(keys[warm[slot]], return_counts=True)
+        slot = _slots(seq[:-1], seq[1:])
+        fill = np.bincount(slot, minlength=1 << BITS)
+        # A pair's slot is at least as full as the pair is frequent: the fullest slots hold the most frequent pairs.
+        fuller = np.append(np.cumsum(np.bincount(fill)[::-1])[::-1], 0)  # how many slots are at least this full
+        least = max(min_pair, int(np.argmax(fuller <= 2 * round_rules)) - 1)
+        at = np.flatnonzero((fill >= least)[slot])
+        keys = (seq[at].astype(np.int64) << 32) | seq[at + 1]
+        found, counts = np.unique(keys, return_counts=True)
         enough = counts >= min_pair
         found, counts = found[enough], counts[enough]
         if not len(found):
@@ -51,14 +62,22 @@ def compress(ids: np.ndarray, first: int, rounds: int = ROUNDS, round_rules: int
         if len(found) > round_rules:
             keep = np.lexsort((found, -counts))[:round_rules]
             found = np.sort(found[keep])
-        at = np.minimum(np.searchsorted(found, keys), len(found) - 1)
-        hits = np.flatnonzero(found[at] == keys)
+        own = _slots((found >> 32).astype(np.uint32), found.astype(np.uint32))
+        table[own] = np.arange(len(found))  # of pairs that share a slot one stays, the others wait for the next round
+        found = found[table[own] == np.arange(len(found))]
+        table[:] = -1
+        table[_slots((found >> 32).astype(np.uint32), found.astype(np.uint32))] = np.arange(len(found))
+        rule = table[slot[at]]
+        fits = (rule >= 0) & (found[rule] == keys)
+        hits, rule = at[fits], rule[fits]
         opens = np.flatnonzero(np.diff(hits, prepend=-2) != 1)  # of runs of overlapping hits every second one counts
         inside = np.arange(len(hits)) - np.repeat(opens, np.diff(opens, append=len(hits)))
-        hits = hits[inside % 2 == 0]
+        hits, rule = hits[inside % 2 == 0], rule[inside % 2 == 0]
         pair = np.stack([found >> 32, found & 0xFFFFFFFF], axis=1).astype(np.uint32)
-        seq[hits] = first + made + at[hits]
-        seq = np.delete(seq, hits + 1)
+        seq[hits] = (first + made + rule).astype(np.uint32)
+        stays = np.ones(len(seq), bool)
+        stays[hits + 1] = False
+        seq = seq[stays]
         rules.append(pair)
         lengths.append(size[pair[:, 0]] + size[pair[:, 1]])
         size = np.concatenate([size, lengths[-1]])
@@ -149,32 +168,37 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str = "byte_bpe_50k.json
     schema = pa.schema([("part", pa.int32()), ("shard", pa.int32()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("payload", pa.binary())])
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("ids")
         from pyspark import TaskContext
 
         part, enc, end, shard = TaskContext.get().partitionId(), encoder(tokenizer), np.array([end_id], np.uint32), 0
-        names, arrays, held = [], [], 0
+        names, lengths, arrays, held = [], [], [], 0
 
         def flush() -> pa.RecordBatch:
-            nonlocal names, arrays, held, shard
-            lengths, ids = np.array([len(a) for a in arrays], np.uint32), np.concatenate(arrays)
-            out = record(schema, [part], [shard], [len(names)], [len(ids)], [pack(names, lengths, ids)])
-            names, arrays, held, shard = [], [], 0, shard + 1
+            nonlocal names, lengths, arrays, held, shard
+            ids = np.concatenate(arrays)
+            out = record(schema, [part], [shard], [len(names)], [len(ids)], [pack(names, np.array(lengths, np.uint32), ids)])
+            names, lengths, arrays, held, shard = [], [], [], 0, shard + 1
             return out
 
         for batch in slices(batches):
-            for d, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = np.concatenate([enc.encode(t), end])
-                if held and held + len(ids) > shard_tokens:
+            flat, counts = enc.encode_all(batch.column(1).to_pylist())
+            e = 0
+            for d, n in zip(batch.column(0).to_pylist(), counts.tolist(), strict=True):
+                s, e = e, e + n
+                if held and held + n + 1 > shard_tokens:
                     yield flush()
                 names.append(d)
-                arrays.append(ids)
-                held += len(ids)
+                lengths.append(n + 1)
+                arrays += (flat[s:e], end)
+                held += n + 1
         if held:
             yield flush()
 
-    rows = texts(docs)
+    rows = texts(docs).withColumn("_h", F.xxhash64("text"))  # so that a doc_id which repeats can be split
     n = parts or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows.repartitionByRange(n, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first()).mapInArrow(encode, SHARDS).write.parquet(path)
+    order = [F.col("doc_id").asc_nulls_first(), F.col("_h").asc()]
+    rows.repartitionByRange(n, *order).sortWithinPartitions(*order).select("doc_id", "text").mapInArrow(encode, SHARDS).write.parquet(path)
 
 
 def read_shards(spark: SparkSession, path: str) -> DataFrame:

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, ragged, record, slices, texts
+from .common import enter, materialise, ragged, record, slices, texts
 from .components import components
 
 SHINGLE, DISTANCE, SEED = 3, 3, 42
@@ -52,6 +52,7 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     schema = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("simhash")
         for batch in slices(batches):
             prints = np.array([fingerprint(t, shingle) for t in batch.column(1).to_pylist()], np.uint64)
             yield record(schema, batch.column(0), prints.view(np.int64))
@@ -138,6 +139,7 @@ def links(prints: DataFrame, distance: int = DISTANCE) -> DataFrame:
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("simhash")
         held: list[tuple[np.ndarray, ...]] = []
 
         def out(parts: list) -> pa.RecordBatch:

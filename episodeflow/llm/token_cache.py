@@ -22,11 +22,12 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import new_path, record, slices, texts
+from .common import enter, materialise, new_path, record, slices, texts
 from .tokens import encoder
 
 CACHE = "digest binary, tokenizer string, n_tokens long"
 SEEN = 200_000
+ENCODE_CHARS = 2_000_000
 
 
 def tokenizer_digest(name: str) -> str:
@@ -54,8 +55,7 @@ def count_tokens(name: str, texts_: list[str]) -> list[int]:
 
             _models[name] = sentencepiece.SentencePieceProcessor(model_file=name if os.path.exists(name) else public_tokenizers.path(name))
         return [len(ids) for ids in _models[name].encode(texts_, num_threads=1)] if texts_ else []
-    enc = encoder(name)
-    return [enc.count(t) for t in texts_]
+    return encoder(name).encode_all(texts_)[1].tolist()
 
 
 def _once(docs: DataFrame) -> DataFrame:
@@ -63,6 +63,7 @@ def _once(docs: DataFrame) -> DataFrame:
     schema = pa.schema([("digest", pa.binary()), ("packed", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("ids")
         seen: set[bytes] = set()
         press = zstandard.ZstdCompressor(level=1)
         for batch in slices(batches):
@@ -84,6 +85,7 @@ def _encoded(packed: DataFrame, tokenizer: str) -> DataFrame:
     schema = pa.schema([("digest", pa.binary()), ("n_tokens", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("ids")
         last, open_ = None, zstandard.ZstdDecompressor()
         for batch in batches:
             keys, rows = [], []
@@ -92,7 +94,14 @@ def _encoded(packed: DataFrame, tokenizer: str) -> DataFrame:
                     keys.append(d)
                     rows.append(p)
                     last = d
-            counts = [count_tokens(tokenizer, [open_.decompress(p.as_py()).decode("utf-8", "surrogatepass")])[0] for p in rows]
+            counts, held, size = [], [], 0
+            for p in rows:
+                held.append(open_.decompress(p.as_py()).decode("utf-8", "surrogatepass"))
+                size += len(held[-1])
+                if size >= ENCODE_CHARS:
+                    counts += count_tokens(tokenizer, held)
+                    held, size = [], 0
+            counts += count_tokens(tokenizer, held)
             yield record(schema, keys, np.array(counts, np.int64))
 
     n = int(packed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -120,5 +129,6 @@ def token_counts(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", cache: s
     new = _encoded(_once(missing), tokenizer).select("digest", F.lit(version).alias("tokenizer"), "n_tokens")
     new.write.mode("append").parquet(path)
     counted = spark.read.schema(CACHE).parquet(path).where(F.col("tokenizer") == version).groupBy("digest").agg(F.max("n_tokens").alias("n_tokens"))
+    counted = materialise(counted, "token-counts")  # an aggregate right below the join would keep Spark from splitting a hot digest
     sized = rows.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), "digest")
     return sized.join(counted, "digest").select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))

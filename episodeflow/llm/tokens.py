@@ -2,8 +2,8 @@
 
 A byte-level BPE never merges across its pre-tokens, and a single space or newline between two non-spaces always begins
 a pre-token. So a text may be cut there and its pieces encoded apart. Pieces repeat far more than texts do; each worker
-keeps the ids of up to `MOST_PIECES` of them, sends the new pieces of a text through the library as one string, and
-starts anew when it is full. Texts with two white-space characters in a row or a special token's string go through the
+remembers the ids of up to `MOST_PIECES` of them (and a batch more), sends the new pieces of a batch through the library
+as one string, and starts anew when it is full. Texts with two white-space characters in a row or a special token's string go through the
 library whole.
 """
 
@@ -15,99 +15,129 @@ import numpy as np
 import public_tokenizers
 from tokenizers import Tokenizer
 
-from .common import ragged
+from .common import CACHES, ragged
 
-MOST_PIECES = 700_000
+MOST_PIECES, MOST_IDS = 700_000, 6_000_000
 _RUN = re.compile(r"\s\s")
 #: Stands for a newline in a piece; texts that hold it go through the library whole.
 _LINE = "\x01"
 
 
+class _Numbers(dict):
+    """Numbers pieces as they come; new: those whose ids aren't known yet."""
+
+    def __init__(self):
+        super().__init__()
+        self.new: list[str] = []
+
+    def __missing__(self, piece: str) -> int:
+        self.new.append(piece)
+        k = self[piece] = len(self)
+        return k
+
+
 class PieceEncoder:
     def __init__(self, path: str, by_piece: bool):
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
         self.special = [t.content for t in self.library.get_added_tokens_decoder().values()]
+        self.most = MOST_PIECES
         self.newline = int(self.whole("\n")[0])
         self.by_piece = by_piece and len(self.whole("\n")) == 1
         self.clear()
 
     def clear(self) -> None:
         """Known pieces: what follows a space, or _LINE and what follows a newline (whose id then comes first)."""
-        self.known: dict[str, int] = {}
+        self.known = _Numbers()
         self.flat = np.zeros(1 << 20, np.uint32)
         self.start = np.zeros(1 << 18, np.int64)
         self.length = np.zeros(1 << 18, np.int64)
         self.used = 0
         if self.by_piece:
-            self.add([""], self.whole(" "), np.array([0]))
-            self.add([_LINE], self.whole("\n"), np.array([0]))
+            self.known[""], self.known[_LINE] = 0, 1
+            self.flat[:2] = [self.whole(" ")[0], self.newline]
+            self.start[:2], self.length[:2], self.used = [0, 1], 1, 2
 
     def whole(self, text: str) -> np.ndarray:
         return np.asarray(self.library.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32) if text else np.empty(0, np.uint32)
 
-    def add(self, pieces: list[str], ids: np.ndarray, starts: np.ndarray) -> None:
-        k, n = len(self.known), len(pieces)
+    def learn(self) -> bool:
+        """The ids of the pieces numbered last. Each stands on a line of its own: the newline's id shows where it begins."""
+        new, self.known.new = self.known.new, []
+        k, n = len(self.known) - len(new), len(new)
+        ids = self.whole("".join(["\n" + p[1:] if p[0] == _LINE else "\n " + p for p in new]))
+        starts = np.flatnonzero(ids == self.newline)
+        if len(starts) != n:
+            return False
         while k + n > len(self.start):
             self.start, self.length = np.resize(self.start, 2 * len(self.start)), np.resize(self.length, 2 * len(self.length))
         while self.used + len(ids) > len(self.flat):
             self.flat = np.resize(self.flat, 2 * len(self.flat))
         self.flat[self.used : self.used + len(ids)] = ids
-        self.start[k : k + n] = self.used + starts
-        self.length[k : k + n] = np.diff(starts, append=len(ids))
+        inner = np.fromiter((p[0] != _LINE for p in new), np.int64, n)
+        self.start[k : k + n] = self.used + starts + inner
+        self.length[k : k + n] = np.diff(starts, append=len(ids)) - inner
         self.used += len(ids)
-        self.known.update(zip(pieces, range(k, k + n), strict=True))
-
-    def learn(self, pieces: list[str]) -> bool:
-        """Each piece stands on a line of its own: the newline's id shows where it begins."""
-        for lead, own in (("\n ", [p for p in pieces if p[0] != _LINE]), ("\n", [p for p in pieces if p[0] == _LINE])):
-            if own:
-                ids = self.whole("".join([lead + p for p in own]) if lead != "\n" else "".join(own).replace(_LINE, "\n"))
-                starts = np.flatnonzero(ids == self.newline)
-                if len(starts) != len(own):
-                    return False
-                if lead != "\n":
-                    ids = np.delete(ids, starts)
-                    starts = starts - np.arange(len(starts))
-                self.add(own, ids, starts)
         return True
 
-    def pieces(self, text: str) -> np.ndarray | None:
-        """The numbers of the pieces of the text with a newline before it; None where it must be encoded whole."""
-        lined = "\n" + text
-        if not self.by_piece or _RUN.search(lined) or _LINE in text or (text[-1].isspace() and text[-1] not in " \n") or any(s in text for s in self.special):
+    def apart(self, text: str) -> bool:
+        """Whether the text may be cut into pieces."""
+        return bool(text) and self.by_piece and _LINE not in text and not _RUN.search(text) and not (text[0].isspace() and text[0] != " ") and not (text[-1].isspace() and text[-1] not in " \n") and not any(s in text for s in self.special)
+
+    def numbers(self, parts: list[str]) -> np.ndarray | None:
+        """The numbers of pieces, learning the new ones all at once; None where they can't be told apart."""
+        if len(self.known) > self.most or self.used > MOST_IDS:
+            self.clear()
+        found = np.fromiter(map(self.known.__getitem__, parts), np.int64, len(parts))
+        if self.known.new and not self.learn():
+            self.clear()
             return None
-        parts = lined.replace("\n", " " + _LINE).split(" ")[1:]
-        found = list(map(self.known.get, parts))
-        if None in found:
-            missing = list(dict.fromkeys(p for p, k in zip(parts, found, strict=True) if k is None))
-            if len(self.known) + len(missing) > MOST_PIECES:
-                self.clear()
-                missing = [p for p in dict.fromkeys(parts) if p not in self.known]
-            if not self.learn(missing):
-                self.clear()
-                return None
-            found = list(map(self.known.get, parts))
-        return np.array(found, np.int64)
+        return found
+
+    def encode_all(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all texts end to end, exactly those of the library for each whole text, and how many each has."""
+        lengths = np.zeros(len(texts), np.int64)
+        cut, parts, firsts = [], [], []
+        for k, text in enumerate(texts):
+            if self.apart(text):
+                cut.append(k)
+                firsts.append(len(parts))
+                parts += ("\n" + text).replace("\n", " " + _LINE).split(" ")[1:]
+        found = self.numbers(parts) if parts else np.empty(0, np.int64)
+        if found is None:
+            cut, firsts, found = [], [], np.empty(0, np.int64)
+        start, length = self.start[found], self.length[found]
+        start[firsts] += 1  # without the id of the newline put before each text
+        length[firsts] -= 1
+        flat = self.flat[ragged(start, length)]
+        if cut:
+            lengths[cut] = np.add.reduceat(length, firsts)
+        if len(cut) == len(texts):
+            return flat, lengths
+        ends, own = np.cumsum(lengths[cut]), iter(range(len(cut)))
+        own_of, out = dict(zip(cut, own, strict=True)), []
+        for k, text in enumerate(texts):
+            if k in own_of:
+                j = own_of[k]
+                out.append(flat[ends[j] - lengths[k] : ends[j]])
+            else:
+                out.append(self.whole(text))
+                lengths[k] = len(out[-1])
+        return np.concatenate(out) if out else flat, lengths
 
     def encode(self, text: str) -> np.ndarray:
-        """Ids as unsigned 32-bit integers; exactly those of the library for the whole text."""
-        if not text or (found := self.pieces(text)) is None:
-            return self.whole(text)
-        return self.flat[ragged(self.start[found], self.length[found])[1:]]
+        return self.encode_all([text])[0]
 
     def count(self, text: str) -> int:
-        if not text or (found := self.pieces(text)) is None:
-            return len(self.whole(text))
-        return int(self.length[found].sum()) - 1
+        return int(self.encode_all([text])[1][0])
 
 
 _held: dict[str, PieceEncoder] = {}
 
 
-def encoder(name: str) -> PieceEncoder:
-    """This process's encoder for a file of public_tokenizers (or a path); other pre-tokenizers than byte level go whole."""
+def encoder(name: str, most: int = MOST_PIECES) -> PieceEncoder:
+    """This process's encoder for a file of public_tokenizers (or a path); other pre-tokenizers than byte level go whole. most: pieces to remember."""
     import json
     import os
 
@@ -118,4 +148,8 @@ def encoder(name: str) -> PieceEncoder:
         pre = said.get("pre_tokenizer") or {}
         plain = pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True) and not said.get("normalizer") and said["model"].get("type") == "BPE"
         _held[path] = PieceEncoder(path, plain)
+    _held[path].most = most
     return _held[path]
+
+
+CACHES.append(_held.clear)
