@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import enter, held_out, record, slices
+from .common import enter, held_out, modest_batches, record, slices
 
 SAMPLE, CONTENT, CHUNK, MARGIN, LEVEL = 1200, 400 << 10, 4096, 0.02, 6
 _NO_LETTERS = re.compile(r"[\W\d_]+")
@@ -76,6 +76,7 @@ class Judge:
 
 def identify(docs: DataFrame, contents: dict[str, bytes] | None = None, margin: float = MARGIN) -> DataFrame:
     """(doc_id, held_out, lang_pred, score, margin, rejected); contents: None fits on docs themselves."""
+    modest_batches(docs)
     spark = docs.sparkSession
     sent = spark.sparkContext.broadcast(fit(docs) if contents is None else contents)
     schema = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred", pa.string()), ("score", pa.float64()), ("margin", pa.float64()), ("rejected", pa.bool_())])
@@ -94,6 +95,7 @@ def identify(docs: DataFrame, contents: dict[str, bytes] | None = None, margin:
 
 def known_language(docs: DataFrame, margin: float = MARGIN) -> DataFrame:
     """The documents that aren't rejected, with all their columns."""
+    modest_batches(docs)
     sent = docs.sparkSession.sparkContext.broadcast(fit(docs))
     kinds = docs.schema
     at = docs.columns.index("text")
