@@ -5,6 +5,7 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -15,6 +16,8 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+ARROW_BYTES = 16 << 20
+
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or where it is unset a temporary one (tests)."""
@@ -43,8 +46,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
+def modest_batches(df: DataFrame) -> None:
+    """Batches of at most ARROW_BYTES on their way to Python (a session's smaller bound stays): long texts, little memory."""
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = re.sub(r"\D", "", conf.get(key))
+    if not now or int(now) > ARROW_BYTES or int(now) <= 0:
+        conf.set(key, str(ARROW_BYTES))
+
+
 def texts(docs: DataFrame, *more: str) -> DataFrame:
     """doc_id as long and text (null: empty) of a documents table, with nothing else but the columns named."""
+    modest_batches(docs)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"), *more)
 
 

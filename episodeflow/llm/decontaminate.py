@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import enter, ragged, record, slices, texts
+from .common import CACHES, enter, ragged, record, slices, texts
 
 #: The masks, 1 = compared.
 MASKS = ("111010010111", "110110101011", "101101110110", "111111110000")
@@ -38,6 +38,7 @@ for _c in [*range(48, 58), *range(97, 123), *range(128, 256)]:
 for _c in range(65, 91):
     _LOWER[_c] = _c + 33
 _powers: dict[str, np.ndarray] = {}
+CACHES.append(_powers.clear)
 
 
 def _power(base: int, n: int, name: str) -> np.ndarray:
