@@ -5,9 +5,10 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("boolean")
+@F.pandas_udf(T.BooleanType())
 def is_subepisode(a: pd.Series, b: pd.Series) -> pd.Series:
     """Whether the types of a occur in b in this order."""
 
@@ -20,7 +21,7 @@ def is_subepisode(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([inside(x, y) for x, y in zip(a, b, strict=True)], dtype="object")
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def nonoverlap_count(s: pd.Series, e: pd.Series) -> int:
     """The largest number of disjoint intervals [s, e] among a group's."""
     n, end = 0, None
@@ -30,7 +31,7 @@ def nonoverlap_count(s: pd.Series, e: pd.Series) -> int:
     return n
 
 
-@F.udtf(returnType="ep_id: string, freq: int")
+@F.udtf(returnType=T.StructType([T.StructField("ep_id", T.StringType()), T.StructField("freq", T.IntegerType())]))
 class EpisodeOccurrences:
     """TABLE(t) PARTITION BY stream ORDER BY t, eid: counts of a serial episode `a>b>c` with gaps in (lo, hi] of each."""
 

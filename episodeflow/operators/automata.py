@@ -107,6 +107,48 @@ def count(stream: DataFrame, episodes: list[Episode], expiry: int | None = None)
     return count_by_stream(stream, episodes, expiry).groupBy("ep_id").agg(F.sum("freq").alias("freq")).where("freq > 0")
 
 
+def run_order(types: list[str], times: list[int], nodes: list[str], edges: list[tuple[int, int]], expiry: int | None = None) -> int:
+    """Disjoint occurrences of a general episode: nodes[a] strictly before nodes[b] for each edge, others in any order.
+
+    For each set of matched nodes the latest start is kept; which of them were matched in the present tick is kept along,
+    since an edge needs a later tick.
+    """
+    before = [sum(1 << a for a, b in edges if b == v) for v in range(len(nodes))]
+    full, freq, held, i = (1 << len(nodes)) - 1, 0, {}, 0
+    while i < len(times):
+        now, t = {(d, 0): s for d, s in held.items()}, times[i]
+        while i < len(times) and times[i] == t:
+            snapshot = [((0, 0), t), *now.items()]
+            for v, x in enumerate(nodes):
+                if x != types[i]:
+                    continue
+                for (d, tick), start in snapshot:
+                    if not d >> v & 1 and before[v] & d == before[v] and not before[v] & tick:
+                        key = (d | 1 << v, tick | 1 << v)
+                        now[key] = max(start, now.get(key, start))
+            done = [s for (d, _), s in now.items() if d == full and (expiry is None or t - s <= expiry)]
+            if done:
+                freq, now = freq + 1, {}
+            i += 1
+        held = {}
+        for (d, _), s in now.items():
+            if d != full and (expiry is None or t - s <= expiry):
+                held[d] = max(s, held.get(d, s))
+    return freq
+
+
+def count_order(stream: DataFrame, nodes: list[str], edges: list[tuple[int, int]], expiry: int | None = None) -> DataFrame:
+    """(freq) of a general episode over all streams; the states grow with the width of its order, so it should be small."""
+    if len(nodes) > 12:
+        raise ValueError("an episode of more than 12 nodes has too many states")
+
+    def kernel(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["t", "eid"])
+        return pd.DataFrame({"freq": [run_order(pdf["etype"].tolist(), pdf["t"].tolist(), nodes, edges, expiry)]})
+
+    return stream.groupBy("stream").applyInPandas(kernel, "freq long").agg(F.sum("freq").alias("freq"))
+
+
 def naive_count(stream: DataFrame, episodes: list[Episode], latest: bool) -> DataFrame:
     """Gap episodes by an occurrence that is built without the intervals and tested afterwards: it misses valid ones.
 

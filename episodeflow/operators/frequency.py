@@ -1,8 +1,12 @@
 """The largest set of pairwise non-overlapped intervals, and other counts of occurrences.
 
-Taking the interval that ends first, again and again, is optimal. Intervals that hold another one are dropped first;
-both ends then rise together, and a start after the previous end opens an island which the choice can't reach across.
-Islands are folded on their own, in the JVM; one or two intervals make one occurrence without a fold.
+Taking the interval that ends first, again and again, is optimal. Intervals are those of `occurrences`: one for each end,
+with the latest start, so that a later end never has an earlier start. Of those with one start all but the first to end
+are dropped; both ends then rise together, and a start after the previous end opens an island which the choice can't
+reach across. Islands are folded on their own, in the JVM; one or two intervals make one occurrence without a fold.
+
+With `chunk` (in ticks) islands are found chunk by chunk of time, and only a row for each chunk is looked at in order:
+then no task holds all intervals of an episode in a stream.
 """
 
 from __future__ import annotations
@@ -11,19 +15,37 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+KEY = ("stream", "ep_id")
 
-def undominated(intervals: DataFrame) -> DataFrame:
-    """Intervals that hold no other of their episode; of equal ends the latest start, of equal starts the earliest end."""
-    extra = [c for c in intervals.columns if c not in ("stream", "ep_id", "s", "e")]
-    later = W.partitionBy("stream", "ep_id").orderBy(F.desc("s"), F.asc("e")).rowsBetween(W.unboundedPreceding, -1)
-    return intervals.withColumn("_m", F.min("e").over(later)).where(F.col("_m").isNull() | (F.col("_m") > F.col("e"))).select("stream", "ep_id", "s", "e", *extra)
 
-
-def islands(intervals: DataFrame) -> DataFrame:
-    """Adds the number of the island within (stream, ep_id)."""
-    order = W.partitionBy("stream", "ep_id").orderBy("e")
-    opens = F.when(F.col("s") > F.lag("e").over(order), 1).otherwise(0)
-    return intervals.withColumn("_o", opens).withColumn("island", F.sum("_o").over(order)).drop("_o")
+def undominated(intervals: DataFrame) -> DataFrame:
+    """Of the intervals with one start the first to end: a partial and a final aggregate, no sort."""
+    extra = [c for c in intervals.columns if c not in (*KEY, "s", "e")]
+    if not extra:
+        return intervals.groupBy(*KEY, "s").agg(F.min("e").alias("e"))
+    kept = intervals.groupBy(*KEY, "s").agg(F.min(F.struct("e", *extra)).alias("x"))
+    return kept.select(*KEY, "s", "x.e", *[f"x.{c}" for c in extra])
+
+
+def islands(intervals: DataFrame, chunk: int | None = None) -> DataFrame:
+    """Adds the island within (stream, ep_id): the end of the interval that opens it."""
+    if chunk is None:
+        order = W.partitionBy(*KEY).orderBy("e")
+        before = F.lag("e").over(order)
+        opens = intervals.withColumn("_o", F.when(before.isNull() | (F.col("s") > before), F.col("e")))
+        return opens.withColumn("island", F.max("_o").over(order)).drop("_o")
+    rows = intervals.withColumn("_c", F.floor(F.col("e.t") / chunk))
+    # What a chunk needs to know of those before it: the last end, then the last opening.
+    ends = rows.groupBy(*KEY, "_c").agg(F.max("e").alias("_last"), F.min(F.struct("e", "s")).alias("_first"))
+    by_chunk = W.partitionBy(*KEY).orderBy("_c")
+    known = ends.withColumn("_prior", F.lag("_last").over(by_chunk)).select(*KEY, "_c", "_prior")
+    order = W.partitionBy(*KEY, "_c").orderBy("e")
+    before = F.coalesce(F.lag("e").over(order), F.col("_prior"))
+    opens = rows.join(known, [*KEY, "_c"]).withColumn("_o", F.when(before.isNull() | (F.col("s") > before), F.col("e")))
+    opens = opens.withColumn("_in", F.max("_o").over(order))
+    lasts = opens.groupBy(*KEY, "_c").agg(F.max("_o").alias("_l"))
+    carried = lasts.select(*KEY, "_c", F.max("_l").over(by_chunk.rowsBetween(W.unboundedPreceding, -1)).alias("_carry"))
+    return opens.join(carried, [*KEY, "_c"]).withColumn("island", F.coalesce("_in", "_carry")).drop("_c", "_prior", "_o", "_in", "_carry")
 
 
 def _fold_count(sorted_: Column) -> Column:
@@ -31,23 +53,25 @@ def _fold_count(sorted_: Column) -> Column:
     return F.aggregate(sorted_, first, lambda a, x: F.when(a["e"].isNull() | (x["s"] > a["e"]), F.struct(x["e"].alias("e"), (a["n"] + 1).alias("n"))).otherwise(a), lambda a: a["n"])
 
 
-def count_by_stream(intervals: DataFrame) -> DataFrame:
+def count_by_stream(intervals: DataFrame, chunk: int | None = None) -> DataFrame:
     """(stream, ep_id, freq)."""
-    cut = islands(undominated(intervals)).groupBy("stream", "ep_id", "island").agg(F.count("*").alias("m"), F.array_sort(F.collect_list(F.struct("e", "s"))).alias("all"))
+    if chunk is None:
+        intervals = intervals.repartition(*KEY)  # the one shuffle: all that follows is clustered by these
+    cut = islands(undominated(intervals), chunk).groupBy("stream", "ep_id", "island").agg(F.count("*").alias("m"), F.array_sort(F.collect_list(F.struct("e", "s"))).alias("all"))
     freq = F.when(F.col("m") <= 2, F.lit(1).cast("bigint")).otherwise(_fold_count(F.col("all")))
     return cut.select("stream", "ep_id", freq.alias("f")).groupBy("stream", "ep_id").agg(F.sum("f").alias("freq"))
 
 
-def count(intervals: DataFrame) -> DataFrame:
+def count(intervals: DataFrame, chunk: int | None = None) -> DataFrame:
     """(ep_id, freq), summed over streams: occurrences never cross streams."""
-    return count_by_stream(intervals).groupBy("ep_id").agg(F.sum("freq").alias("freq"))
+    return count_by_stream(intervals, chunk).groupBy("ep_id").agg(F.sum("freq").alias("freq"))
 
 
 def select_disjoint(intervals: DataFrame) -> DataFrame:
     """The chosen intervals themselves, numbered within (stream, ep_id) by occ_no; members and other columns go along."""
     extra = [c for c in intervals.columns if c not in ("stream", "ep_id", "s", "e")]
     item = F.struct("e", "s", *extra)
-    cut = islands(undominated(intervals)).groupBy("stream", "ep_id", "island").agg(F.array_sort(F.collect_list(item)).alias("all"))
+    cut = islands(undominated(intervals.repartition(*KEY))).groupBy("stream", "ep_id", "island").agg(F.array_sort(F.collect_list(item)).alias("all"))
     fold = F.aggregate("all", F.slice("all", 1, 0), lambda a, x: F.when((F.size(a) == 0) | (x["s"] > F.element_at(a, -1)["e"]), F.concat(a, F.array(x))).otherwise(a))
     chosen = cut.select("stream", "ep_id", F.explode(F.when(F.size("all") <= 2, F.slice("all", 1, 1)).otherwise(fold)).alias("x")).select("stream", "ep_id", "x.s", "x.e", *[f"x.{c}" for c in extra])
     return chosen.withColumn("occ_no", F.row_number().over(W.partitionBy("stream", "ep_id").orderBy("e")).cast("long"))

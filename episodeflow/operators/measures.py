@@ -21,6 +21,14 @@ def recovery(frequent: DataFrame, truth: DataFrame) -> DataFrame:
     return rows.groupBy(F.size("types").alias("k")).agg(F.round(100 * F.count("_in") / F.count("*"), 6).alias("pct_embedded"), F.min(F.when(F.col("_in").isNotNull(), F.col("freq"))).alias("min_count"))
 
 
+def average_runs(runs: list[DataFrame]) -> DataFrame:
+    """Means over data sets of what `recovery` gives for each."""
+    every = runs[0]
+    for r in runs[1:]:
+        every = every.unionByName(r)
+    return every.groupBy("k").agg(F.round(F.avg("pct_embedded"), 2).alias("pct_embedded"), F.round(F.avg("min_count"), 1).alias("min_count"))
+
+
 def pair_confidence(pairs: DataFrame, singles: DataFrame, on: tuple[str, ...] = ()) -> DataFrame:
     """pairs: (*on, a, b, freq); singles: (*on, etype, n). freq(a then b) / freq(a)."""
     one = singles.select(*on, F.col("etype").alias("a"), F.col("n").alias("n_a"))
@@ -42,27 +50,32 @@ def connectivity(serial_pairs: DataFrame) -> DataFrame:
     return each.select(F.get("types", F.col("i")).alias("src"), F.get("types", F.col("i") + 1).alias("dst"), F.get("gaps", F.col("i")).alias("gap"), "freq").groupBy("src", "dst", "gap").agg(F.max("freq").alias("freq"))
 
 
-def peel_similarity(sets: DataFrame, n: int, pairs: DataFrame | None = None) -> DataFrame:
+def peel_similarity(sets: DataFrame, n: int, pairs: DataFrame | None = None, multiset: bool = False) -> DataFrame:
     """sets: (slice, types) of episodes of size n. Sum over sizes i of 2^i times the episodes in common.
 
     Common episodes count and leave; the others lose their first or their last node (both ways) and are compared again,
-    down to a single node. Episodes are sets: what arises twice counts once. pairs: (a, b) of slices, else all.
+    down to a single node. Episodes are sets: what arises twice counts once; as a multiset it counts and leaves as often
+    as both sides have it. pairs: (a, b) of slices, else all.
     """
     slices = sets.select("slice").distinct()
     if pairs is None:
         pairs = slices.select(F.col("slice").alias("a")).crossJoin(F.broadcast(slices.select(F.col("slice").alias("b"))))
-    left = pairs.join(sets.select(F.col("slice").alias("a"), "types"), "a").select("a", "b", "types").distinct()
-    right = pairs.join(sets.select(F.col("slice").alias("b"), "types"), "b").select("a", "b", "types").distinct()
+    left = pairs.join(sets.select(F.col("slice").alias("a"), "types"), "a").select("a", "b", "types")
+    right = pairs.join(sets.select(F.col("slice").alias("b"), "types"), "b").select("a", "b", "types")
+    if not multiset:
+        left, right = left.distinct(), right.distinct()
     total = pairs.select("a", "b", F.lit(0).cast("bigint").alias("v"))
     keys = ["a", "b", "types"]
     for i in range(n, 0, -1):
-        common = left.join(right, keys, "left_semi")
+        common = left.intersectAll(right) if multiset else left.join(right, keys, "left_semi")
         total = total.unionByName(common.groupBy("a", "b").agg((F.count("*") * (1 << i)).alias("v")))
         if i == 1:
             break
         halves = F.explode(F.array(F.slice("types", 1, i - 1), F.slice("types", 2, i - 1))).alias("types")
-        rest = [side.join(common, keys, "left_anti").select("a", "b", halves).distinct() for side in (left, right)]
-        left, right = rest
+        if multiset:
+            left, right = (side.exceptAll(common).select("a", "b", halves) for side in (left, right))
+        else:
+            left, right = (side.join(common, keys, "left_anti").select("a", "b", halves).distinct() for side in (left, right))
     return total.groupBy("a", "b").agg(F.sum("v").alias("sim"))
 
 

@@ -19,13 +19,16 @@ def _ids(episodes: list[Episode], spark) -> DataFrame:
 
 
 def band_join(left: DataFrame, right: DataFrame, lo: int, hi: int, on: tuple[str, ...] = ("stream",)) -> DataFrame:
-    """Pairs (l, r) of rows with equal `on` and lo < r.t - l.t <= hi; both sides have t, the columns come as structs."""
+    """Pairs (l, r) of rows with equal `on` and lo < r.t - l.t <= hi; both sides have t, the columns come as structs.
+
+    _b is r's bucket. Aggregates by r that keep `on` and _b among their keys need no further shuffle.
+    """
     width = max(1, hi - max(lo, -1), hi // 2)
     first, last = F.floor((F.col("t") + lo + 1) / width), F.floor((F.col("t") + hi) / width)
     a = left.select(*on, F.struct("*").alias("l"), F.explode(F.sequence(first.cast("long"), last.cast("long"))).alias("_b"))
     b = right.select(*on, F.struct("*").alias("r"), F.floor(F.col("t") / width).cast("long").alias("_b"))
     dt = F.col("r.t") - F.col("l.t")
-    return a.join(b, [*on, "_b"]).where((dt > lo) & (dt <= hi)).drop("_b")
+    return a.join(b, [*on, "_b"]).where((dt > lo) & (dt <= hi))
 
 
 def recents(stream: DataFrame, expiry: int, strict: bool = False) -> DataFrame:
@@ -34,8 +37,8 @@ def recents(stream: DataFrame, expiry: int, strict: bool = False) -> DataFrame:
     if reach < 0:
         raise ValueError("the expiry leaves no room for an event itself")
     both = band_join(stream, stream, -1, reach).where((F.col("l.t") < F.col("r.t")) | (F.col("l.eid") <= F.col("r.eid")))
-    latest = both.groupBy("stream", F.col("r.etype").alias("etype"), F.col("r.t").alias("t"), F.col("r.eid").alias("eid"), F.col("l.etype").alias("near_type")).agg(F.max(pos("l")).alias("p"))
-    return latest.groupBy("stream", "etype", "t", "eid").agg(F.map_from_entries(F.collect_list(F.struct("near_type", "p"))).alias("near"))
+    latest = both.groupBy("stream", "_b", F.col("r.etype").alias("etype"), F.col("r.t").alias("t"), F.col("r.eid").alias("eid"), F.col("l.etype").alias("near_type")).agg(F.max(pos("l")).alias("p"))
+    return latest.groupBy("stream", "_b", "etype", "t", "eid").agg(F.map_from_entries(F.collect_list(F.struct("near_type", "p"))).alias("near")).drop("_b")
 
 
 def same_tick(stream: DataFrame) -> DataFrame:
@@ -69,7 +72,7 @@ def parallel_intervals(near: DataFrame, episodes: list[Episode], members: bool =
 def serial_pairs(stream: DataFrame, gap: Gap) -> DataFrame:
     """Intervals of all two-type serial episodes with this gap at once."""
     both = band_join(stream, stream, gap.lo, gap.hi)
-    return both.groupBy("stream", F.col("l.etype").alias("a"), F.col("r.etype").alias("b"), pos("r").alias("e")).agg(F.max(pos("l")).alias("s")).select("stream", F.concat("a", F.lit(f"-{gap.label}->"), "b").alias("ep_id"), "s", "e")
+    return both.groupBy("stream", "_b", F.col("l.etype").alias("a"), F.col("r.etype").alias("b"), pos("r").alias("e")).agg(F.max(pos("l")).alias("s")).select("stream", F.concat("a", F.lit(f"-{gap.label}->"), "b").alias("ep_id"), "s", "e")
 
 
 def serial_extend(intervals: DataFrame, stream: DataFrame, episodes: list[Episode], members: bool = False) -> DataFrame:
@@ -86,9 +89,9 @@ def serial_extend(intervals: DataFrame, stream: DataFrame, episodes: list[Episod
         step = spark.createDataFrame(rows, "ep_id string, new_id string, etype string")
         left = intervals.join(F.broadcast(step) if len(rows) <= 200_000 else step, "ep_id").withColumn("t", F.col("e.t"))
         both = band_join(left, stream, gap.lo, gap.hi, ("stream", "etype"))
-        keys = [F.col("stream"), F.col("l.new_id").alias("ep_id"), pos("r").alias("e")]
+        keys = [F.col("stream"), F.col("etype").alias("_x"), F.col("_b"), F.col("l.new_id").alias("ep_id"), pos("r").alias("e")]
         if members:
-            best = both.groupBy(*keys, F.col("etype").alias("_x")).agg(F.max(F.struct(F.col("l.s").alias("s"), F.col("l.e").alias("pe"), F.col("l.members").alias("m"))).alias("b"))
+            best = both.groupBy(*keys).agg(F.max(F.struct(F.col("l.s").alias("s"), F.col("l.e").alias("pe"), F.col("l.members").alias("m"))).alias("b"))
             part = best.select("stream", "ep_id", F.col("b.s").alias("s"), "e", F.concat("b.m", F.array(F.struct(F.col("_x").alias("etype"), F.col("e.t").alias("t"), F.col("e.eid").alias("eid")))).alias("members"))
         else:
             part = both.groupBy(*keys).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")

@@ -69,7 +69,7 @@ def _grow_all(grown: DataFrame, stream: DataFrame, gaps: tuple[Gap, ...]) -> Dat
     out = None
     for gap in gaps:
         both = occurrences.band_join(grown.withColumn("t", F.col("e.t")), stream, gap.lo, gap.hi)
-        part = both.groupBy("stream", F.concat("l.ep_id", F.lit(f"-{gap.label}->"), "r.etype").alias("ep_id"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
+        part = both.groupBy("stream", "_b", F.concat("l.ep_id", F.lit(f"-{gap.label}->"), "r.etype").alias("ep_id"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
         out = part if out is None else out.unionByName(part)
     return out
 

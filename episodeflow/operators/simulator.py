@@ -40,9 +40,9 @@ class Network:
     def lam_max(self) -> float:
         return R.saturation(self.e_strong, self.dt)
 
-    @property
-    def strong(self) -> float:
-        return R.strong_weight(R.displacement(self.lam_max, self.lam_normal), self.beta)
+    def strong(self, j: int) -> float:
+        """The weight that lifts unit j, whatever its own rate, to beta of the highest rate."""
+        return R.strong_weight(R.displacement(self.lam_max, self.own.get(j, self.lam_normal)), self.beta)
 
 
 def random_network(n: int, scheme: int, c: float, seed: int, delay: int = 5) -> list[tuple[int, int, float, int]]:
@@ -67,11 +67,11 @@ def plant(net: Network, layers: list[list[int]], delays: list[int] | None = None
     One unit a layer: an order; two layers of 1 and n: a synchrony; alternating: a chain of groups. All units but the
     first layer's get the compensated rate.
     """
-    for k, (a, b) in enumerate(zip(layers, layers[1:], strict=False)):
-        net.edges += [(i, j, net.strong / len(a), (delays or [5] * (len(layers) - 1))[k]) for i in a for j in b]
     for layer in layers[1:]:
         for j in layer:
             net.own[j] = R.compensated(net.lam_normal, net.e_strong, net.alpha)
+    for k, (a, b) in enumerate(zip(layers, layers[1:], strict=False)):
+        net.edges += [(i, j, net.strong(j) / len(a), (delays or [5] * (len(layers) - 1))[k]) for i in a for j in b]
     net.truth.append(tuple(tuple(x) for x in layers))
     return net
 

@@ -114,18 +114,22 @@ def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
     while found and (plan.max_k is None or k <= plan.max_k):
         began = time.time()
         frequent = [e for e, _ in found]
+        m = len(frequent)
         if plan.kind == "parallel":
-            cands = C.next_parallel(frequent)
-            if not cands:
+            # All pairs are counted at once; listing them would cost the square of the alphabet.
+            cands = [] if k == 2 else C.next_parallel(frequent)
+            n_cands = m * (m - 1) // 2 if k == 2 else len(cands)
+            if not n_cands:
                 break
             if near is None:
                 near = _cut(O.same_tick(stream) if plan.expiry == 0 else O.recents(stream, plan.expiry, plan.strict_expiry))
             raw = O.parallel_pairs(near) if k == 2 else O.parallel_intervals(near, cands)
         elif plan.gaps:
-            cands = C.serial_seeds([e.types[0] for e in frequent], list(plan.gaps), plan.allow_self) if k == 2 else C.next_serial(frequent, plan.sound_prune())
+            cands = [] if k == 2 else C.next_serial(frequent, plan.sound_prune())
             if not plan.allow_self:
                 cands = [e for e in cands if len(set(e.types)) == len(e.types)]
-            if not cands:
+            n_cands = m * (m if plan.allow_self else m - 1) * len(plan.gaps) if k == 2 else len(cands)
+            if not n_cands:
                 break
             if k == 2:
                 raw = O.serial_pairs(stream, plan.gaps[0])
@@ -136,14 +140,16 @@ def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
             raw = intervals = _cut(raw)
         else:
             cands = [Episode("serial", (a.types[0], b.types[0])) for a in frequent for b in frequent if plan.allow_self or a != b] if k == 2 else C.next_serial(frequent, plan.sound_prune())
+            n_cands = len(cands)
             if not cands:
                 break
             raw = O.serial_span(stream, cands, plan.expiry)
         by_id = {e.id: e for e in cands}
         counted = Q.count(raw).where(F.col("freq") >= least).collect()
         result.passes += 1
-        found = sorted(((by_id[r["ep_id"]], r["freq"]) for r in counted if r["ep_id"] in by_id), key=lambda x: x[0].id)
-        _level(result, k, len(cands), found, began)
+        pairs = ((by_id.get(r["ep_id"]) or (_pair(r["ep_id"], plan, kept) if not cands else None), r["freq"]) for r in counted)
+        found = sorted(((e, f) for e, f in pairs if e), key=lambda x: x[0].id)
+        _level(result, k, n_cands, found, began)
         if intervals is not None and found:
             ids = [(e.id,) for e, _ in found]
             intervals = intervals.join(F.broadcast(spark.createDataFrame(ids, "ep_id string")), "ep_id", "left_semi").select("stream", "ep_id", "s", "e")
@@ -151,6 +157,17 @@ def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
     return result
 
 
+def _pair(ep_id: str, plan: EpisodePlan, types: set[str]) -> Episode | None:
+    """The two-node episode of an id; its types are frequent ones, whatever characters they hold."""
+    for gap in plan.gaps or (None,):
+        mark, at = "+" if gap is None else f"-{gap.label}->", -1
+        while (at := ep_id.find(mark, at + 1)) >= 0:
+            a, b = ep_id[:at], ep_id[at + len(mark) :]
+            if a in types and b in types and (a != b or (gap is not None and plan.allow_self)):
+                return Episode(plan.kind, (a, b), (gap,) if gap else ())
+    return None
+
+
 def _level(result: MiningResult, k: int, n: int, found: list, began: float) -> None:
     if found or k == 1:
         result.rows += found

@@ -759,3 +759,133 @@ def online_count(spark: SparkSession, sf_dir: str) -> DataFrame:
     q = online.online_count(timed, eps, 6 * HOUR).writeStream.outputMode("update").format("memory").queryName(name).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name).groupBy("stream", "ep_id").agg(F.max("freq").alias("freq"))
+
+
+# ---- more operators around the methods
+
+
+@query(S.counted(S.USER, S.serial2(SIX)))
+def nonoverlap_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The grouped aggregate in Python instead of the fold in the JVM; events have unique times here."""
+    raw = occurrences.serial_pairs(T.user_events(spark, sf_dir), Gap(0, 6 * HOUR, "(0,6h]"))
+    per = raw.select("stream", "ep_id", F.col("s.t").alias("s"), F.col("e.t").alias("e")).groupBy("stream", "ep_id").agg(udfs.nonoverlap_count("s", "e").alias("n"))
+    return per.groupBy("ep_id").agg(F.sum("n").alias("freq"))
+
+
+@query(S.counted(*_SLICE_SQL, "SELECT slice, ep_id, len(list_filter([1, 2], lambda i: t[i] = 'click' AND list_contains(t[i + 1:], 'view'))) > 0 AS holds FROM (SELECT *, string_split(ep_id, '-(0,24h]->') AS t FROM q)", _TOP_SQL))
+def subepisode_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _slice_tops(_slices(spark, sf_dir)).select("slice", "ep_id", udfs.is_subepisode(F.array(F.lit("click"), F.lit("view")), F.col("types")).alias("holds"))
+
+
+@query(S.counted(S.OVERLAY, _GROUP_SQL, S.near(S.U), "SELECT etype, count(*) AS n FROM (SELECT etype FROM s UNION ALL SELECT '[0 1 2]' FROM c) GROUP BY etype", f"{_MEMBERS}, {_COMPOUND.format(_ANCHORS['midpoint'])}"))
+def chain_rewrite_augment(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s, u = _overlay(spark, sf_dir)
+    return compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u), mode="augment").groupBy("etype").agg(F.count("*").alias("n"))
+
+
+@query(S.counted(S.USER, S.PAIRS, S.near(f"{6 * HOUR} - 1")))
+def parallel_pairs_strict(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Spans strictly below the expiry."""
+    return frequency.count(occurrences.parallel_pairs(occurrences.recents(T.user_events(spark, sf_dir), 6 * HOUR, strict=True)))
+
+
+@query("SELECT etype, freq, rank() OVER (ORDER BY freq DESC) AS r, dense_rank() OVER (ORDER BY freq DESC) AS d, ntile(4) OVER (ORDER BY freq DESC, etype) AS q, round(percent_rank() OVER (ORDER BY freq DESC), 6) AS p, round(cume_dist() OVER (ORDER BY freq DESC), 6) AS c FROM (SELECT CAST(user_id % 26 AS VARCHAR) AS etype, count(*) AS freq FROM events GROUP BY 1)")
+def ranking_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Over channels, of which there are 26 however long the stream is."""
+    c = T.channels(spark, sf_dir).groupBy("etype").agg(F.count("*").alias("freq"))
+    w, tied = W.orderBy(F.desc("freq")), W.orderBy(F.desc("freq"), "etype")
+    return c.select("etype", "freq", F.rank().over(w).alias("r"), F.dense_rank().over(w).alias("d"), F.ntile(4).over(tied).alias("q"), F.round(F.percent_rank().over(w), 6).alias("p"), F.round(F.cume_dist().over(w), 6).alias("c"))
+
+
+@query("SELECT etype, count(*) FILTER (g = 0) AS g0, count(*) FILTER (g = 1) AS g1, count(*) FILTER (g = 2) AS g2 FROM (SELECT event_type AS etype, user_id % 3 AS g FROM events) GROUP BY 1")
+def cohort_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = T.load(spark, sf_dir, "events").select(F.col("event_type").alias("etype"), F.concat(F.lit("g"), F.col("user_id") % 3).alias("g"))
+    return rows.groupBy("etype").pivot("g", ["g0", "g1", "g2"]).count().na.fill(0)
+
+
+@query("SELECT etype, g, count(*) AS n FROM (SELECT event_type AS etype, 'g' || (user_id % 3) AS g FROM events) GROUP BY ALL")
+def cohort_unpivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cohort_pivot(spark, sf_dir).unpivot("etype", ["g0", "g1", "g2"], "g", "n").where("n > 0")
+
+
+@query("SELECT o_orderpriority, o_orderstatus, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderpriority), (o_orderstatus), ())")
+def priority_grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    T.load(spark, sf_dir, "orders").createOrReplaceTempView("episode_orders")
+    return spark.sql("SELECT o_orderpriority, o_orderstatus, count(*) AS n FROM episode_orders GROUP BY GROUPING SETS ((o_orderpriority), (o_orderstatus), ())")
+
+
+@query("SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers, count(DISTINCT l_partkey) AS parts FROM lineitem GROUP BY 1")
+def alphabet_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return T.load(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.countDistinct("l_suppkey").alias("suppliers"), F.countDistinct("l_partkey").alias("parts"))
+
+
+@query("SELECT event_type AS etype, count(*) AS n FROM events GROUP BY 1")
+def dedupe_spikes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return T.dedupe(T.merge_streams(T.user_events(spark, sf_dir), T.user_events(spark, sf_dir))).groupBy("etype").agg(F.count("*").alias("n"))
+
+
+@query("SELECT event_type AS etype, count(*) AS n FROM events WHERE ts >= TIMESTAMP '2024-01-10' AND ts < TIMESTAMP '2024-01-20' GROUP BY 1")
+def time_slice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ev = T.load(spark, sf_dir, "events").where("ts >= timestamp_ntz'2024-01-10' and ts < timestamp_ntz'2024-01-20'")
+    return ev.groupBy(F.col("event_type").alias("etype")).agg(F.count("*").alias("n"))
+
+
+@query(S.counted(S.CHANNEL, S.serial2(_sql_gaps((4, 6))), select="SELECT ep_id, freq FROM freq ORDER BY freq DESC, ep_id LIMIT 10"))
+def top_episodes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    u = T.unit(spark, sf_dir)
+    return frequency.count(occurrences.serial_pairs(T.channels(spark, sf_dir), _gaps(u, (4, 6))[0])).orderBy(F.desc("freq"), "ep_id").limit(10)
+
+
+@query("SELECT event_type AS etype, CAST(w AS TIMESTAMP) AS start, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS w FROM events) GROUP BY ALL")
+def sliding_rates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ev = T.load(spark, sf_dir, "events").select(F.col("event_type").alias("etype"), "ts")
+    return ev.groupBy("etype", F.window("ts", "2 hours", "1 hour").alias("w")).agg(F.count("*").alias("n")).select("etype", F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
+
+
+@query(S.counted(S.OVERLAY, S.serial2(_sql_gaps(*FIVE)), select="SELECT a.ep_id AS fixed, a.freq AS fixed_freq, b.ep_id AS discovered, b.freq AS discovered_freq FROM (SELECT * FROM freq WHERE ep_id LIKE '%(4,6]%' AND freq >= 100) AS a JOIN (SELECT * FROM (SELECT *, split_part(ep_id, '-', 1) || '>' || split_part(ep_id, '->', 2) AS ty, row_number() OVER (PARTITION BY split_part(ep_id, '-', 1), split_part(ep_id, '->', 2) ORDER BY freq DESC, ep_id) AS r FROM freq) WHERE r = 1) AS b ON b.ty = split_part(a.ep_id, '-', 1) || '>' || split_part(a.ep_id, '->', 2)"))
+def fixed_vs_discovered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What one interval finds, beside the best of five intervals for the same types."""
+    s, u = _overlay(spark, sf_dir)
+    found = mine(s, EpisodePlan("serial", 0, gaps=tuple(_gaps(u, *FIVE)), max_k=2)).frequent(spark).where("k = 2")
+    best = miner.best_intervals(found).select("types", F.col("ep_id").alias("discovered"), F.col("freq").alias("discovered_freq"))
+    fixed = found.where("gaps[0] = '(4,6]' and freq >= 100").select("types", F.col("ep_id").alias("fixed"), F.col("freq").alias("fixed_freq"))
+    return fixed.join(best, "types").select("fixed", "fixed_freq", "discovered", "discovered_freq")
+
+
+@query("WITH q AS (SELECT doc_id, quality FROM labels WHERE quality IS NOT NULL), s AS (SELECT quality, count(*) AS docs, CAST(sum(len(regexp_split_to_array(lower(coalesce(text, '')), '[^a-z]+'))) AS BIGINT) AS parts FROM documents JOIN q USING (doc_id) GROUP BY 1) SELECT * FROM s")
+def cohort_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    q = T.load(spark, sf_dir, "labels").where("quality is not null").select("doc_id", "quality")
+    d = T.load(spark, sf_dir, "documents").select("doc_id", F.size(F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^a-z]+")).alias("w"))
+    return d.join(q, "doc_id").groupBy("quality").agg(F.count("*").alias("docs"), F.sum("w").alias("parts"))
+
+
+@query()
+def simulate_average(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recovery of planted orders, averaged over data sets."""
+    runs = []
+    for k in range(3):
+        net = simulator.Network(32, simulator.random_network(32, 2, 0.5, 20 + k))
+        for b in _blocks(2, 6):
+            simulator.plant(net, [[i] for i in b])
+        runs.append(_planted_run(spark, net, EpisodePlan("serial", 60, gaps=(Gap(4000, 6000),), max_k=6), 12))
+    return measures.average_runs(runs)
+
+
+@query()
+def alphabet_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Approximate sizes and quantiles, flagged as such."""
+    li = T.load(spark, sf_dir, "lineitem")
+    return li.groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("approx_parts"), F.percentile_approx("l_quantity", 0.5).alias("approx_median"))
+
+
+@query(S.counted(S.CHANNEL, S.serial2(_sql_gaps((4, 6)))))
+def chunked_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One long stream whose islands are found chunk by chunk of time."""
+    u = T.unit(spark, sf_dir)
+    return frequency.count(occurrences.serial_pairs(T.channels(spark, sf_dir), _gaps(u, (4, 6))[0]), chunk=500 * u)
+
+
+@query(S.counted(S.USER, f"SELECT f.stream, 'x' AS ep_id, least(max(n.p) FILTER (n.etype = 'click'), max(n.p) FILTER (n.etype = 'view')) AS s, f.p AS e FROM s AS f JOIN s AS n ON n.stream = f.stream AND n.t < f.t AND f.t - n.t <= {24 * HOUR} WHERE f.etype = 'purchase' GROUP BY f.stream, f.p HAVING count(*) FILTER (n.etype = 'click') > 0 AND count(*) FILTER (n.etype = 'view') > 0", select="SELECT freq FROM freq"))
+def general_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A click and a view in any order, then a purchase, within a day."""
+    return automata.count_order(T.user_events(spark, sf_dir), ["click", "view", "purchase"], [(0, 2), (1, 2)], 24 * HOUR)
