@@ -181,7 +181,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str = "byte_bpe_50k.json
             names, lengths, arrays, held, shard = [], [], [], 0, shard + 1
             return out
 
-        for batch in slices(batches):
+        for batch in slices(batches, most=8 << 20):
             flat, counts = enc.encode_all(batch.column(1).to_pylist())
             e = 0
             for d, n in zip(batch.column(0).to_pylist(), counts.tolist(), strict=True):

@@ -17,7 +17,7 @@ from tokenizers import Tokenizer
 
 from .common import CACHES, ragged
 
-MOST_PIECES, MOST_IDS = 700_000, 6_000_000
+MOST_PIECES, MOST_IDS = 900_000, 6_000_000
 _RUN = re.compile(r"\s\s")
 #: Stands for a newline in a piece; texts that hold it go through the library whole.
 _LINE = "\x01"
