@@ -29,6 +29,7 @@ from .tokens import encoder
 HEAD = struct.Struct("<4sIIIIII")
 MAGIC, VERSION = b"PAIR", 1
 SHARD_TOKENS = 1 << 20
+REMEMBERED = 600_000  # pieces; a shard's arrays stand beside them in a worker
 ROUNDS, ROUND_RULES, MIN_PAIR = 6, 4096, 16
 BITS = 20
 
@@ -171,7 +172,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str = "byte_bpe_50k.json
         enter("ids")
         from pyspark import TaskContext
 
-        part, enc, end, shard = TaskContext.get().partitionId(), encoder(tokenizer), np.array([end_id], np.uint32), 0
+        part, enc, end, shard = TaskContext.get().partitionId(), encoder(tokenizer, REMEMBERED), np.array([end_id], np.uint32), 0
         names, lengths, arrays, held = [], [], [], 0
 
         def flush() -> pa.RecordBatch:
@@ -181,7 +182,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str = "byte_bpe_50k.json
             names, lengths, arrays, held, shard = [], [], [], 0, shard + 1
             return out
 
-        for batch in slices(batches, most=8 << 20):
+        for batch in slices(batches):
             flat, counts = enc.encode_all(batch.column(1).to_pylist())
             e = 0
             for d, n in zip(batch.column(0).to_pylist(), counts.tolist(), strict=True):
