@@ -1,11 +1,19 @@
 """Benchmark passages in training documents, found by spaced seeds that ignore some token positions.
 
 Words are runs of letters and digits (any byte from 0x80 on counts as a letter), A-Z lower-cased, and hashed. A mask
-picks some words of a window of `SPAN`; windows of documents and of benchmark items meet where the picked words are
-the same, whatever stands at the ignored positions. Each meeting fixes a diagonal, on which document and item are
-compared word by word; the best run (equal words count 1, others -MISS) is the overlap. A document is contaminated by
-an item where an overlap has at least `least` words and `similarity` of them are equal. Items shorter than the span
-use their whole length as one mask; items under `SHORTEST` words can't be told from chance and are left out.
+picks four words of a short window; windows of documents and of benchmark items meet where the picked words are the
+same. All masks share one table, so that an item's window may meet a document's window of another mask: a word stands
+between in one of them only, which is an inserted or dropped word.
+
+Around each meeting item and document are aligned word by word in a band of diagonals; a word that is changed, inserted
+or dropped is one miss. An overlap begins and ends with equal words, has at least `least` words and `similarity` of them
+equal; or it is the whole item, however short, with `similarity` of its words equal. Of the overlaps of a document and
+an item the one with the most (equal - MISS * misses) is reported.
+
+No such overlap is missed at the fixed values: 12 words or more with a fifth missed always leave four equal words in a
+row, or (15 words, 3 misses) four threes, which the second mask meets; the other two masks do the same for whole items
+of 5 to 11 words. Overlaps of more than `MOST` misses are found by a part of them, and that part is what is reported.
+Items under `SHORTEST` words can't be told from chance and are left out.
 
 Items reach the tasks in blocks of at most `BLOCK_WORDS` words, a broadcast of bounded size; documents are scanned
 once for each block and never shuffled. Null texts are empty; empty tables give no rows; repeated documents and items
@@ -25,10 +33,10 @@ from pyspark.sql import functions as F
 from .common import CACHES, enter, ragged, record, slices, texts
 
 #: The masks, 1 = compared.
-MASKS = ("111010010111", "110110101011", "101101110110", "111111110000")
-SPAN, SHORTEST = 12, 5
-LEAST, SHARE, SIMILARITY, MISS = 12, 0.5, 0.8, 3
-BLOCK_WORDS = 1 << 21
+MASKS, SHORT_MASKS = ("1111", "11101"), ("11011", "10111")
+SHORTEST = 5
+LEAST, SHARE, SIMILARITY, MISS, MOST = 12, 0.5, 0.8, 1, 16
+BLOCK_WORDS, CELLS, HITS = 1 << 21, 1 << 21, 1 << 20
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _BASE = 0x100000001B3 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
@@ -82,64 +90,145 @@ def _windows(hashes: np.ndarray, mask: str) -> np.ndarray:
     for k, c in enumerate(mask):
         if c == "1":
             out = out * np.uint64(0xD6E8FEB86659FD93) + hashes[k : k + n]
-    return _mixed(out ^ np.uint64(len(mask) * 1_000_003 + int(mask, 2)))
+    return _mixed(out ^ np.uint64(mask.count("1")))
+
 
+def aligned(equal: np.ndarray, first: np.ndarray, lengths: np.ndarray, most: int, whole: bool, least: np.ndarray, similarity: float) -> np.ndarray:
+    """(equal words, misses, start, end) of each candidate's best overlap, no words where there is none.
+
+    equal[c, i, k]: item word i of candidate c is the document's word first[c] + i + k. `whole`: the overlap is the whole
+    item; otherwise it begins and ends with equal words and has at least least[c] of them and misses. The table holds, for
+    each number of misses, the most equal words of an overlap that ends there, and of those the earliest start.
+    """
+    n, rows, width = equal.shape
+    one, none = np.int64(1) << 32, np.int64(-1) << 60
+    place = np.arange(width) + first[:, None]  # of item word 0; never below -rows - width
+    back = (np.int64(1) << 31) - place
+    table = np.full((most + 1, n, width), none, np.int64)
+    if whole:
+        table[0] = back
+    best = np.zeros((n, 5), np.int64)
+    best[:, 0] = np.iinfo(np.int64).min
+    for i in range(rows):
+        now, same = np.empty_like(table), equal[:, i]
+        for e in range(most + 1):
+            got = np.where(same, table[e] + one, none)
+            if not whole:
+                np.maximum(got, np.where(same, one + back - i, none), out=got)
+            if e:
+                np.maximum(got, table[e - 1], out=got)
+                np.maximum(got[:, :-1], table[e - 1][:, 1:], out=got[:, :-1])
+                np.maximum(got[:, 1:], now[e - 1][:, :-1], out=got[:, 1:])
+            now[e] = got
+            stops = (lengths == i + 1)[:, None] if whole else same
+            words = got >> 32
+            fits = stops & (words > 0) & (words >= similarity * (words + e) - 1e-9) & (whole | (words + e >= least[:, None]))
+            if fits.any():
+                rank = np.where(fits, got - e * MISS * one, np.iinfo(np.int64).min)
+                k = np.argmax(rank, axis=1)
+                c = np.flatnonzero(rank[np.arange(n), k] > best[:, 0])
+                k = k[c]
+                best[c] = np.stack([rank[c, k], words[c, k], np.full(len(c), e), (np.int64(1) << 31) - (got[c, k] & (one - 1)), place[c, k] + i + 1], axis=1)
+        table = now
+    return best[:, 1:]
 
-def overlap(a: np.ndarray, miss: int = MISS) -> tuple[int, int, int]:
-    """Of the equalities along a diagonal: the run with the most (equal - miss * unequal), as (start, end, equal)."""
-    score = np.where(a, 1, -miss)
-    total = np.cumsum(score)
-    floor = np.minimum.accumulate(np.concatenate([[0], total[:-1]]))
-    end = int(np.argmax(total - floor))
-    start = int(np.argmin(np.concatenate([[0], total[:end]]))) if end else 0
-    return start, end + 1, int(a[start : end + 1].sum())
+
+def _distinct(rows: np.ndarray) -> np.ndarray:
+    rows = rows[np.lexsort(rows.T[::-1])]
+    return rows[np.append(True, (rows[1:] != rows[:-1]).any(axis=1))] if len(rows) else rows
 
 
 class Items:
     """A block of benchmark items, ready to be met."""
 
-    def __init__(self, rows: list[tuple], masks: tuple = MASKS):
-        self.ids, self.hashes = [], []
-        meets: dict[str, list] = {}
+    def __init__(self, rows: list[tuple], masks: tuple = MASKS, least: int = LEAST):
+        self.ids, self.hashes, key, of, at = [], [], [], [], []
+        short = False
         for item, text in rows:
             data = np.frombuffer((text or "").encode("utf-8", "surrogatepass"), np.uint8)
             h, _ = words(data, np.array([0, len(data)]))
             if len(h) < SHORTEST:
                 continue
-            for mask in masks if len(h) >= SPAN else ("1" * len(h),):
-                meets.setdefault(mask, []).append((len(self.ids), _windows(h, mask)))
+            short |= len(h) < least
+            for mask in (*masks, *SHORT_MASKS) if len(h) < least else masks:
+                w = _windows(h, mask)
+                key.append(w)
+                of.append(np.full(len(w), len(self.ids)))
+                at.append(np.arange(len(w)))
             self.ids.append(item)
             self.hashes.append(h)
-        self.meets = {}
-        for mask, got in meets.items():
-            key = np.concatenate([w for _, w in got])
-            order = np.argsort(key, kind="stable")
-            at = np.concatenate([np.arange(len(w)) for _, w in got])[order]
-            of = np.concatenate([np.full(len(w), k) for k, w in got])[order]
-            bits = np.zeros(1 << 22, bool)
-            bits[(key >> np.uint64(42)).astype(np.int64)] = True
-            self.meets[mask] = (key[order], of, at, bits)
-
-    def found(self, hashes: np.ndarray, firsts: np.ndarray) -> np.ndarray:
-        """Distinct (text, item, diagonal): the item's first word stands at that word of all the texts."""
-        out = [np.empty((0, 3), np.int64)]
-        for mask, (key, of, at, bits) in self.meets.items():
+        self.masks = (*masks, *SHORT_MASKS) if short else masks
+        none = np.empty(0, np.int64)
+        key = np.concatenate([np.empty(0, np.uint64), *key])
+        order = np.argsort(key, kind="stable")
+        self.key, self.of, self.at = key[order], np.concatenate([none, *of])[order], np.concatenate([none, *at])[order]
+        self.bits = np.zeros(1 << 22, bool)
+        self.bits[(key >> np.uint64(42)).astype(np.int64)] = True
+        self.lengths = np.array([len(h) for h in self.hashes], np.int64)
+        self.starts = np.cumsum(self.lengths) - self.lengths
+        self.words = np.concatenate([np.empty(0, np.uint64), *self.hashes])
+
+    def found(self, hashes: np.ndarray, firsts: np.ndarray, similarity: float) -> Iterator[np.ndarray]:
+        """(text, item, first diagonal) of meetings, `drift` diagonals taken as one: the item's first word stands at that word of all the texts."""
+        drift = np.maximum(self.drift(similarity), 1)
+        for mask in self.masks:
             got = _windows(hashes, mask)
             if not len(got):
                 continue
-            maybe = np.flatnonzero(bits[(got >> np.uint64(42)).astype(np.int64)])
+            maybe = np.flatnonzero(self.bits[(got >> np.uint64(42)).astype(np.int64)])
             text = np.searchsorted(firsts, maybe, "right") - 1
             maybe, text = (x[maybe + len(mask) <= np.append(firsts, len(hashes))[text + 1]] for x in (maybe, text))
-            a, b = np.searchsorted(key, got[maybe], "left"), np.searchsorted(key, got[maybe], "right")
-            hit = ragged(a, b - a)
-            out.append(np.stack([np.repeat(text, b - a), of[hit], np.repeat(maybe, b - a) - at[hit]], axis=1))
-        return np.unique(np.concatenate(out), axis=0)
+            a, b = np.searchsorted(self.key, got[maybe], "left"), np.searchsorted(self.key, got[maybe], "right")
+            part = np.cumsum(b - a) // HITS  # so many hits at a time, whatever repeats
+            cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(maybe)]
+            for x, y in zip(cuts, cuts[1:], strict=False):
+                hit = ragged(a[x:y], (b - a)[x:y])
+                item, diagonal = self.of[hit], np.repeat(maybe[x:y], (b - a)[x:y]) - self.at[hit]
+                yield _distinct(np.stack([np.repeat(text[x:y], (b - a)[x:y]), item, diagonal // drift[item] * drift[item]], axis=1))
+
+    def drift(self, similarity: float) -> np.ndarray:
+        """The most misses of an overlap of each item."""
+        return np.minimum(np.floor(self.lengths * (1 - similarity) / similarity + 1e-9).astype(np.int64), MOST)
+
+    def overlaps(self, hashes: np.ndarray, firsts: np.ndarray, ends: np.ndarray, least: int, share: float, similarity: float) -> Iterator[tuple]:
+        """(text, item, equal words, misses, start, end) of overlaps, places counted from the first of all words."""
+        spots = _distinct(np.concatenate([np.empty((0, 3), np.int64), *self.found(hashes, firsts, similarity)]))
+        spots = spots[np.argsort(self.lengths[spots[:, 1]], kind="stable")]
+        drifts, at = self.drift(similarity), 0
+        while at < len(spots):
+            # the items of a chunk have nearly the same number of words
+            small = int(self.lengths[spots[at, 1]])
+            upto = int(np.searchsorted(self.lengths[spots[:, 1]], small + 4 + small // 8, "right"))
+            rows, most = small + 4 + small // 8, int(drifts[spots[at:upto, 1]].max())
+            width = 3 * most + 1
+            upto = min(upto, at + max(1, CELLS // (rows * width)))
+            text, item, diagonal = spots[at:upto].T
+            at = upto
+            rows = int(self.lengths[item].max())
+            first = diagonal - most
+            i = np.arange(rows)[:, None]
+            place = first[:, None, None] + i + np.arange(width)
+            inside = (place >= firsts[text][:, None, None]) & (place < ends[text][:, None, None]) & (i < self.lengths[item][:, None, None])
+            own = self.words[np.minimum(self.starts[item][:, None] + np.arange(rows), len(self.words) - 1)]
+            equal = inside & (hashes[np.clip(place, 0, len(hashes) - 1)] == own[:, :, None])
+            need = similarity * np.minimum(least, self.lengths[item])
+            left = np.flatnonzero(equal.any(axis=2).sum(axis=1) >= need - 1e-9)
+            for whole in (False, True):
+                n = self.lengths[item[left]]
+                some = left[similarity * n < least] if whole else left[n >= least]
+                if not len(some):
+                    continue
+                got = aligned(equal[some], first[some], self.lengths[item[some]], most, whole, np.maximum(least, share * self.lengths[item[some]]), similarity)
+                for c, (n_equal, misses, start, end) in zip(some.tolist(), got.tolist(), strict=True):
+                    if n_equal:
+                        yield int(text[c]), int(item[c]), n_equal, misses, max(start, int(firsts[text[c]])), min(end, int(ends[text[c]]))
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, share: float = SHARE, similarity: float = SIMILARITY, masks: tuple = MASKS) -> DataFrame:
     """(doc_id, item_id, start, n_words, n_equal, item_words): the best overlap of each contaminated document and item.
 
     An overlap needs `least` words (an item shorter than that: all its words) and `share` of the item's words.
+    n_words counts the document's words. Masks other than the fixed ones may miss overlaps.
     """
     spark = docs.sparkSession
     schema = pa.schema([("doc_id", pa.int64()), ("item_id", pa.int64()), ("start", pa.int64()), ("n_words", pa.int64()), ("n_equal", pa.int64()), ("item_words", pa.int64())])
@@ -149,7 +238,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, shar
     rows, out = texts(docs), None
     for k in range(blocks):
         block = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k) if blocks > 1 else items
-        sent = spark.sparkContext.broadcast(Items([tuple(r) for r in block.collect()], masks))
+        sent = spark.sparkContext.broadcast(Items([tuple(r) for r in block.collect()], masks, least))
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             enter("seeds")
@@ -161,17 +250,13 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, shar
                 hashes, firsts = words(data, offsets - offsets[0])
                 firsts, ends = firsts[:-1], np.append(firsts[1:-1], len(hashes))
                 best: dict[tuple[int, int], tuple] = {}
-                for text, item, at in items.found(hashes, firsts).tolist():
-                    own = items.hashes[item]
-                    a, b = max(at, firsts[text]), min(at + len(own), ends[text])
-                    s, e, n = overlap(hashes[a:b] == own[a - at : b - at])
-                    if e - s >= max(min(least, len(own)), share * len(own)) and n >= similarity * (e - s):
-                        now = (n, -(a + s - firsts[text]), e - s)
-                        if now > best.get((text, item), (0,)):
-                            best[text, item] = now
+                for text, item, n, misses, start, end in items.overlaps(hashes, firsts, ends, least, share, similarity):
+                    now = (n - MISS * misses, n, firsts[text] - start, end - start)
+                    if (text, item) not in best or now > best[text, item]:
+                        best[text, item] = now
                 if best:
                     keys, vals = list(best), list(best.values())
-                    yield record(schema, [batch.column(0)[t].as_py() for t, _ in keys], [items.ids[i] for _, i in keys], [int(-v[1]) for v in vals], [int(v[2]) for v in vals], [int(v[0]) for v in vals], [len(items.hashes[i]) for _, i in keys])
+                    yield record(schema, [batch.column(0)[t].as_py() for t, _ in keys], [items.ids[i] for _, i in keys], [int(-v[2]) for v in vals], [int(v[3]) for v in vals], [int(v[1]) for v in vals], [len(items.hashes[i]) for _, i in keys])
 
         part = rows.mapInArrow(run, "doc_id long, item_id long, start long, n_words long, n_equal long, item_words long")
         out = part if out is None else out.unionByName(part)

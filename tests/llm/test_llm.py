@@ -1,6 +1,7 @@
 """Each operator against a plain version of itself, and on nulls, empty and long texts, ties, repeated rows and empty tables."""
 
 import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -354,6 +355,27 @@ def test_spaced_seeds_find_substituted_passages(spark):
     assert decontaminate.contaminated(docs(spark, texts), bench.where("false")).count() == 0
 
 
+def test_no_overlap_of_four_fifths_is_missed(spark):
+    rng = random.Random(12)
+    vocabulary = [f"w{i}" for i in range(3000)]
+    items, texts = [], []
+    for n in [*range(5, 24), 29, 30, 40, 59]:
+        for _ in range(6):
+            own = [rng.choice(vocabulary) for _ in range(n)]
+            changed = list(own)
+            for k in rng.sample(range(n), n // 5):
+                changed[k] = "x"
+            items.append(" ".join(own))
+            texts.append(" ".join([f"v{rng.randrange(999)}" for _ in range(7)] + changed + ["y", "z"]))
+    for n, misses in ((5, 1), (6, 1), (11, 2), (12, 2), (15, 3)):  # every place
+        for places in itertools.combinations(range(n), misses):
+            items.append(" ".join(f"p{len(items)}q{k}" for k in range(n)))
+            texts.append(" ".join("x" if k in places else w for k, w in enumerate(items[-1].split())))
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(docs(spark, texts), bench).collect()}
+    assert got == {(i, i) for i in range(len(items))}
+
+
 def test_word_hashes_do_not_depend_on_the_place():
     h = lambda t: decontaminate.words(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t.encode())]))[0].tolist()
     assert h("Alpha, beta") == h("  alpha -- BETA!") and h("alpha beta") != h("beta alpha") and h("") == []
