@@ -6,8 +6,8 @@ same. All masks share one table, so that an item's window may meet a document's
 between in one of them only, which is an inserted or dropped word.
 
 Around each meeting item and document are aligned word by word in a band of diagonals; a word that is changed, inserted
-or dropped is one miss. An overlap begins and ends with equal words, has at least `least` words and `similarity` of them
-equal; or it is the whole item, however short, with `similarity` of its words equal. Of the overlaps of a document and
+or dropped is one miss. An overlap begins and ends with equal words, takes at least `least` words of the document or of
+the item, and `similarity` of equal words and misses are equal; or it is the whole item, however short, with `similarity` of its words equal. Of the overlaps of a document and
 an item the one with the most (equal - MISS * misses) is reported.
 
 No such overlap is missed at the fixed values: 12 words or more with a fifth missed always leave four equal words in a
@@ -35,7 +35,7 @@ from .common import CACHES, enter, ragged, record, slices, texts
 #: The masks, 1 = compared.
 MASKS, SHORT_MASKS = ("1111", "11101"), ("11011", "10111")
 SHORTEST = 5
-LEAST, SHARE, SIMILARITY, MISS, MOST = 12, 0.5, 0.8, 1, 16
+LEAST, SIMILARITY, MISS, MOST = 12, 0.8, 1, 16
 BLOCK_WORDS, CELLS, HITS = 1 << 21, 1 << 21, 1 << 20
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _BASE = 0x100000001B3 | 1
@@ -93,20 +93,21 @@ def _windows(hashes: np.ndarray, mask: str) -> np.ndarray:
     return _mixed(out ^ np.uint64(mask.count("1")))
 
 
-def aligned(equal: np.ndarray, first: np.ndarray, lengths: np.ndarray, most: int, whole: bool, least: np.ndarray, similarity: float) -> np.ndarray:
+def aligned(equal: np.ndarray, first: np.ndarray, lengths: np.ndarray, most: int, whole: bool, least: int, similarity: float) -> np.ndarray:
     """(equal words, misses, start, end) of each candidate's best overlap, no words where there is none.
 
-    equal[c, i, k]: item word i of candidate c is the document's word first[c] + i + k. `whole`: the overlap is the whole
-    item; otherwise it begins and ends with equal words and has at least least[c] of them and misses. The table holds, for
-    each number of misses, the most equal words of an overlap that ends there, and of those the earliest start.
+    equal[c, i, k]: item word i of candidate c is the document's word first[c] + i + k (k < 128). `whole`: the overlap is the whole
+    item; otherwise it begins and ends with equal words and takes `least` words of the document or of the item. The table
+    holds, for each number of misses, the most equal words of an overlap that ends there, and of those the earliest start
+    (counted from `first`, negated) and its diagonal.
     """
     n, rows, width = equal.shape
     one, none = np.int64(1) << 32, np.int64(-1) << 60
-    place = np.arange(width) + first[:, None]  # of item word 0; never below -rows - width
-    back = (np.int64(1) << 31) - place
+    diagonal = np.arange(width)
+    opened = (((np.int64(1) << 24) - diagonal) << 7) + diagonal
     table = np.full((most + 1, n, width), none, np.int64)
     if whole:
-        table[0] = back
+        table[0] = opened
     best = np.zeros((n, 5), np.int64)
     best[:, 0] = np.iinfo(np.int64).min
     for i in range(rows):
@@ -114,21 +115,23 @@ def aligned(equal: np.ndarray, first: np.ndarray, lengths: np.ndarray, most: int
         for e in range(most + 1):
             got = np.where(same, table[e] + one, none)
             if not whole:
-                np.maximum(got, np.where(same, one + back - i, none), out=got)
+                np.maximum(got, np.where(same, one + opened - (i << 7), none), out=got)
             if e:
                 np.maximum(got, table[e - 1], out=got)
                 np.maximum(got[:, :-1], table[e - 1][:, 1:], out=got[:, :-1])
                 np.maximum(got[:, 1:], now[e - 1][:, :-1], out=got[:, 1:])
             now[e] = got
             stops = (lengths == i + 1)[:, None] if whole else same
-            words = got >> 32
-            fits = stops & (words > 0) & (words >= similarity * (words + e) - 1e-9) & (whole | (words + e >= least[:, None]))
+            words, start = got >> 32, (np.int64(1) << 24) - ((got & (one - 1)) >> 7)
+            fits = stops & (words > 0) & (words >= similarity * (words + e) - 1e-9)
+            if not whole:
+                fits &= i + 1 - start + np.maximum(diagonal, got & 127) >= least
             if fits.any():
                 rank = np.where(fits, got - e * MISS * one, np.iinfo(np.int64).min)
                 k = np.argmax(rank, axis=1)
                 c = np.flatnonzero(rank[np.arange(n), k] > best[:, 0])
                 k = k[c]
-                best[c] = np.stack([rank[c, k], words[c, k], np.full(len(c), e), (np.int64(1) << 31) - (got[c, k] & (one - 1)), place[c, k] + i + 1], axis=1)
+                best[c] = np.stack([rank[c, k], words[c, k], np.full(len(c), e), first[c] + start[c, k], first[c] + i + k + 1], axis=1)
         table = now
     return best[:, 1:]
 
@@ -190,7 +193,7 @@ class Items:
         """The most misses of an overlap of each item."""
         return np.minimum(np.floor(self.lengths * (1 - similarity) / similarity + 1e-9).astype(np.int64), MOST)
 
-    def overlaps(self, hashes: np.ndarray, firsts: np.ndarray, ends: np.ndarray, least: int, share: float, similarity: float) -> Iterator[tuple]:
+    def overlaps(self, hashes: np.ndarray, firsts: np.ndarray, ends: np.ndarray, least: int, similarity: float) -> Iterator[tuple]:
         """(text, item, equal words, misses, start, end) of overlaps, places counted from the first of all words."""
         spots = _distinct(np.concatenate([np.empty((0, 3), np.int64), *self.found(hashes, firsts, similarity)]))
         spots = spots[np.argsort(self.lengths[spots[:, 1]], kind="stable")]
@@ -218,16 +221,17 @@ class Items:
                 some = left[similarity * n < least] if whole else left[n >= least]
                 if not len(some):
                     continue
-                got = aligned(equal[some], first[some], self.lengths[item[some]], most, whole, np.maximum(least, share * self.lengths[item[some]]), similarity)
+                got = aligned(equal[some], first[some], self.lengths[item[some]], most, whole, least, similarity)
                 for c, (n_equal, misses, start, end) in zip(some.tolist(), got.tolist(), strict=True):
                     if n_equal:
                         yield int(text[c]), int(item[c]), n_equal, misses, max(start, int(firsts[text[c]])), min(end, int(ends[text[c]]))
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, share: float = SHARE, similarity: float = SIMILARITY, masks: tuple = MASKS) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, similarity: float = SIMILARITY, masks: tuple = MASKS) -> DataFrame:
     """(doc_id, item_id, start, n_words, n_equal, item_words): the best overlap of each contaminated document and item.
 
-    An overlap needs `least` words (an item shorter than that: all its words) and `share` of the item's words.
+    An overlap needs `least` words, inserted or dropped ones among them, however long the item is (an item shorter
+    than that: all its words).
     n_words counts the document's words. Masks other than the fixed ones may miss overlaps.
     """
     spark = docs.sparkSession
@@ -250,7 +254,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, shar
                 hashes, firsts = words(data, offsets - offsets[0])
                 firsts, ends = firsts[:-1], np.append(firsts[1:-1], len(hashes))
                 best: dict[tuple[int, int], tuple] = {}
-                for text, item, n, misses, start, end in items.overlaps(hashes, firsts, ends, least, share, similarity):
+                for text, item, n, misses, start, end in items.overlaps(hashes, firsts, ends, least, similarity):
                     now = (n - MISS * misses, n, firsts[text] - start, end - start)
                     if (text, item) not in best or now > best[text, item]:
                         best[text, item] = now

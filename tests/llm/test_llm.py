@@ -376,6 +376,35 @@ def test_no_overlap_of_four_fifths_is_missed(spark):
     assert got == {(i, i) for i in range(len(items))}
 
 
+def test_parts_of_items_and_inserted_words(spark):
+    rng = random.Random(13)
+    item = lambda n: [f"w{rng.randrange(9000)}" for _ in range(n)]
+    items, texts, want = [], [], []
+    for n, part in ((59, 29), (250, 100), (40, 12)):
+        items.append(item(n))
+        texts.append(item(5) + items[-1][7 : 7 + part] + item(5))
+        want.append((part, part))
+    for n in (5, 8, 12, 16, 23, 59):
+        items += [item(n), item(n)]
+        texts.append(item(5) + items[-2][: n // 2] + ["x"] + items[-2][n // 2 :] + item(5))
+        texts.append(item(5) + items[-1][: n // 2] + items[-1][n // 2 + 1 :] + item(5))
+        want += [(n + 1, n), (n - 1, n - 1)]
+    # every tenth word dropped, no twelve words together
+    items.append(item(59))
+    texts.append([w for k, w in enumerate(items[-1]) if k % 10 != 9])
+    want.append((54, 54))
+    # four threes with a word inserted or dropped between
+    items += [item(12), item(18)]
+    texts += [[*items[-2][:3], "x", *items[-2][3:6], "x", *items[-2][6:9], "x", *items[-2][9:]], [w for k, w in enumerate(items[-1]) if k not in (3, 7, 11)][:12]]
+    want += [(15, 12), (12, 12)]
+    bench = spark.createDataFrame([(i, " ".join(x)) for i, x in enumerate(items)], "item_id long, text string")
+    got = {r["doc_id"]: r for r in decontaminate.contaminated(docs(spark, [" ".join(x) for x in texts]), bench).collect()}
+    assert {i: (r["n_words"], r["n_equal"]) for i, r in got.items()} == dict(enumerate(want))
+    assert got[0]["start"] == 5 and got[0]["item_words"] == 59
+    near = [items[0][:11], items[0][:3] + ["x"] + items[0][4:7] + ["x", "x"] + items[0][9:14]]  # too short, too far
+    assert decontaminate.contaminated(docs(spark, [" ".join(x) for x in near]), bench).count() == 0
+
+
 def test_word_hashes_do_not_depend_on_the_place():
     h = lambda t: decontaminate.words(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t.encode())]))[0].tolist()
     assert h("Alpha, beta") == h("  alpha -- BETA!") and h("alpha beta") != h("beta alpha") and h("") == []
