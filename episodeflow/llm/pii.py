@@ -62,39 +62,55 @@ def _valid(kind: str, value: Column, context: Column) -> Column:
 
 
 def _placed(gaps: Column, found: Column) -> Column:
-    """(start, end, value) of each match. The sums run chunk by chunk, so that long arrays don't cost their square."""
+    """(start, end, value, number) of each match. The sums run chunk by chunk, so that long arrays don't cost their square."""
     n = F.size(found)
-    span = "struct<at:int,out:array<struct<s:int,e:int,v:string,l:string,r:string>>>"
-    empty = F.lit(None).cast("array<struct<s:int,e:int,v:string,l:string,r:string>>")
+    span = "struct<at:int,out:array<struct<s:int,e:int,v:string,i:int>>>"
+    empty = F.lit(None).cast("array<struct<s:int,e:int,v:string,i:int>>")
 
     def chunk(base: Column, k: Column) -> Column:
         ids = F.sequence(k * CHUNK, F.least((k + 1) * CHUNK, n) - 1)
-        start = F.struct(base.alias("at"), F.coalesce(empty, F.array().cast("array<struct<s:int,e:int,v:string,l:string,r:string>>")).alias("out")).cast(span)
+        start = F.struct(base.alias("at"), F.coalesce(empty, F.array().cast("array<struct<s:int,e:int,v:string,i:int>>")).alias("out")).cast(span)
 
         def step(a: Column, i: Column) -> Column:
             left, value = F.get(gaps, i), F.get(found, i)
             s = a["at"] + F.length(left)
             e = s + F.length(value)
-            item = F.struct(s.alias("s"), e.alias("e"), value.alias("v"), F.right(left, F.lit(WINDOW)).alias("l"), F.left(F.get(gaps, i + 1), F.lit(WINDOW)).alias("r"))
+            item = F.struct(s.alias("s"), e.alias("e"), value.alias("v"), i.alias("i"))
             return F.struct(e.alias("at"), F.concat(a["out"], F.array(item)).alias("out")).cast(span)
 
         return F.aggregate(ids, start, step)
 
-    many = "struct<at:int,out:array<array<struct<s:int,e:int,v:string,l:string,r:string>>>>"
+    many = "struct<at:int,out:array<array<struct<s:int,e:int,v:string,i:int>>>>"
 
     def outer(a: Column, k: Column) -> Column:
         got = F.transform(F.array(a["at"]), lambda base: chunk(base, k))  # bound once
         return F.element_at(F.transform(got, lambda c: F.struct(c["at"].alias("at"), F.concat(a["out"], F.array(c["out"])).alias("out")).cast(many)), 1)
 
-    ran = F.aggregate(F.sequence(F.lit(0), F.floor((n - 1) / CHUNK).cast("int")), F.struct(F.lit(0).alias("at"), F.array().cast("array<array<struct<s:int,e:int,v:string,l:string,r:string>>>").alias("out")).cast(many), outer)
-    return F.when(n > 0, F.flatten(ran["out"])).otherwise(F.array().cast("array<struct<s:int,e:int,v:string,l:string,r:string>>"))
+    ran = F.aggregate(F.sequence(F.lit(0), F.floor((n - 1) / CHUNK).cast("int")), F.struct(F.lit(0).alias("at"), F.array().cast("array<array<struct<s:int,e:int,v:string,i:int>>>").alias("out")).cast(many), outer)
+    return F.when(n > 0, F.flatten(ran["out"])).otherwise(F.array().cast("array<struct<s:int,e:int,v:string,i:int>>"))
+
+
+def _before(gaps: Column, found: Column, i: Column, most: int) -> Column:
+    """The `most` characters before match i, put together from gaps and matches (of two characters at least)."""
+    n, last = F.least(i, F.lit(most // 2)), lambda x: F.right(x, F.lit(most))
+    each = F.zip_with(F.slice(gaps, i - n + 1, n), F.slice(found, i - n + 1, n), lambda g, f: F.concat(last(g), last(f)))
+    return last(F.concat(F.array_join(each, ""), last(F.get(gaps, i))))
+
+
+def _after(gaps: Column, found: Column, i: Column, most: int) -> Column:
+    """The `most` characters after match i."""
+    n, first = F.lit(most // 2), lambda x: F.left(x, F.lit(most))
+    n = F.least(n, F.size(found) - i - 1)
+    each = F.zip_with(F.slice(found, i + 2, n), F.slice(gaps, i + 3, n), lambda f, g: F.concat(first(f), first(g)))
+    return first(F.concat(first(F.get(gaps, i + 1)), F.array_join(each, "")))
 
 
 def _confirmed(kind: str, _pattern: str, low: float, high: float, words: str) -> Column:
     """The placed matches of a kind that are valid, each with its score."""
 
     def near(x: Column) -> Column:
-        return F.lower(F.concat_ws(" | ", x["l"], x["r"])).rlike(words)
+        gaps, found = F.col(f"_g_{kind}"), F.col(f"_m_{kind}")
+        return F.lower(F.concat_ws(" | ", _before(gaps, found, x["i"], WINDOW), _after(gaps, found, x["i"], WINDOW))).rlike(words)
 
     right = F.filter(F.col(f"_p_{kind}"), lambda x: _valid(kind, x["v"], near(x)))
     return F.transform(right, lambda x: F.struct(F.lit(kind).alias("kind"), x["s"].alias("start"), x["e"].alias("end"), F.when(near(x), F.lit(high)).otherwise(F.lit(low)).alias("score")))

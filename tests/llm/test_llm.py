@@ -176,6 +176,18 @@ def test_context_and_checksums(spark):
     assert red[0]["text"] == "IBAN <iban>." and red[6]["text"] is None and red[7]["text"] == "é <email> é <phone>" and red[1]["text"] == texts[1]
 
 
+def test_context_reaches_over_other_matches(spark):
+    texts = ["SSN on file: 123-45-6789, 234-56-7890", "123-45-6789 and 234-56-7890 are tax numbers", "SSN 123-45-6789" + "," * 29 + "234-56-7890", "SSN 123-45-6789" + "," * 24 + "234-56-7890", "hosts: " + "10.0.0.1 " * 6]
+    rows = {r["doc_id"]: r["spans"] for r in pii.report(docs(spark, texts)).collect()}
+    assert [rows[i] for i in range(4)] == ["ssn:13:24,ssn:26:37", "ssn:0:11,ssn:16:27", "ssn:4:15", "ssn:4:15,ssn:39:50"]
+    gaps = {r["doc_id"]: [round(x["score"], 2) for x in r["ip"]] for r in pii.find(docs(spark, texts)).collect()}
+    assert gaps[4] == [0.95] * 4 + [0.6] * 2
+    many = " ".join(f"{100 + i}-45-6789" for i in range(300)) + " ssn"
+    assert pii.report(docs(spark, [many])).first()["spans"] == "ssn:3552:3563,ssn:3564:3575,ssn:3576:3587,ssn:3588:3599"
+    red = pii.redact(docs(spark, texts[:1]), ["doc_id", "text"]).first()["text"]
+    assert red == "SSN on file: <ssn>, <ssn>"
+
+
 # ---- near-duplicates
 
 
