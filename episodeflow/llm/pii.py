@@ -1,10 +1,14 @@
 """Personal data found by patterns, confirmed by checksums and scored by the words around it; DataFrame functions only.
 
 Patterns propose spans, leftmost and non-overlapping within a kind. `card` needs 13 to 19 digits that pass Luhn, `iban`
-a valid mod-97 remainder, `ip` parts of at most 255, `phone` 9 to 15 digits; `ssn` has no checksum, so it stands only
+a valid mod-97 remainder; `ip` parts of at most 255, `phone` 9 to 15 digits; `ssn` has no checksum, so it stands only
 where a context word lies near. Each kind has a base score; a context word within `WINDOW` characters before or after
 raises it. Spans are code points, end exclusive.
 
+Words and numbers may follow an account number after a space, so its pattern proposes only where one may begin, each
+apart from the others. Of the ends at a word border after 15 to 34 letters and digits, the one that gives the country's
+length is taken if it is valid, else the last valid one. A number that begins within another is left out.
+
 The patterns are written with possessive repeats and start only where a run begins or the last match ended. That finds
 the spans of the plain patterns in linear time and without recursion, however long a run of digits or letters is.
 
@@ -25,11 +29,18 @@ KINDS = [
     ("ip", r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", 0.6, 0.95, r"\bip\b|address|server|host|adresse"),
     ("card", r"[0-9](?:[\x20-]?[0-9])++", 0.8, 1.0, r"card|visa|carte|karte|tarjeta|credit|payment"),
     ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", 0.7, 0.95, r"phone|call|tel|mobile|fax"),
-    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:[\x20]?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", 0.9, 1.0, r"iban|bank|account|konto|compte|cuenta"),
+    ("iban", r"(?<![A-Za-z0-9])[A-Z]{2}(?=[0-9]{2}(?:[\x20]?[A-Z0-9]){11})", 0.9, 1.0, r"iban|bank|account|konto|compte|cuenta"),
     ("ssn", r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", 0.0, 0.85, r"ssn|social|security|tax"),
 ]
 BASE = ["email", "ip", "card", "phone"]
 WINDOW, CHUNK = 40, 128
+#: The most characters of an account number with its spaces; the countries' lengths.
+LONGEST = 67
+LENGTHS = dict(zip(
+    "AD AE AL AT AZ BA BE BG BH BR BY CH CR CY CZ DE DK DO EE EG ES FI FO FR GB GE GI GL GR GT HR HU IE IL IQ IS IT JO KW KZ LB LC LI LT LU LV LY MC MD ME MK MR MT MU NL NO PK PL PS PT QA RO RS SA SC SE SI SK SM ST SV TL TN TR UA VA VG XK".split(),
+    (24, 23, 28, 20, 28, 20, 16, 22, 22, 29, 28, 21, 22, 28, 24, 22, 18, 28, 20, 29, 24, 18, 18, 27, 22, 22, 23, 18, 27, 28, 21, 28, 22, 23, 23, 26, 27, 30, 30, 20, 28, 32, 21, 20, 20, 21, 25, 27, 24, 22, 19, 27, 31, 30, 18, 15, 24, 28, 29, 25, 29, 24, 22, 24, 31, 24, 19, 24, 27, 25, 28, 23, 24, 26, 29, 22, 24, 20),
+    strict=True,
+))
 BYTE = r"^0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])$"
 
 
@@ -55,9 +66,6 @@ def _valid(kind: str, value: Column, context: Column) -> Column:
         return F.when(F.length(digits).between(13, 19), _luhn(digits)).otherwise(F.lit(False))
     if kind == "phone":
         return F.length(digits).between(9, 15)
-    if kind == "iban":
-        code = F.regexp_replace(value, " ", "")
-        return F.when(F.length(code).between(15, 34), _mod97(code)).otherwise(F.lit(False))
     return context if kind == "ssn" else F.lit(True)
 
 
@@ -105,12 +113,37 @@ def _after(gaps: Column, found: Column, i: Column, most: int) -> Column:
     return first(F.concat(first(F.get(gaps, i + 1)), F.array_join(each, "")))
 
 
+def _accounts(heads: Column, gaps: Column, found: Column) -> Column:
+    """The valid account numbers that begin at the placed heads."""
+    kind = "array<struct<s:int,e:int,v:string,i:int>>"
+
+    def ends(text: Column) -> Column:
+        run = F.regexp_extract(text, "^[A-Z]{2}[0-9]{2}(?:[ ]?[A-Z0-9]){11,30}", 0)
+        border = F.filter(F.sequence(F.lit(15), F.length(run)), lambda p: (F.substring(text, p, F.lit(1)) != " ") & ~F.substring(text, p + 1, F.lit(1)).rlike("[A-Za-z0-9]"))
+        codes = F.transform(border, lambda p: F.struct(p.alias("p"), F.regexp_replace(F.substring(text, F.lit(1), p), " ", "").alias("c")))
+        valid = F.filter(codes, lambda x: F.when(F.length(x["c"]).between(15, 34), _mod97(x["c"])).otherwise(F.lit(False)))
+        length = F.create_map(*[F.lit(x) for pair in LENGTHS.items() for x in pair])
+        return F.array_max(F.transform(valid, lambda x: F.struct(F.coalesce(F.length(x["c"]) == F.try_element_at(length, F.left(x["c"], F.lit(2))), F.lit(False)).alias("own"), x["p"].alias("p"))))["p"]
+
+    def whole(x: Column) -> Column:
+        text = F.concat(x["v"], _after(gaps, found, x["i"], LONGEST))
+        return F.element_at(F.transform(F.array(text), lambda t: F.element_at(F.transform(F.array(ends(t)), lambda p: F.struct(x["s"].alias("s"), (x["s"] + p).alias("e"), F.left(t, p).alias("v"), x["i"].alias("i"))), 1)), 1)
+
+    every = F.filter(F.transform(heads, whole), lambda x: x["e"].isNotNull())
+    meet = F.exists(F.zip_with(every, F.slice(every, F.lit(2), F.size(every)), lambda x, y: F.coalesce(y["s"] < x["e"], F.lit(False))), lambda b: b)
+    apart = F.aggregate(every, F.array().cast(kind), lambda a, x: F.when(F.coalesce(F.get(a, F.size(a) - 1)["e"] > x["s"], F.lit(False)), a).otherwise(F.concat(a, F.array(x)).cast(kind)))
+    return F.when(F.size(heads) == 0, F.array().cast(kind)).when(meet, apart).otherwise(every)
+
+
 def _confirmed(kind: str, _pattern: str, low: float, high: float, words: str) -> Column:
     """The placed matches of a kind that are valid, each with its score."""
 
     def near(x: Column) -> Column:
         gaps, found = F.col(f"_g_{kind}"), F.col(f"_m_{kind}")
-        return F.lower(F.concat_ws(" | ", _before(gaps, found, x["i"], WINDOW), _after(gaps, found, x["i"], WINDOW))).rlike(words)
+        after = _after(gaps, found, x["i"], WINDOW)
+        if kind == "iban":  # only its head is a match
+            after = F.substring(_after(gaps, found, x["i"], LONGEST + WINDOW), F.length(x["v"]) - 1, F.lit(WINDOW))
+        return F.lower(F.concat_ws(" | ", _before(gaps, found, x["i"], WINDOW), after)).rlike(words)
 
     right = F.filter(F.col(f"_p_{kind}"), lambda x: _valid(kind, x["v"], near(x)))
     return F.transform(right, lambda x: F.struct(F.lit(kind).alias("kind"), x["s"].alias("start"), x["e"].alias("end"), F.when(near(x), F.lit(high)).otherwise(F.lit(low)).alias("score")))
@@ -127,6 +160,7 @@ def find(docs: DataFrame, *more: str) -> DataFrame:
     for kind, pattern, *_ in KINDS:
         df = df.withColumn(f"_g_{kind}", F.when(F.size(f"_m_{kind}") > 0, F.split("text", pattern, -1)).otherwise(F.array().cast("array<string>")))
     df = df.withColumns({f"_p_{kind}": _placed(F.col(f"_g_{kind}"), F.col(f"_m_{kind}")) for kind, *_ in KINDS})
+    df = df.withColumn("_p_iban", _accounts(F.col("_p_iban"), F.col("_g_iban"), F.col("_m_iban")))
     df = df.withColumns({f"_s_{k[0]}": _confirmed(*k) for k in KINDS})
     return df.select("doc_id", "text", *more, *[F.col(f"_s_{k}").alias(k) for k, *_ in KINDS])
 

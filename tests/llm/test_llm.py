@@ -176,6 +176,25 @@ def test_context_and_checksums(spark):
     assert red[0]["text"] == "IBAN <iban>." and red[6]["text"] is None and red[7]["text"] == "é <email> é <phone>" and red[1]["text"] == texts[1]
 
 
+def test_account_numbers_before_words_and_numbers(spark):
+    own, spaced = "DE89370400440532013000", "GB82 WEST 1234 5698 7654 32"
+    texts = [f"{own} Please pay", f"{own} BIC COBADEFF", f"é {own} 5 times", f"{spaced} THEN 77 MORE", f"{own} {spaced} {own}", f"{own}please", "GB82 WEST 1234 5698 7654 33 AND SO ON", f"{own} {own} " * 3, "NO9386011117947", "NO9386011117947 " + "A" * 30, f"{own}", f"x{own}"]
+    rows = {r["doc_id"]: r["spans"] for r in pii.report(docs(spark, texts)).collect()}
+    only = {i: ",".join(x for x in v.split(",") if x.startswith("iban")) for i, v in rows.items()}
+    assert [only[i] for i in (0, 1, 2, 3)] == ["iban:0:22", "iban:0:22", "iban:2:24", "iban:0:27"]
+    assert only[4] == "iban:0:22,iban:23:50,iban:51:73" and only[5] == only[6] == only[11] == ""
+    assert only[7] == ",".join(f"iban:{23 * k}:{23 * k + 22}" for k in range(6))
+    assert only[8] == only[9] == "iban:0:15" and only[10] == "iban:0:22"
+    red = pii.redact(docs(spark, [texts[0]]), ["doc_id", "text"]).first()["text"]
+    assert red == "<iban> Please pay"
+    check = lambda c, body: f"{98 - int(''.join(str(int(x, 36)) for x in body + c + '00')) % 97:02d}"
+    inner = "QQ" + check("QQ", "ABCDEFGHIJKLMNOP") + " ABCD EFGH IJKL MNOP"
+    outer = "ZZ" + check("ZZ", inner[:14].replace(" ", "")) + " " + inner  # each valid, the second begins within the first
+    assert [pii.report(docs(spark, [x])).first()["spans"] for x in (inner, outer)] == ["iban:0:24", "iban:0:19"]
+    score = pii.find(docs(spark, [f"{own} 5 is my bank", f"{own} " + "." * 36 + " bank"])).orderBy("doc_id").collect()
+    assert [round(r["iban"][0]["score"], 2) for r in score] == [1.0, 0.9]
+
+
 def test_context_reaches_over_other_matches(spark):
     texts = ["SSN on file: 123-45-6789, 234-56-7890", "123-45-6789 and 234-56-7890 are tax numbers", "SSN 123-45-6789" + "," * 29 + "234-56-7890", "SSN 123-45-6789" + "," * 24 + "234-56-7890", "hosts: " + "10.0.0.1 " * 6]
     rows = {r["doc_id"]: r["spans"] for r in pii.report(docs(spark, texts)).collect()}
