@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from . import sqltext as S
 from .functions import rates, udfs
+from .llm.common import new_path
 from .model import Episode, Gap, parallel, serial
 from .operators import automata, baselines, candidates, compound, frequency, measures, occurrences, significance, simulator
 from .plans import miner, strategy
@@ -749,13 +750,14 @@ def spike_source(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def online_count(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Running counts over a replay of events; each stream's last count of each episode."""
+    """Running counts over a replay of all events; each stream's last count of each episode."""
     import uuid
 
     ev = spark.readStream.schema(T.load(spark, sf_dir, "events").schema).parquet(f"{sf_dir.rstrip('/')}/events.parquet*")
     timed = T.as_stream(ev, T.EventStreamSpec("user_id", "event_type", "ts", "event_id")).withColumn("ts", F.timestamp_micros("t"))
     eps = [parallel(("click", "purchase")), parallel(("click", "view"))]
     name = f"online_{uuid.uuid4().hex}"
+    timed = online.closed(timed, new_path(spark, "closing"))
     q = online.online_count(timed, eps, 6 * HOUR).writeStream.outputMode("update").format("memory").queryName(name).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name).groupBy("stream", "ep_id").agg(F.max("freq").alias("freq"))

@@ -98,6 +98,19 @@ def test_online_counts_equal_batch_counts(spark, tmp_path):
     assert got == want
 
 
+@needs_data
+def test_replay_counts_the_last_hour_too(spark, tmp_path):
+    first = spark.read.parquet(f"{SF}/events.parquet").orderBy("ts").limit(3)
+    rows = [(i, 1, k, i) for i, k in enumerate(["click", "purchase", "click", "view", "purchase"])]
+    made = spark.createDataFrame(rows, "event_id long, user_id long, event_type string, m int").withColumn("ts", F.expr("timestamp_ntz'2024-01-01 00:00:00' + make_interval(0, 0, 0, 0, 0, m)")).withColumns({"value": F.lit(0.0), "props": F.lit("{}")})
+    made.select(first.columns).coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    got = {r["ep_id"]: r["freq"] for r in own.QUERIES["online_count"](spark, str(tmp_path)).collect()}
+    assert got == {"click+purchase": 2, "click+view": 1}
+    whole = own.QUERIES["online_count"](spark, SF).groupBy("ep_id").agg(F.sum("freq").alias("freq")).collect()
+    batch = frequency.count(occurrences.parallel_pairs(occurrences.recents(T.user_events(spark, SF), 21_600_000_000))).where("ep_id IN ('click+purchase', 'click+view')").collect()
+    assert {r["ep_id"]: r["freq"] for r in whole} == {r["ep_id"]: r["freq"] for r in batch}
+
+
 def test_online_rates_pairs_and_dedupe(spark, tmp_path):
     rows = [("a", x, 1_700_000_000_000_000 + 60_000_000 * t, t) for t, x in ((0, "A"), (2, "B"), (2, "B"), (9, "A"), (11, "B"))]
     s = spark.createDataFrame(rows, "stream string, etype string, t long, eid long").withColumn("ts", F.timestamp_micros("t"))
