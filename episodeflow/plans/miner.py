@@ -16,6 +16,7 @@ from ..model import Episode, Gap, gap_set
 from ..operators import candidates as C
 from ..operators import frequency as Q
 from ..operators import occurrences as O
+from ..storage import cut as _cut
 
 FREQUENT = "ep_id string, kind string, k int, types array<string>, gaps array<string>, freq long, rel_freq double, maximal boolean"
 LEVELS = "k int, n_candidates long, n_frequent long, max_freq long, min_freq long, wall_ms long"
@@ -87,15 +88,6 @@ def maximal_ids(episodes: list[Episode]) -> set[str]:
     return {e.id for e in episodes} - covered
 
 
-def _cut(df: DataFrame) -> DataFrame:
-    sc = df.sparkSession.sparkContext
-    if not sc._jsc.sc().getCheckpointDir().isDefined():
-        import tempfile
-
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="episodeflow-"))
-    return df.checkpoint()
-
-
 def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
     """All frequent episodes of the plan; frequency is summed over streams."""
     began = time.time()

@@ -8,12 +8,12 @@ from pyspark.sql import functions as F
 
 from . import sqltext as S
 from .functions import rates, udfs
-from .llm.common import new_path
 from .model import Episode, Gap, parallel, serial
 from .operators import automata, baselines, candidates, compound, frequency, measures, occurrences, significance, simulator
 from .plans import miner, strategy
 from .plans.miner import EpisodePlan, mine
 from .sources import streams as T
+from .storage import new_path
 from .streaming import online
 
 QUERIES: dict = {}
