@@ -6,8 +6,6 @@ import contextlib
 import ctypes
 import gc
 import re
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -16,23 +14,9 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-ARROW_BYTES = 16 << 20
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or where it is unset a temporary one (tests)."""
-    sc = spark.sparkContext
-    at = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if not at:
-        current = sc._jsc.sc().getCheckpointDir()
-        at = current.get() if current.isDefined() else tempfile.mkdtemp(prefix="episodeflow-")
-    if not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(at)
-    return at.rstrip("/")
-
+from ..storage import new_path
 
-def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+ARROW_BYTES = 16 << 20
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
@@ -76,15 +60,26 @@ def enter(operator: str) -> None:
             ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
+def laid(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes of a string or binary column's values end to end (nulls: empty), and where each begins, and the end."""
+    if column.null_count:
+        column = pa.compute.fill_null(column, b"" if pa.types.is_binary(column.type) or pa.types.is_large_binary(column.type) else "")
+    wide = pa.types.is_large_string(column.type) or pa.types.is_large_binary(column.type)
+    _, places, values = column.buffers()
+    if not len(column) or places is None:
+        return np.empty(0, np.uint8), np.zeros(len(column) + 1, np.int64)
+    bounds = np.frombuffer(places, np.int64 if wide else np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    data = np.frombuffer(values, np.uint8)[bounds[0] : bounds[-1]] if values is not None else np.empty(0, np.uint8)
+    return data, bounds - bounds[0]
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about `most` bytes of text (a longer text: alone), which bounds a worker's memory."""
     for batch in batches:
         if not batch.num_rows:
             continue
         column = batch.column(batch.schema.get_field_index(text))
-        sizes = np.asarray(column.is_null().to_numpy(zero_copy_only=False))
-        lengths = np.where(sizes, 0, np.asarray(pa.compute.fill_null(pa.compute.binary_length(column), 0)))
-        part = np.cumsum(lengths) // most
+        part = np.cumsum(pa.compute.fill_null(pa.compute.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64)) // most
         cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), batch.num_rows]
         for a, b in zip(cuts, cuts[1:], strict=False):
             if b > a:

@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_dir
+from ..storage import shared_dir
 
 
 def _mark(edges: DataFrame) -> tuple:

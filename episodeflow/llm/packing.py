@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from .common import enter, materialise, record, slices, texts
+from .common import enter, laid, materialise, record, slices, texts
 from .tokens import MOST_PIECES, encoder
 
 LIMIT = 1024
@@ -181,7 +181,7 @@ def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int =
         row = TaskContext.get().partitionId() << 40
         enc, end = encoder(tokenizer, remembered), np.array([end_id], "<u4").tobytes()
         for batch in slices(batches, most=batch_bytes):
-            flat, lengths = enc.encode_all(batch.column(1).to_pylist())
+            flat, lengths = enc.encode_bytes(*laid(batch.column(1)))
             ids = memoryview(flat.astype("<u4", copy=False)).cast("B")
             names, numbers, starts, sizes, crcs = [], [], [], [], []
             e = 0

@@ -2,11 +2,12 @@
 
 A shard holds the ids of consecutive documents in ascending doc_id order. Its bytes are, little-endian:
 magic `PAIR`, version, counts (rules, sequence, documents, tokens), the first nonterminal, the rules (two ids each),
-the rules' expansion lengths, the sequence, the documents' ids and lengths. Rule r is nonterminal `first + r`; a rule
+the rules' expansion lengths, the sequence, the documents' ids and lengths, a bit for each doc_id that is null. Rule r is nonterminal `first + r`; a rule
 names earlier symbols only. Expansion lengths make any token reachable without decoding what stands before it.
 
-Rounds stand in for the one-pair-at-a-time loop: each takes every pair found at least `min_pair` times, most frequent
-first up to `round_rules`, replaces it from left to right, and leaves overlapping pairs to the next round.
+Rounds stand in for the one-pair-at-a-time loop: each takes the most frequent pairs, about one for `ROUND` ids, replaces them
+from left to right, and leaves overlapping pairs to the next round. Rounds go on until no pair is left that is found
+`min_pair` times; a rule takes three integers of the shard, so that a rarer pair would not pay for its rule.
 
 Null texts are empty; empty tables give no shard; a doc_id that repeats keeps all its rows; a null doc_id comes first.
 Columns besides doc_id and text aren't read, so their names can't clash.
@@ -23,14 +24,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import enter, new_path, ragged, record, slices, texts
+from ..storage import new_path
+from .common import enter, laid, ragged, record, slices, texts
 from .tokens import encoder
 
 HEAD = struct.Struct("<4sIIIIII")
-MAGIC, VERSION = b"PAIR", 1
+MAGIC, VERSION = b"PAIR", 2
 SHARD_TOKENS = 1 << 20
-REMEMBERED = 600_000  # pieces; a shard's arrays stand beside them in a worker
-ROUNDS, ROUND_RULES, MIN_PAIR = 6, 4096, 16
+ROUND, MIN_PAIR = 256, 4
 BITS = 20
 
 
@@ -39,41 +40,43 @@ def _slots(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return (a * np.uint32(2654435761) + b * np.uint32(2246822519)) >> np.uint32(32 - BITS)
 
 
-def compress(ids: np.ndarray, first: int, rounds: int = ROUNDS, round_rules: int = ROUND_RULES, min_pair: int = MIN_PAIR) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _frequent(seq: np.ndarray, most: int, min_pair: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The `most` (more where they tie) most frequent pairs, first << 32 | second, places where one stands, and which one.
+
+    Of pairs that share a slot of the table the last one is taken, the others wait for another round.
+    """
+    keys = (seq[:-1].astype(np.int64) << 32) | seq[1:]
+    order = np.sort(keys)
+    opens = np.flatnonzero(np.append(True, order[1:] != order[:-1]))
+    counts = np.diff(opens, append=len(order))
+    opens, counts = opens[counts >= min_pair], counts[counts >= min_pair]
+    if len(counts) > most:
+        opens = opens[counts >= np.partition(counts, -most)[-most]]
+    found = order[opens]
+    number = np.full(1 << BITS, -1, np.int32)
+    number[_slots((found >> 32).astype(np.uint32), found.astype(np.uint32))] = np.arange(len(found))
+    rule = number[_slots(seq[:-1], seq[1:])]
+    at = np.flatnonzero(rule >= 0)
+    rule = rule[at]
+    fits = found[rule] == keys[at]
+    return found, at[fits], rule[fits]
+
+
+def compress(ids: np.ndarray, first: int, every: int = ROUND, min_pair: int = MIN_PAIR) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Rules (two columns), their expansion lengths, and the sequence. Symbols below `first` are ids."""
     seq = ids.astype(np.uint32)
     rules, lengths = [np.empty((0, 2), np.uint32)], [np.empty(0, np.uint32)]
-    made, size = 0, np.ones(first, np.uint32)
-    table = np.empty(1 << BITS, np.int32)
-    for _ in range(rounds):
-        if len(seq) < 2 * min_pair:
-            break
-        slot = _slots(seq[:-1], seq[1:])
-        fill = np.bincount(slot, minlength=1 << BITS)
-        # A pair's slot is at least as full as the pair is frequent: the fullest slots hold the most frequent pairs.
-        fuller = np.append(np.cumsum(np.bincount(fill)[::-1])[::-1], 0)  # how many slots are at least this full
-        least = max(min_pair, int(np.argmax(fuller <= 2 * round_rules)) - 1)
-        at = np.flatnonzero((fill >= least)[slot])
-        keys = (seq[at].astype(np.int64) << 32) | seq[at + 1]
-        found, counts = np.unique(keys, return_counts=True)
-        enough = counts >= min_pair
-        found, counts = found[enough], counts[enough]
+    most, made, size = max(16, len(seq) // every), 0, np.ones(first, np.uint32)
+    while len(seq) > 1:
+        found, hits, rule = _frequent(seq, most, min_pair)
         if not len(found):
             break
-        if len(found) > round_rules:
-            keep = np.lexsort((found, -counts))[:round_rules]
-            found = np.sort(found[keep])
-        own = _slots((found >> 32).astype(np.uint32), found.astype(np.uint32))
-        table[own] = np.arange(len(found))  # of pairs that share a slot one stays, the others wait for the next round
-        found = found[table[own] == np.arange(len(found))]
-        table[:] = -1
-        table[_slots((found >> 32).astype(np.uint32), found.astype(np.uint32))] = np.arange(len(found))
-        rule = table[slot[at]]
-        fits = (rule >= 0) & (found[rule] == keys)
-        hits, rule = at[fits], rule[fits]
         opens = np.flatnonzero(np.diff(hits, prepend=-2) != 1)  # of runs of overlapping hits every second one counts
         inside = np.arange(len(hits)) - np.repeat(opens, np.diff(opens, append=len(hits)))
         hits, rule = hits[inside % 2 == 0], rule[inside % 2 == 0]
+        used = np.zeros(len(found), bool)
+        used[rule] = True  # a pair may have lost all its places to others
+        rule, found = (np.cumsum(used) - 1)[rule], found[used]
         pair = np.stack([found >> 32, found & 0xFFFFFFFF], axis=1).astype(np.uint32)
         seq[hits] = (first + made + rule).astype(np.uint32)
         stays = np.ones(len(seq), bool)
@@ -83,14 +86,15 @@ def compress(ids: np.ndarray, first: int, rounds: int = ROUNDS, round_rules: int
         lengths.append(size[pair[:, 0]] + size[pair[:, 1]])
         size = np.concatenate([size, lengths[-1]])
         made += len(found)
-    return np.concatenate(rules), np.concatenate(lengths), seq.astype(np.uint32)
+    return np.concatenate(rules), np.concatenate(lengths), seq
 
 
 def pack(doc_ids: list, lengths: np.ndarray, ids: np.ndarray) -> bytes:
     first = int(ids.max()) + 1 if len(ids) else 1
     rules, spans, seq = compress(ids, first)
-    docs = np.array([-(1 << 63) if d is None else d for d in doc_ids], "<i8")
-    return HEAD.pack(MAGIC, VERSION, len(rules), len(seq), len(docs), len(ids), first) + b"".join(x.astype(t).tobytes() for x, t in ((rules, "<u4"), (spans, "<u4"), (seq, "<u4"), (docs, "<i8"), (lengths, "<u4")))
+    null = np.packbits(np.array([d is None for d in doc_ids], bool))
+    docs = np.array([0 if d is None else d for d in doc_ids], "<i8")
+    return HEAD.pack(MAGIC, VERSION, len(rules), len(seq), len(docs), len(ids), first) + b"".join(x.astype(t).tobytes() for x, t in ((rules, "<u4"), (spans, "<u4"), (seq, "<u4"), (docs, "<i8"), (lengths, "<u4"), (null, "u1")))
 
 
 class Shard:
@@ -110,6 +114,7 @@ class Shard:
 
         self.rules = take(2 * n_rules, "<u4").reshape(-1, 2)
         self.spans, self.seq, self.docs, self.lengths = take(n_rules, "<u4"), take(n_seq, "<u4"), take(n_docs, "<i8"), take(n_docs, "<u4")
+        self.null = np.unpackbits(take(-(-n_docs // 8), "u1"), count=n_docs).astype(bool)
         self.starts = np.cumsum(self.lengths, dtype=np.int64) - self.lengths
         self._ends = None
 
@@ -153,6 +158,9 @@ class Shard:
         skip = start - (self._ends[a - 1] if a else 0)
         return self._expand(self.seq[a:b])[skip : skip + length]
 
+    def doc_ids(self) -> list:
+        return [None if no else d for d, no in zip(self.docs.tolist(), self.null.tolist(), strict=True)]
+
     def document(self, k: int) -> np.ndarray:
         return self.slice(int(self.starts[k]), int(self.lengths[k]))
 
@@ -172,27 +180,37 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str = "byte_bpe_50k.json
         enter("ids")
         from pyspark import TaskContext
 
-        part, enc, end, shard = TaskContext.get().partitionId(), encoder(tokenizer, REMEMBERED), np.array([end_id], np.uint32), 0
+        part, enc, shard = TaskContext.get().partitionId(), encoder(tokenizer), 0
         names, lengths, arrays, held = [], [], [], 0
 
         def flush() -> pa.RecordBatch:
             nonlocal names, lengths, arrays, held, shard
-            ids = np.concatenate(arrays)
-            out = record(schema, [part], [shard], [len(names)], [len(ids)], [pack(names, np.array(lengths, np.uint32), ids)])
+            ids, sizes = np.concatenate(arrays), np.concatenate(lengths)
+            out = record(schema, [part], [shard], [len(names)], [len(ids)], [pack(names, sizes.astype(np.uint32), ids)])
             names, lengths, arrays, held, shard = [], [], [], 0, shard + 1
             return out
 
         for batch in slices(batches):
-            flat, counts = enc.encode_all(batch.column(1).to_pylist())
-            e = 0
-            for d, n in zip(batch.column(0).to_pylist(), counts.tolist(), strict=True):
-                s, e = e, e + n
-                if held and held + n + 1 > shard_tokens:
+            ids, sizes = enc.encode_bytes(*laid(batch.column(1)))
+            sizes = sizes + 1
+            ends = np.cumsum(sizes)
+            whole = np.ones(len(ids) + len(sizes), bool)
+            whole[ends - 1] = False
+            tokens = np.full(len(whole), end_id, np.uint32)
+            tokens[whole] = ids
+            own, a = batch.column(0).to_pylist(), 0
+            while a < len(own):
+                begin = int(ends[a] - sizes[a])
+                b = int(np.searchsorted(ends, begin + shard_tokens - held, "right"))
+                if b == a and held:
                     yield flush()
-                names.append(d)
-                lengths.append(n + 1)
-                arrays += (flat[s:e], end)
-                held += n + 1
+                    continue
+                b = max(b, a + 1)
+                names += own[a:b]
+                lengths.append(sizes[a:b])
+                arrays.append(tokens[begin : int(ends[b - 1])])
+                held += int(ends[b - 1]) - begin
+                a = b
         if held:
             yield flush()
 
@@ -215,7 +233,7 @@ def read_shards(spark: SparkSession, path: str) -> DataFrame:
                 ends = 4 * (opened.starts + opened.lengths)
                 crc = [zlib.crc32(ids[4 * a : b]) for a, b in zip(opened.starts.tolist(), ends.tolist(), strict=True)]
                 n = len(crc)
-                yield record(schema, [part] * n, [shard] * n, [None if d == -(1 << 63) else d for d in opened.docs.tolist()], opened.starts, opened.lengths.astype(np.int64), crc)
+                yield record(schema, [part] * n, [shard] * n, opened.doc_ids(), opened.starts, opened.lengths.astype(np.int64), crc)
 
     return spark.read.schema(SHARDS).parquet(path).select("part", "shard", "payload").mapInArrow(decode, ROWS)
 

@@ -22,12 +22,13 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import enter, materialise, new_path, record, slices, texts
+from ..storage import new_path
+from .common import enter, materialise, record, slices, texts
 from .tokens import encoder
 
 CACHE = "digest binary, tokenizer string, n_tokens long"
 SEEN = 200_000
-ENCODE_CHARS = 2_000_000
+ENCODE_BYTES = 4_000_000
 
 
 def tokenizer_digest(name: str) -> str:
@@ -46,7 +47,8 @@ def tokenizer_digest(name: str) -> str:
 _models: dict = {}
 
 
-def count_tokens(name: str, texts_: list[str]) -> list[int]:
+def count_tokens(name: str, raw: list[bytes]) -> list[int]:
+    """How many tokens each text (UTF-8) has."""
     if name.endswith(".model"):
         import sentencepiece
 
@@ -54,8 +56,8 @@ def count_tokens(name: str, texts_: list[str]) -> list[int]:
             import os
 
             _models[name] = sentencepiece.SentencePieceProcessor(model_file=name if os.path.exists(name) else public_tokenizers.path(name))
-        return [len(ids) for ids in _models[name].encode(texts_, num_threads=1)] if texts_ else []
-    return encoder(name).encode_all(texts_)[1].tolist()
+        return [len(ids) for ids in _models[name].encode([t.decode("utf-8", "surrogatepass") for t in raw], num_threads=1)] if raw else []
+    return encoder(name).encode_bytes(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]), only_lengths=True)[1].tolist()
 
 
 def _once(docs: DataFrame) -> DataFrame:
@@ -96,9 +98,9 @@ def _encoded(packed: DataFrame, tokenizer: str) -> DataFrame:
                     last = d
             counts, held, size = [], [], 0
             for p in rows:
-                held.append(open_.decompress(p.as_py()).decode("utf-8", "surrogatepass"))
+                held.append(open_.decompress(p.as_py()))
                 size += len(held[-1])
-                if size >= ENCODE_CHARS:
+                if size >= ENCODE_BYTES:
                     counts += count_tokens(tokenizer, held)
                     held, size = [], 0
             counts += count_tokens(tokenizer, held)
