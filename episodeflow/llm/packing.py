@@ -167,7 +167,7 @@ def best_plan(counts: dict[int, int], limit: int = LIMIT, schemes: tuple = SCHEM
     return min((Plan(counts, limit, small, groups) for small, groups in schemes), key=lambda p: p.sequences)
 
 
-def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT, remembered: int = MOST_PIECES, batch_bytes: int = 8 << 20) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT, remembered: int = MOST_PIECES, batch_bytes: int = 2 << 20) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32, row) of whole texts; row numbers the pieces, from the task up.
 
     remembered and batch_bytes trade a worker's memory for its speed.

@@ -28,7 +28,7 @@ from .tokens import encoder
 
 CACHE = "digest binary, tokenizer string, n_tokens long"
 SEEN = 200_000
-ENCODE_BYTES = 4_000_000
+ENCODE_BYTES = 2 << 20
 
 
 def tokenizer_digest(name: str) -> str:
