@@ -85,6 +85,32 @@ def test_estimates_stay_within_their_bounds():
     assert np.mean(np.abs(guess - q @ x.T) <= error) > 0.98
 
 
+def test_vectors_of_any_finite_length(spark):
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(200, 8))
+    x[:60] *= 1e38
+    x[60:70] *= 1e-40
+    x = np.clip(x, -3e38, 3e38).astype(np.float32).astype(np.float64)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)] + [(900 + i, [1.0] * 9) for i in range(5)], "vec_id long, embedding array<double>")
+    got = defaultdict(list)
+    for r in onebit.search(df.repartition(5), df.where("vec_id % 20 = 0")).orderBy("rank").collect():
+        got[r["query_id"]].append(r["vec_id"])
+    want = {}
+    for q in range(0, 200, 20):
+        s = onebit.exact(x, x[q][None, :])
+        want[q] = [int(i) for i in np.lexsort((np.arange(200), -s)) if i != q][:20]
+    assert got == want
+
+
+def test_repeated_and_clashing_vectors(spark, monkeypatch):
+    monkeypatch.setattr(onebit, "QUERIES", 2)
+    rows = [(20 * (i % 5), [float(i % 3), 1.0], i) for i in range(25)] + [(7, [1.0, 1.0], 0)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, score long").withColumnRenamed("score", "rank")
+    got = onebit.search(df, df.where("vec_id % 20 = 0"), 4).collect()
+    assert sorted((r["query_id"], r["rank"]) for r in got) == [(20 * q, k) for q in range(5) for k in (1, 2, 3, 4)]
+    assert all(r["vec_id"] != r["query_id"] for r in got)
+
+
 def test_few_vectors(spark):
     df = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.5, 0.5])], "vec_id long, embedding array<float>")
     assert [tuple(r) for r in onebit.search(df, df.where("vec_id % 20 = 0")).collect()] == [(0, 1, 1, 0.5)]
