@@ -13,6 +13,7 @@ import pyarrow as pa
 import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from ..storage import new_path
 
@@ -95,6 +96,19 @@ def held_out(doc_id) -> F.Column:
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
+def smallest(rows: DataFrame, key: str, n: int) -> DataFrame:
+    """Of each `key` the n rows (key, doc_id; all distinct) with the smallest hash of doc_id, numbered from 1 as _k.
+
+    Rows whose hash can't be among them, by the size of their key's group, go before anything is sorted or sent: a group
+    that holds most of all rows costs a task a few times n of them.
+    """
+    place = F.shiftrightunsigned(F.xxhash64("doc_id"), 11) / F.lit(float(1 << 53))
+    sizes = rows.groupBy(key).agg(F.count("*").alias("_n"))
+    few = rows.join(sizes, key).where(place * F.col("_n") < 4 * n + 40).drop("_n")
+    order = W.partitionBy(key).orderBy(F.shiftrightunsigned(F.xxhash64("doc_id"), 11), "doc_id")
+    return few.withColumn("_k", F.row_number().over(order)).where(F.col("_k") <= n)
+
+
 def ragged(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     """Indices of the concatenated runs [start, start + length)."""
     total = int(lengths.sum())

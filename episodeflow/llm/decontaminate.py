@@ -13,7 +13,11 @@ an item the one with the most (equal - MISS * misses) is reported.
 No such overlap is missed at the fixed values: 12 words or more with a fifth missed always leave four equal words in a
 row, or (15 words, 3 misses) four threes, which the second mask meets; the other two masks do the same for whole items
 of 5 to 11 words. Overlaps of more than `MOST` misses are found by a part of them, and that part is what is reported.
-Items under `SHORTEST` words can't be told from chance and are left out.
+Items under `SHORTEST` words can't be told from chance inside a text: they are found where they are the whole document,
+word by word; items without words are nothing to find.
+
+A meeting that goes on from the words before it, on the same diagonal, says nothing new: only where meetings begin are
+they written out, so that repeated words cost what they are long, not the product. A long text is hashed in parts.
 
 Items reach the tasks in blocks of at most `BLOCK_WORDS` words, a broadcast of bounded size; documents are scanned
 once for each block and never shuffled. Null texts are empty; empty tables give no rows; repeated documents and items
@@ -30,13 +34,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CACHES, enter, ragged, record, slices, texts
+from .common import CACHES, enter, laid, materialise, ragged, record, slices, texts
 
 #: The masks, 1 = compared.
 MASKS, SHORT_MASKS = ("1111", "11101"), ("11011", "10111")
 SHORTEST = 5
 LEAST, SIMILARITY, MISS, MOST = 12, 0.8, 1, 16
-BLOCK_WORDS, CELLS, HITS = 1 << 21, 1 << 21, 1 << 20
+BLOCK_WORDS, CELLS, HITS, PART = 1 << 21, 1 << 21, 1 << 20, 4 << 20
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _BASE = 0x100000001B3 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
@@ -62,24 +66,40 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(29))
 
 
-def words(data: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the words of texts laid end to end (text k: bytes [bounds[k], bounds[k + 1])), and each text's first word."""
+def words(data: np.ndarray, bounds: np.ndarray, part: int = PART) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of texts laid end to end (text k: bytes [bounds[k], bounds[k + 1])), and each text's first word.
+
+    Bytes are taken `part` at a time, and as many more as a word that crosses the border has.
+    """
+    out, opens, a = [], [], 0
+    while a < len(data):
+        b = min(a + part, len(data))
+        while b < len(data) and _LOWER[data[b]] and _LOWER[data[b - 1]] and (k := int(np.searchsorted(bounds, b))) < len(bounds) and bounds[k] != b:
+            rest = _LOWER[data[b : b + 4096]] == 0
+            b += int(np.argmax(rest)) if rest.any() else len(rest)
+        inner = bounds[np.searchsorted(bounds, a, "right") : np.searchsorted(bounds, b, "left")] - a
+        hashes, at = _words(data[a:b], inner)
+        out.append(hashes)
+        opens.append(at + a)
+        a = b
+    opens = np.concatenate([np.empty(0, np.int64), *opens])
+    return np.concatenate([np.empty(0, np.uint64), *out]), np.searchsorted(opens, bounds)
+
+
+def _words(data: np.ndarray, breaks_at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words and where they begin; a word ends at each of breaks_at."""
     code = _LOWER[data]
     live = code != 0
     breaks = np.zeros(len(data) + 1, bool)
-    breaks[bounds] = True
-    breaks = breaks[:-1]
-    before = np.concatenate([[False], live[:-1]]) if len(live) else live
-    opens = np.flatnonzero(live & (~before | breaks))
-    after = np.concatenate([live[1:], [False]]) if len(live) else live
-    next_break = np.concatenate([breaks[1:], [True]]) if len(live) else live
-    shuts = np.flatnonzero(live & (~after | next_break))
+    breaks[breaks_at] = True
+    breaks[[0, -1]] = True
+    opens = np.flatnonzero(live & (breaks[:-1] | ~np.append(False, live[:-1])))
+    shuts = np.flatnonzero(live & (breaks[1:] | ~np.append(live[1:], False)))
     if not len(opens):
-        return np.empty(0, np.uint64), np.zeros(len(bounds), np.int64)
+        return np.empty(0, np.uint64), opens
     total = np.cumsum(code * _power(_BASE, len(code), "up"), dtype=np.uint64)
     start = np.where(opens > 0, total[opens - 1], np.uint64(0))
-    hashes = _mixed((total[shuts] - start) * _power(_INVERSE, len(code), "down")[opens])
-    return hashes, np.searchsorted(opens, bounds)
+    return _mixed((total[shuts] - start) * _power(_INVERSE, len(code), "down")[opens]), opens
 
 
 def _windows(hashes: np.ndarray, mask: str) -> np.ndarray:
@@ -142,19 +162,28 @@ def _distinct(rows: np.ndarray) -> np.ndarray:
 
 
 class Items:
-    """A block of benchmark items, ready to be met."""
+    """A block of benchmark items, ready to be met.
+
+    Keys of item windows are numbered in ascending order; a row of the table is (number of a window's key, number of the
+    key one word before under the same mask, plus one; or 0), sorted, so that what goes on from an equal window before
+    it is one range of a key's rows.
+    """
 
     def __init__(self, rows: list[tuple], masks: tuple = MASKS, least: int = LEAST):
-        self.ids, self.hashes, key, of, at = [], [], [], [], []
+        self.ids, self.hashes, key, of, at, before = [], [], [], [], [], []
+        self.tiny: dict[tuple, list] = {}
         short = False
         for item, text in rows:
             data = np.frombuffer((text or "").encode("utf-8", "surrogatepass"), np.uint8)
             h, _ = words(data, np.array([0, len(data)]))
             if len(h) < SHORTEST:
+                if len(h):
+                    self.tiny.setdefault(tuple(h.tolist()), []).append(item)
                 continue
             short |= len(h) < least
             for mask in (*masks, *SHORT_MASKS) if len(h) < least else masks:
                 w = _windows(h, mask)
+                before.append(np.append(False, np.ones(max(0, len(w) - 1), bool))[: len(w)])
                 key.append(w)
                 of.append(np.full(len(w), len(self.ids)))
                 at.append(np.arange(len(w)))
@@ -162,18 +191,29 @@ class Items:
             self.hashes.append(h)
         self.masks = (*masks, *SHORT_MASKS) if short else masks
         none = np.empty(0, np.int64)
-        key = np.concatenate([np.empty(0, np.uint64), *key])
-        order = np.argsort(key, kind="stable")
-        self.key, self.of, self.at = key[order], np.concatenate([none, *of])[order], np.concatenate([none, *at])[order]
+        key, of, at = np.concatenate([np.empty(0, np.uint64), *key]), np.concatenate([none, *of]), np.concatenate([none, *at])
+        before = np.concatenate([np.empty(0, bool), *before])
+        self.keys, number = np.unique(key, return_inverse=True)
+        last = np.where(before, np.append(0, number[:-1] + 1)[: len(number)], 0)
+        order = np.lexsort((last, number))
+        self.table = number[order] * (len(self.keys) + 1) + last[order]
+        self.of, self.at = of[order], at[order]
         self.bits = np.zeros(1 << 22, bool)
         self.bits[(key >> np.uint64(42)).astype(np.int64)] = True
         self.lengths = np.array([len(h) for h in self.hashes], np.int64)
         self.starts = np.cumsum(self.lengths) - self.lengths
         self.words = np.concatenate([np.empty(0, np.uint64), *self.hashes])
 
+    def _numbers(self, keys: np.ndarray) -> np.ndarray:
+        """A key's number plus one, 0 where no item has it."""
+        if not len(self.keys):
+            return np.zeros(len(keys), np.int64)
+        at = np.searchsorted(self.keys, keys)
+        return np.where(self.keys[np.minimum(at, len(self.keys) - 1)] == keys, at + 1, 0)
+
     def found(self, hashes: np.ndarray, firsts: np.ndarray, similarity: float) -> Iterator[np.ndarray]:
-        """(text, item, first diagonal) of meetings, `drift` diagonals taken as one: the item's first word stands at that word of all the texts."""
-        drift = np.maximum(self.drift(similarity), 1)
+        """(text, item, first diagonal) where meetings begin, `drift` diagonals taken as one: the item's first word stands at that word of all the texts."""
+        drift, radix = np.maximum(self.drift(similarity), 1), len(self.keys) + 1
         for mask in self.masks:
             got = _windows(hashes, mask)
             if not len(got):
@@ -181,13 +221,21 @@ class Items:
             maybe = np.flatnonzero(self.bits[(got >> np.uint64(42)).astype(np.int64)])
             text = np.searchsorted(firsts, maybe, "right") - 1
             maybe, text = (x[maybe + len(mask) <= np.append(firsts, len(hashes))[text + 1]] for x in (maybe, text))
-            a, b = np.searchsorted(self.key, got[maybe], "left"), np.searchsorted(self.key, got[maybe], "right")
-            part = np.cumsum(b - a) // HITS  # so many hits at a time, whatever repeats
-            cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(maybe)]
-            for x, y in zip(cuts, cuts[1:], strict=False):
-                hit = ragged(a[x:y], (b - a)[x:y])
-                item, diagonal = self.of[hit], np.repeat(maybe[x:y], (b - a)[x:y]) - self.at[hit]
-                yield _distinct(np.stack([np.repeat(text[x:y], (b - a)[x:y]), item, diagonal // drift[item] * drift[item]], axis=1))
+            number = self._numbers(got[maybe])
+            maybe, text, number = maybe[number > 0], text[number > 0], number[number > 0] - 1
+            last = np.where(maybe > firsts[text], self._numbers(got[np.maximum(maybe - 1, 0)]), 0)
+            a, b = np.searchsorted(self.table, number * radix, "left"), np.searchsorted(self.table, (number + 1) * radix, "left")
+            # rows that go on from an equal window: one range in the middle, left out
+            x, y = (np.where(last > 0, np.searchsorted(self.table, number * radix + last, side), b) for side in ("left", "right"))
+            for lo, hi in ((a, x), (y, b)):
+                many = np.maximum(hi - lo, 0)
+                part = np.cumsum(many) // HITS  # so many at a time
+                cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), len(maybe)]
+                for c, d in zip(cuts, cuts[1:], strict=False):
+                    hit = ragged(lo[c:d], many[c:d])
+                    if len(hit):
+                        item, diagonal = self.of[hit], np.repeat(maybe[c:d], many[c:d]) - self.at[hit]
+                        yield _distinct(np.stack([np.repeat(text[c:d], many[c:d]), item, diagonal // drift[item] * drift[item]], axis=1))
 
     def drift(self, similarity: float) -> np.ndarray:
         """The most misses of an overlap of each item."""
@@ -197,8 +245,13 @@ class Items:
         """(text, item, equal words, misses, start, end) of overlaps, places counted from the first of all words."""
         spots = _distinct(np.concatenate([np.empty((0, 3), np.int64), *self.found(hashes, firsts, similarity)]))
         spots = spots[np.argsort(self.lengths[spots[:, 1]], kind="stable")]
-        drifts, at = self.drift(similarity), 0
+        drifts, at, done = self.drift(similarity), 0, set()
         while at < len(spots):
+            if done:  # a whole item without a miss can't be bettered, and spots come from the left
+                spots = np.concatenate([spots[:at], spots[at:][[(t, i) not in done for t, i in spots[at:, :2].tolist()]]])
+                done = set()
+                if at == len(spots):
+                    break
             # the items of a chunk have nearly the same number of words
             small = int(self.lengths[spots[at, 1]])
             upto = int(np.searchsorted(self.lengths[spots[:, 1]], small + 4 + small // 8, "right"))
@@ -223,6 +276,8 @@ class Items:
                     continue
                 got = aligned(equal[some], first[some], self.lengths[item[some]], most, whole, least, similarity)
                 for c, (n_equal, misses, start, end) in zip(some.tolist(), got.tolist(), strict=True):
+                    if n_equal == self.lengths[item[c]] and not misses:
+                        done.add((int(text[c]), int(item[c])))
                     if n_equal:
                         yield int(text[c]), int(item[c]), n_equal, misses, max(start, int(firsts[text[c]])), min(end, int(ends[text[c]]))
 
@@ -231,7 +286,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, simi
     """(doc_id, item_id, start, n_words, n_equal, item_words): the best overlap of each contaminated document and item.
 
     An overlap needs `least` words, inserted or dropped ones among them, however long the item is (an item shorter
-    than that: all its words).
+    than that: all its words; one of fewer than SHORTEST words: the whole document).
     n_words counts the document's words. Masks other than the fixed ones may miss overlaps.
     """
     spark = docs.sparkSession
@@ -248,21 +303,25 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, simi
             enter("seeds")
             items = sent.value
             for batch in slices(batches, most=2 << 20):
-                column = batch.column(1)
-                offsets = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
-                data = np.frombuffer(column.buffers()[2] or b"", np.uint8)[offsets[0] : offsets[-1]]
-                hashes, firsts = words(data, offsets - offsets[0])
+                hashes, firsts = words(*laid(batch.column(1)))
                 firsts, ends = firsts[:-1], np.append(firsts[1:-1], len(hashes))
                 best: dict[tuple[int, int], tuple] = {}
                 for text, item, n, misses, start, end in items.overlaps(hashes, firsts, ends, least, similarity):
                     now = (n - MISS * misses, n, firsts[text] - start, end - start)
                     if (text, item) not in best or now > best[text, item]:
                         best[text, item] = now
+                if items.tiny:
+                    out = [(batch.column(0)[t].as_py(), i, 0, n, n, n) for t in np.flatnonzero((ends - firsts < SHORTEST) & (ends > firsts)).tolist() for n in [int(ends[t] - firsts[t])] for i in items.tiny.get(tuple(hashes[firsts[t] : ends[t]].tolist()), ())]
+                    if out:
+                        yield record(schema, *map(list, zip(*out, strict=True)))
                 if best:
                     keys, vals = list(best), list(best.values())
                     yield record(schema, [batch.column(0)[t].as_py() for t, _ in keys], [items.ids[i] for _, i in keys], [int(-v[2]) for v in vals], [int(v[3]) for v in vals], [int(v[1]) for v in vals], [len(items.hashes[i]) for _, i in keys])
 
         part = rows.mapInArrow(run, "doc_id long, item_id long, start long, n_words long, n_equal long, item_words long")
+        if blocks > 1:  # one block at a time in driver and tasks
+            part = materialise(part, "contaminated")
+            sent.unpersist()
         out = part if out is None else out.unionByName(part)
     return out
 

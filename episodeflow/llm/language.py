@@ -5,8 +5,9 @@ text is cut into chunks, so that its own repetitions don't hide the dictionary's
 each dictionary, and the language with the smallest sum wins. The margin, (second - first) / second, is the score's
 source; a text whose margin is below `margin` is rejected, as is one with no letter.
 
-Fitting takes `SAMPLE` texts of each language at most (by the smallest hash of the doc_id, so that the choice doesn't
-depend on partitions) and `CONTENT` bytes of each dictionary; prediction reads whole texts and nothing else. A language
+Fitting is bounded by three parameters: `sample` texts of each language (by the smallest hash of the doc_id, so that the
+choice doesn't depend on partitions), of each the first `each` characters, and `content` bytes of each dictionary;
+prediction reads whole texts and nothing else. A language
 has to be non-null and non-empty to be learned. Null, empty and letterless texts are `und` with score 0; with no
 training rows everything is; ties go to the language first in the alphabet; repeated rows are judged one by one.
 """
@@ -21,11 +22,10 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
-from .common import enter, held_out, modest_batches, record, slices
+from .common import enter, held_out, modest_batches, record, slices, smallest
 
-SAMPLE, CONTENT, CHUNK, MARGIN, LEVEL = 1200, 400 << 10, 4096, 0.02, 6
+SAMPLE, EACH, CONTENT, CHUNK, MARGIN, LEVEL = 1200, 1365, 400 << 10, 4096, 0.02, 6
 _NO_LETTERS = re.compile(r"[\W\d_]+")
 
 
@@ -34,15 +34,14 @@ def normal(text: str) -> bytes:
     return _NO_LETTERS.sub(" ", text.lower()).encode("utf-8", "surrogatepass")
 
 
-def fit(docs: DataFrame, sample: int = SAMPLE, content: int = CONTENT) -> dict[str, bytes]:
-    """A dictionary's content for each language of the rows that aren't held out."""
+def fit(docs: DataFrame, sample: int = SAMPLE, content: int = CONTENT, each: int = EACH) -> dict[str, bytes]:
+    """A dictionary's content for each language of the rows that aren't held out, from `sample` texts, `each` characters of one."""
     known = docs.where("lang is not null and lang <> '' and doc_id is not null").where(~held_out("doc_id"))
     ids = known.select("lang", F.col("doc_id").cast("long").alias("doc_id")).distinct()  # chosen without their texts
-    chosen = ids.withColumn("_k", F.row_number().over(W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))).where(F.col("_k") <= sample)
+    chosen = smallest(ids, "lang", sample)
     few = known.select("lang", F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(chosen), ["lang", "doc_id"]).where("text is not null")
-    share = 4 * content // sample  # characters of each text of the sample
     out: dict[str, list[bytes]] = {}
-    one = few.groupBy("lang", "_k").agg(F.min(F.substring("text", 1, share)).alias("text"))  # a doc_id may repeat
+    one = few.groupBy("lang", "_k").agg(F.min(F.substring("text", 1, each)).alias("text"))  # a doc_id may repeat
     for r in one.orderBy("lang", "_k").collect():
         out.setdefault(r["lang"], []).append(normal(r["text"]))
     return {k: b" ".join(v)[:content] for k, v in sorted(out.items())}

@@ -150,8 +150,11 @@ def _confirmed(kind: str, _pattern: str, low: float, high: float, words: str) ->
 
 
 def find(docs: DataFrame, *more: str) -> DataFrame:
-    """Each document's spans, kinds in the order of KINDS, then by start: (kind, start, end, score)."""
-    df = texts(docs, *more)
+    """doc_id, text, `more` and the spans in one column, `_spans`: for each of KINDS those by start, (kind, start, end, score).
+
+    `more` may hold columns of any name but those that begin with an underscore.
+    """
+    df = texts(docs, *[F.col(f"`{c}`") for c in more])
     need = {"email": "@", "phone": "+"}  # kinds that can't occur without this
     for kind, pattern, *_ in KINDS:
         some = F.col("text").contains(need[kind]) if kind in need else F.col("text").rlike("[0-9]")
@@ -162,7 +165,11 @@ def find(docs: DataFrame, *more: str) -> DataFrame:
     df = df.withColumns({f"_p_{kind}": _placed(F.col(f"_g_{kind}"), F.col(f"_m_{kind}")) for kind, *_ in KINDS})
     df = df.withColumn("_p_iban", _accounts(F.col("_p_iban"), F.col("_g_iban"), F.col("_m_iban")))
     df = df.withColumns({f"_s_{k[0]}": _confirmed(*k) for k in KINDS})
-    return df.select("doc_id", "text", *more, *[F.col(f"_s_{k}").alias(k) for k, *_ in KINDS])
+    return df.select("doc_id", "text", *[F.col(f"`{c}`") for c in more], F.struct(*[F.col(f"_s_{k}").alias(k) for k, *_ in KINDS]).alias("_spans"))
+
+
+def spans(kind: str) -> Column:
+    return F.col("_spans")[kind]
 
 
 def _listed(spans: Column) -> Column:
@@ -172,10 +179,10 @@ def _listed(spans: Column) -> Column:
 def report(docs: DataFrame) -> DataFrame:
     """Counts of the base kinds, a digest of their spans, all spans, and the highest score (null: no span)."""
     df = find(docs)
-    base, every = F.concat(*[F.col(k) for k in BASE]), F.concat(*[F.col(k) for k, *_ in KINDS])
+    base, every = F.concat(*map(spans, BASE)), F.concat(*[spans(k) for k, *_ in KINDS])
     return df.select(
         "doc_id",
-        *[F.size(k).cast("long").alias(f"n_{k}") for k in BASE],
+        *[F.size(spans(k)).cast("long").alias(f"n_{k}") for k in BASE],
         F.sha2(_listed(base), 256).alias("base_sha256"),
         _listed(every).alias("spans"),
         F.array_max(F.transform(every, lambda x: x["score"])).alias("max_score"),
@@ -185,17 +192,20 @@ def report(docs: DataFrame) -> DataFrame:
 def redact(docs: DataFrame, keep: list[str]) -> DataFrame:
     """Documents with every span replaced by its kind in angle brackets; overlapping spans: the one that starts first.
 
-    `keep` names the columns that go along. Texts without spans stay as they are, nulls among them.
+    `keep` names the columns that go along, in their order and under their names, whatever these are. Texts without
+    spans stay as they are, nulls among them.
     """
-    spans = find(docs.withColumn("_as_is", F.col("text")), *[c for c in keep if c not in ("doc_id", "text")], "_as_is")
-    every = F.array_sort(F.concat(*[F.transform(F.col(k), lambda x: F.struct(x["start"].alias("s"), (-x["end"]).alias("e"), x["kind"].alias("k"))) for k, *_ in KINDS]))
+    packed = docs.select("doc_id", "text", F.struct(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)]).alias("_row"))
+    found = find(packed, "_row")
+    every = F.array_sort(F.concat(*[F.transform(spans(k), lambda x: F.struct(x["start"].alias("s"), (-x["end"]).alias("e"), x["kind"].alias("k"))) for k, *_ in KINDS]))
     kind = "struct<at:int,out:array<string>>"
-    df = spans.withColumn("_all", every)
+    df = found.withColumn("_all", every)
     walked = F.aggregate(
         F.col("_all"),
         F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out")).cast(kind),
         lambda a, x: F.when(x["s"] < a["at"], a).otherwise(F.struct((-x["e"]).alias("at"), F.concat(a["out"], F.array(F.substring(F.col("text"), a["at"] + 1, x["s"] - a["at"]), F.concat(F.lit("<"), x["k"], F.lit(">")))).alias("out")).cast(kind)),
     )
     df = df.withColumn("_w", F.when(F.size("_all") > 0, walked))
-    text = F.when(F.size("_all") > 0, F.concat(F.array_join(F.col("_w")["out"], ""), F.expr("substring(text, _w.at + 1)"))).otherwise(F.col("_as_is"))
-    return df.withColumn("text", text).select(*keep)
+    as_is = F.col("_row")[f"c{keep.index('text')}"]
+    text = F.when(F.size("_all") > 0, F.concat(F.array_join(F.col("_w")["out"], ""), F.expr("substring(text, _w.at + 1)"))).otherwise(as_is)
+    return df.select(*[text.alias(c) if c == "text" else F.col("_row")[f"c{i}"].alias(c) for i, c in enumerate(keep)])

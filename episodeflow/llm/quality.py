@@ -5,9 +5,10 @@ adding. A chunk's features are each filter's largest response in it (max pooling
 the mean and the maximum of its chunks' features; a logistic layer makes them one probability. Chunks overlap by
 `WIDTH` - 1 bytes, so every window of the document lies in one.
 
-Fitting (Adam on the driver, gradients through the pooled positions alone) takes `SAMPLE` labelled rows at most, of
-each label the ones with the smallest hash, and `BYTES` bytes of them altogether; scoring reads whole texts. Null and
-empty texts have one empty chunk (all features zero) and thus the bias as their score. With labels of one kind only, or
+Fitting (Adam on the driver, gradients through the pooled positions alone) is bounded by three parameters: `sample`
+labelled rows, half of each label, by the smallest hash; `each` bytes a text, from its begin; and `most` bytes of them
+altogether. Scoring reads whole texts, a megabyte at a time. Null and empty texts have one empty chunk (all features
+zero) and thus the bias as their score; so have texts that are shorter than a filter is wide. With labels of one kind only, or
 none, the score is their share (0.5). Repeated rows are scored one by one; repeated labels of a doc_id: the smallest.
 """
 
@@ -19,27 +20,36 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
-from .common import enter, held_out, modest_batches, record, slices
+from .common import enter, held_out, laid, modest_batches, record, slices, smallest
 
 FILTERS, WIDTH, CHUNK = 16, 4, 256
-SAMPLE, BYTES, PASSES, STEPS, BATCH, RATE = 1500, 3 << 20, 6, 150, 64, 0.01
+SAMPLE, BYTES, EACH, PASSES, STEPS, BATCH, RATE = 1500, 3 << 20, 48 << 10, 6, 150, 64, 0.01
 PAD = 256
 
 
-def chunked(data: np.ndarray, bounds: np.ndarray, chunk: int = CHUNK, width: int = WIDTH) -> tuple[np.ndarray, np.ndarray]:
-    """Windows of texts laid end to end: (chunks, chunk + width - 1) codes, PAD past a text's end; and each chunk's text."""
+def chunks(bounds: np.ndarray, chunk: int = CHUNK) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Where the chunks of texts laid end to end begin, where their texts end, and which texts these are."""
     lengths = np.diff(bounds)
     many = np.maximum(1, -(-lengths // chunk))
     of = np.repeat(np.arange(len(lengths)), many)
     first = np.cumsum(many) - many
-    start = bounds[:-1][of] + (np.arange(len(of)) - first[of]) * chunk
+    return bounds[:-1][of] + (np.arange(len(of)) - first[of]) * chunk, bounds[1:][of], of
+
+
+def windows(data: np.ndarray, start: np.ndarray, end: np.ndarray, chunk: int = CHUNK, width: int = WIDTH) -> np.ndarray:
+    """The chunks' codes and `width` - 1 more, PAD past a text's end."""
     at = start[:, None] + np.arange(chunk + width - 1)
     codes = np.full(at.shape, PAD, np.int32)  # PAD is no byte
-    inside = at < bounds[1:][of][:, None]
+    inside = at < end[:, None]
     codes[inside] = data[at[inside]]
-    return codes, of
+    return codes
+
+
+def chunked(data: np.ndarray, bounds: np.ndarray, chunk: int = CHUNK, width: int = WIDTH) -> tuple[np.ndarray, np.ndarray]:
+    """Windows of texts laid end to end: (chunks, chunk + width - 1) codes, PAD past a text's end; and each chunk's text."""
+    start, end, of = chunks(bounds, chunk)
+    return windows(data, start, end, chunk, width), of
 
 
 class Network:
@@ -78,8 +88,12 @@ class Network:
         texts = len(bounds) - 1
         if self.constant is not None:
             return np.full(texts, self.constant)
-        codes, of = chunked(data, bounds)
-        pooled = np.concatenate([self.largest(codes[k : k + 128]) for k in range(0, len(codes), 128)])
+        start, end, of = chunks(bounds)
+        pooled = []
+        for k in range(0, len(of), 4096):
+            codes = windows(data, start[k : k + 4096], end[k : k + 4096])
+            pooled += [self.largest(codes[j : j + 128]) for j in range(0, len(codes), 128)]
+        pooled = np.concatenate(pooled)
         z = self.combined(pooled, of, texts)[0].astype(np.float64) @ self.out.astype(np.float64) + float(self.shift)
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
@@ -126,16 +140,15 @@ class Network:
                         self.shift = np.float32(self.shift - move)
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE, most: int = BYTES) -> Network:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE, most: int = BYTES, each: int = EACH) -> Network:
     """A network that has learned from a bounded sample of the labelled rows that aren't held out."""
     marks = labels.where(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).where(~held_out("doc_id")).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(label).cast("int").alias("y"))
-    few = marks.withColumn("_k", F.row_number().over(W.partitionBy("y").orderBy(F.xxhash64("doc_id"), "doc_id"))).where(F.col("_k") <= sample // 2)
-    few = few.limit(sample)  # its size is known: two labels
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(few), "doc_id").where("text is not null")
-    got = rows.groupBy("doc_id").agg(F.min("y").alias("y"), F.min("_k").alias("k"), F.min("text").alias("text")).where(F.octet_length("text") <= most // 64).orderBy("k", "y", "doc_id").collect()
+    few = smallest(marks, "y", sample // 2).limit(sample)  # its size is known: two labels
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.substring("text", 1, each).alias("text")).join(F.broadcast(few), "doc_id").where("text is not null")
+    got = rows.groupBy("doc_id").agg(F.min("y").alias("y"), F.min("_k").alias("k"), F.min("text").alias("text")).orderBy("k", "y", "doc_id").collect()
     texts, ys, held = [], [], 0
     for r in got:
-        data = r["text"].encode("utf-8", "surrogatepass")
+        data = r["text"].encode("utf-8", "surrogatepass")[:each]
         if held + len(data) > most:
             break
         texts.append(data)
@@ -156,10 +169,7 @@ def score(docs: DataFrame, net: Network, threshold: float = 0.7) -> DataFrame:
         enter("quality")
         net = sent.value
         for batch in slices(batches, most=1 << 20):
-            column = batch.column(2)
-            offsets = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
-            data = np.frombuffer(column.buffers()[2] or b"", np.uint8)[offsets[0] : offsets[-1]]
-            p = net.score(data, offsets - offsets[0])
+            p = net.score(*laid(batch.column(2)))
             yield record(schema, batch.column(0), batch.column(1), p, (p >= threshold).astype(np.int32))
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out("doc_id").alias("held_out"), F.coalesce("text", F.lit("")).alias("text"))

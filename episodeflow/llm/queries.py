@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..storage import shared_dir
 from . import decontaminate, language, onebit, packing, pii, quality, repair, simhash, token_cache, url_rules
 from .common import table
 
@@ -27,7 +30,9 @@ def op4_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return token_cache.token_counts(table(spark, sf_dir, "documents"))
+    """The folder of a corpus has a cache of its own: counting it again encodes what is new there, or nothing."""
+    corpus = hashlib.sha256(sf_dir.rstrip("/").encode()).hexdigest()[:16]
+    return token_cache.token_counts(table(spark, sf_dir, "documents"), cache=f"{shared_dir(spark)}/token-cache-{corpus}")
 
 
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,12 +12,13 @@ import public_tokenizers
 import pytest
 import sentencepiece
 import xxhash
+import zstandard
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
 import corpus_pipeline
 from episodeflow.llm import components, decontaminate, language, onebit, packing, pii, quality, repair, simhash, token_cache, url_rules
-from episodeflow.llm.common import materialise
+from episodeflow.llm.common import materialise, smallest
 from episodeflow.llm.tokens import encoder
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -256,14 +257,14 @@ def test_account_numbers_before_words_and_numbers(spark):
     outer = "ZZ" + check("ZZ", inner[:14].replace(" ", "")) + " " + inner  # each valid, the second begins within the first
     assert [pii.report(docs(spark, [x])).first()["spans"] for x in (inner, outer)] == ["iban:0:24", "iban:0:19"]
     score = pii.find(docs(spark, [f"{own} 5 is my bank", f"{own} " + "." * 36 + " bank"])).orderBy("doc_id").collect()
-    assert [round(r["iban"][0]["score"], 2) for r in score] == [1.0, 0.9]
+    assert [round(r["_spans"]["iban"][0]["score"], 2) for r in score] == [1.0, 0.9]
 
 
 def test_context_reaches_over_other_matches(spark):
     texts = ["SSN on file: 123-45-6789, 234-56-7890", "123-45-6789 and 234-56-7890 are tax numbers", "SSN 123-45-6789" + "," * 29 + "234-56-7890", "SSN 123-45-6789" + "," * 24 + "234-56-7890", "hosts: " + "10.0.0.1 " * 6]
     rows = {r["doc_id"]: r["spans"] for r in pii.report(docs(spark, texts)).collect()}
     assert [rows[i] for i in range(4)] == ["ssn:13:24,ssn:26:37", "ssn:0:11,ssn:16:27", "ssn:4:15", "ssn:4:15,ssn:39:50"]
-    gaps = {r["doc_id"]: [round(x["score"], 2) for x in r["ip"]] for r in pii.find(docs(spark, texts)).collect()}
+    gaps = {r["doc_id"]: [round(x["score"], 2) for x in r["_spans"]["ip"]] for r in pii.find(docs(spark, texts)).collect()}
     assert gaps[4] == [0.95] * 4 + [0.6] * 2
     many = " ".join(f"{100 + i}-45-6789" for i in range(300)) + " ssn"
     assert pii.report(docs(spark, [many])).first()["spans"] == "ssn:3552:3563,ssn:3564:3575,ssn:3576:3587,ssn:3588:3599"
@@ -306,6 +307,12 @@ def test_components(spark):
     assert components.components(df.where("false")).count() == 0
 
 
+def test_components_of_a_long_path(spark):
+    path = [(i, i + 1) for i in range(300)]
+    random.Random(2).shuffle(path)
+    assert {r["component"] for r in components.components(spark.createDataFrame(path, "a long, b long")).collect()} == {0}
+
+
 def test_near_duplicates_equal_brute_force(spark):
     rng = random.Random(8)
     base = [" ".join(rng.choice("alpha beta gamma delta eta theta iota".split()) + str(rng.randrange(30)) for _ in range(60)) for _ in range(12)]
@@ -362,6 +369,8 @@ def test_token_counts_and_cache(spark, tmp_path):
     again = token_cache.token_counts(docs(spark, [*texts, "new text"]), cache=cache).collect()
     assert len(again) == len(texts) + 1 and spark.read.parquet(cache).count() == size + 1
     assert token_cache.token_counts(docs(spark, [])).count() == 0
+    again = token_cache.token_counts(docs(spark, texts), cache=cache)  # nothing is missing
+    assert spark.read.parquet(cache).count() == size + 1 and {r["doc_id"]: r["n_tokens"] for r in again.collect()} == {i: r["n_tokens"] for i, r in rows.items()}
     pieces = token_cache.token_counts(docs(spark, ["hello world", None]), "piece_bpe_32k.model").collect()
     plain = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
     assert {r["doc_id"]: r["n_tokens"] for r in pieces} == {0: len(plain.encode("hello world")), 1: 0}
@@ -397,6 +406,69 @@ def test_language_on_held_out_rows(spark):
     assert {r["lang_pred"] for r in language.identify(df.withColumn("lang", df["lang"].substr(99, 1))).collect()} == {"und"}
 
 
+def test_language_equals_plain_compression(spark):
+    df = corpus(spark, 120)
+    contents = language.fit(df, sample=30, content=2000, each=100)
+    learned = {r["lang"]: r["n"] for r in df.where("text is not null and lang is not null").groupBy("lang").agg({"*": "count"}).withColumnRenamed("count(1)", "n").collect()}
+    assert set(contents) == {"de", "en", "fr"} <= set(learned) and all(len(v) <= 2000 for v in contents.values())
+    texts = [*AWKWARD, "the cat", "der hund und die katze", "le chat", "çà et là", "12", "the der le " * 2000]
+    got = {r["doc_id"]: r for r in language.identify(docs(spark, texts), contents).collect()}
+    for i, t in enumerate(texts):
+        if not t or not any(c.isalpha() for c in t):
+            assert (got[i]["lang_pred"], got[i]["score"], got[i]["rejected"]) == ("und", 0.0, True)
+            continue
+        plain, sizes = re.sub(r"[\W\d_]+", " ", t.lower()).encode(), {}
+        for name, content in contents.items():
+            made = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            press = zstandard.ZstdCompressor(dict_data=made, level=language.LEVEL, write_checksum=False, write_content_size=False, write_dict_id=False)
+            sizes[name] = sum(len(press.compress(plain[a : a + 4096])) for a in range(0, len(plain), 4096))
+        first, second = sorted(sizes.items(), key=lambda x: (x[1], x[0]))[:2]
+        assert got[i]["lang_pred"] == first[0]
+        assert got[i]["margin"] == (second[1] - first[1]) / second[1] and got[i]["rejected"] == (got[i]["margin"] < language.MARGIN)
+
+
+def test_language_ties_go_to_the_first_name():
+    judge = language.Judge({"b": b"same words here", "c": b"same words here", "a": b"same words here"})
+    assert judge("some words")[0] == "b"  # fit hands them over in alphabetical order
+    assert judge("some words")[2] == 0.0
+
+
+def test_samples_are_the_smallest_hashes(spark):
+    rows = [("x", i) for i in range(5000)] + [("y", i) for i in range(7)]
+    df = spark.createDataFrame(rows, "k string, doc_id long")
+    got = smallest(df, "k", 50).groupBy("k").count().collect()
+    assert {r["k"]: r["count"] for r in got} == {"x": 50, "y": 7}
+    top = df.where("k = 'x'").selectExpr("doc_id", "shiftrightunsigned(xxhash64(doc_id), 11) as h").orderBy("h").limit(50)
+    assert {r[0] for r in smallest(df, "k", 50).where("k = 'x'").select("doc_id").collect()} == {r[0] for r in top.collect()}
+
+
+def test_scores_equal_a_plain_network(spark):
+    net = quality.Network()
+    rng = np.random.default_rng(4)
+    net.bias[:], net.shift = rng.normal(0, 0.2, len(net.bias)), np.float32(0.3)
+    texts = [*[t for t in AWKWARD if t is not None], "abc", "abcd", "longer than one chunk " * 40, None]
+    got = {r["doc_id"]: r["score"] for r in quality.score(docs(spark, texts), net).collect()}
+    for i, t in enumerate(texts):
+        data, pooled = (t or "").encode(), []
+        for a in range(0, max(1, len(data)), quality.CHUNK):
+            best = np.zeros(len(net.bias))
+            for f in range(len(net.bias)):
+                sums = [sum(float(net.table[j, data[k + j], f]) for j in range(quality.WIDTH)) + float(net.bias[f]) for k in range(a, min(a + quality.CHUNK, len(data) - quality.WIDTH + 1))]
+                best[f] = max([0.0, *sums])
+            pooled.append(best)
+        z = np.concatenate([np.mean(pooled, axis=0), np.max(pooled, axis=0)]) @ net.out + float(net.shift)
+        assert got[i] == pytest.approx(1 / (1 + np.exp(-z)), abs=1e-4), i
+
+
+def test_training_moves_against_the_loss():
+    texts, y = [b"good words of prose " * 3, b"JUNK!!! 111 $$$ " * 3] * 40, np.array([1, 0] * 40, np.float32)
+    net = quality.Network()
+    loss = lambda: float(np.mean([-np.log(p if t else 1 - p) for t, p in zip(y, net.score(np.frombuffer(b"".join(texts), np.uint8), np.cumsum([0, *map(len, texts)])))]))
+    before = loss()
+    net.fit(texts, y)
+    assert loss() < 0.1 < before
+
+
 def test_quality_on_held_out_rows(spark):
     rng = random.Random(6)
     rows, labels = [], []
@@ -500,6 +572,66 @@ def test_parts_of_items_and_inserted_words(spark):
     assert decontaminate.contaminated(docs(spark, [" ".join(x) for x in near]), bench).count() == 0
 
 
+def plain_overlap(doc, item, least=12, similarity=0.8, most=16):
+    """Whether any part of the document and any part of the item align with enough words and few enough misses."""
+    best = {}
+    whole = len(item) < least / similarity
+    for i in range(len(item) + 1):
+        for j in range(len(doc) + 1):
+            ways = []
+            if (i == 0) if len(item) < least else True:
+                ways.append((0, 0, i, j))  # equal, misses, start in the item, start in the document
+            for di, dj in ((1, 1), (1, 0), (0, 1)):
+                for e, m, si, sj in best.get((i - di, j - dj), ()):
+                    same = di and dj and item[i - 1] == doc[j - 1]
+                    if m + (not same) <= most:
+                        ways.append((e + same, m + (not same), si, sj))
+            best[i, j] = set(ways)
+            for e, m, si, sj in ways:
+                if e and e >= similarity * (e + m) - 1e-9:
+                    if (i == len(item) and si == 0 and whole) or (len(item) >= least and max(i - si, j - sj) >= least):
+                        return True
+    return False
+
+
+def test_overlaps_equal_an_exhaustive_alignment(spark):
+    rng = random.Random(21)
+    items, texts, want = [], [], []
+    for n in (6, 9, 13, 14):
+        for _ in range(6):
+            item = [f"w{rng.randrange(40)}" for _ in range(n)]
+            doc = [f"w{rng.randrange(40)}" for _ in range(3)] + item + [f"w{rng.randrange(40)}" for _ in range(3)]
+            for _ in range(rng.randint(0, 5)):
+                k = rng.randrange(len(doc))
+                doc[k : k + 1] = rng.choice(([], ["x"], [doc[k], "y"]))
+            items.append(item)
+            texts.append(doc)
+    bench = spark.createDataFrame([(i, " ".join(x)) for i, x in enumerate(items)], "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(docs(spark, [" ".join(x) for x in texts]), bench).collect()}
+    for i, item in enumerate(items):
+        if plain_overlap(texts[i], item):
+            want.append((i, i))
+    assert len(want) > 8 and {x for x in got if x[0] == x[1]} == set(want)
+
+
+def test_repeated_words_and_tiny_items(spark):
+    rng = random.Random(1)
+    items = ["ha " * 1000, "no yes " * 300, "only four words here", "one", "", "  ", " ".join(f"u{rng.randrange(99)}" for _ in range(40))]
+    texts = ["ha " * 300_000, "no yes " * 50_000, "Only four -- words here!", "only four words here too", "one", "two", "", "ha " * 9 + "x", "ha " * 13 + "x"]
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    rows = {(r["doc_id"], r["item_id"]): r for r in decontaminate.contaminated(docs(spark, texts), bench).collect()}
+    assert set(rows) == {(0, 0), (1, 1), (2, 2), (4, 3), (8, 0)}
+    assert (rows[0, 0]["start"], rows[0, 0]["n_equal"], rows[1, 1]["n_equal"], rows[8, 0]["n_words"]) == (0, 1000, 600, 13)
+    many = " ".join(f"a{i}" for i in range(400_000))  # over several parts
+    data = np.frombuffer(many.encode(), np.uint8)
+    whole = decontaminate.words(data, np.array([0, 7, 7, len(data)]), 1 << 30)
+    for part in (1, 1000, 65_537):
+        size = len(data) if part > 1 else 300
+        a, b = decontaminate.words(data[:size], np.array([0, 7, 7, size]), part), decontaminate.words(data[:size], np.array([0, 7, 7, size]), 1 << 30)
+        assert np.array_equal(a[0], b[0]) and np.array_equal(a[1], b[1])
+    assert len(whole[0]) >= 400_000
+
+
 def test_word_hashes_do_not_depend_on_the_place():
     h = lambda t: decontaminate.words(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t.encode())]))[0].tolist()
     assert h("Alpha, beta") == h("  alpha -- BETA!") and h("alpha beta") != h("beta alpha") and h("") == []
@@ -607,6 +739,45 @@ def test_packed_documents(spark):
     assert packing.pack(twice).count() == 2
 
 
+# ---- nulls, repeated rows and names that clash
+
+
+def test_every_operator_takes_repeated_and_null_doc_ids_and_clashing_names(spark):
+    text = "the cat and the dog were in the house with the other people of this town"
+    rows = [(1, text, "en"), (1, text, "en"), (None, text, "en"), (2, None, None), (None, None, None), (3, "bob@example.org " + text, "de")]
+    names = ["ip", "email", "card", "phone", "iban", "ssn", "score", "digest", "fp", "node", "component", "cell", "length", "bucket", "row", "piece", "spans", "held_out", "item_id", "a", "b", "_k"]
+    df = spark.createDataFrame([(*r, *["z"] * len(names)) for r in rows], ", ".join(["doc_id long", "text string", "lang string", *[f"`{n}` string" for n in names]]))
+    bench = spark.createDataFrame([(1, "no words of the texts are in this item at all not even one or two", "z")], "item_id long, text string, doc_id string")
+    marks = spark.createDataFrame([(1, 1, "z"), (3, 0, "z"), (None, 1, "z")], "doc_id long, quality int, text string")
+    some = [r[0] for r in rows]
+    for got in (repair.digest(df), pii.report(df), token_cache.token_counts(df), language.identify(df), quality.score(df, quality.fit(df, marks))):
+        assert sorted(str(r["doc_id"]) for r in got.collect()) == sorted(map(str, some))
+    assert simhash.near_duplicates(df).count() == len(rows)
+    assert sorted(str(r["doc_id"]) for r in packing.pack(df).collect()) == sorted(map(str, some))
+    assert decontaminate.contaminated(df, bench).count() == 0
+    for name, stage in (("language", lambda: language.known_language(df)), ("near", lambda: simhash.keep_one(df)), ("clean", lambda: decontaminate.clean(df, bench)), ("redact", lambda: pii.redact(df, df.columns))):
+        kept = stage()
+        assert kept.columns == df.columns, name
+        assert all(r["ip"] == r["_k"] == "z" for r in kept.collect()), name
+    assert sorted(r["text"] for r in pii.redact(df, df.columns).collect() if r["text"])[0].startswith("<email> the")
+    pages = spark.createDataFrame([(1, "https://a.org/x", "z", "z", "z"), (None, None, "z", "z", "z"), (1, "https://a.org/x", "z", "z", "z")], "page_id long, url string, html string, host string, verdict string")
+    assert url_rules.judge(pages).count() == 3
+
+
+def test_long_texts(spark):
+    rng = random.Random(5)
+    long = " ".join(rng.choice(SAMPLES["en"].split()) + str(rng.randrange(10**6)) for _ in range(400_000))
+    df = docs(spark, [long, "the cat and the dog", long + " end"])
+    assert language.identify(df).count() == quality.score(df, quality.Network()).count() == 3
+    assert simhash.near_duplicates(df).select("component_id").distinct().count() == 2
+    item = " ".join(long.split()[200_000:200_030])
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    assert sorted((r["doc_id"], r["start"]) for r in decontaminate.contaminated(df, bench).collect()) == [(0, 200_000), (2, 200_000)]
+    packed = {r["doc_id"]: r["n"] for r in packing.pack(df).groupBy("doc_id").agg({"length": "sum"}).withColumnRenamed("sum(length)", "n").collect()}
+    counted = {r["doc_id"]: r["n_tokens"] + 1 for r in token_cache.token_counts(df).collect()}
+    assert packed == counted
+
+
 # ---- the pipeline
 
 
