@@ -36,31 +36,36 @@ def configurations(sizes: np.ndarray, demand: np.ndarray, limit: int, steps: int
     k = len(sizes)
     basis = np.diag((limit // sizes).astype(float))
     inverse = np.diag(1 / np.diag(basis))
-    for _ in range(steps):
+    places = np.arange(limit + 1)[None, :] - sizes[:, None]
+    fits = places >= 0
+    places = np.maximum(places, 0)
+    for step in range(steps):
         used = inverse @ demand
-        price = np.maximum(np.ones(k) @ inverse, 0)
-        worth, last = np.zeros(limit + 1), np.full(limit + 1, -1)
-        for room in range(int(sizes.min()), limit + 1):
-            fits = sizes <= room
-            values = np.where(fits, worth[room - np.minimum(sizes, room)] + price, -1)
-            best = int(np.argmax(values))
-            if values[best] > worth[room - 1] + 1e-12:
-                worth[room], last[room] = values[best], best
-            else:
-                worth[room] = worth[room - 1]
+        price = np.maximum(inverse.sum(axis=0), 0)
+        worth, picks = np.zeros(limit + 1), []
+        for _ in range(limit // int(sizes.min())):  # the best of one more size at most
+            values = np.where(fits, worth[places] + price[:, None], -1)
+            pick = values.argmax(axis=0)
+            more = values[pick, np.arange(limit + 1)]
+            picks.append(np.where(more > worth + 1e-12, pick, -1))
+            worth = np.maximum(worth, more)
         if worth[limit] <= 1 + 1e-9:
             break
         column, room = np.zeros(k), limit
-        while room > 0:
-            if last[room] < 0:
-                room -= 1
-            else:
-                column[last[room]] += 1
-                room -= sizes[last[room]]
+        for pick in reversed(picks):
+            if pick[room] >= 0:
+                column[pick[room]] += 1
+                room -= int(sizes[pick[room]])
         way = inverse @ column
         ratio = np.where(way > 1e-9, used / np.where(way > 1e-9, way, 1), np.inf)
-        basis[:, int(np.argmin(ratio))] = column
-        inverse = np.linalg.inv(basis)
+        leaves = int(np.argmin(ratio))
+        basis[:, leaves] = column
+        if step % 40 == 39:  # anew, before errors add up
+            inverse = np.linalg.inv(basis)
+        else:
+            row = inverse[leaves] / way[leaves]
+            inverse = inverse - np.outer(way, row)
+            inverse[leaves] = row
     return basis.T.round().astype(np.int64), np.maximum(inverse @ demand, 0)
 
 
@@ -164,7 +169,15 @@ class Plan:
 
 
 def best_plan(counts: dict[int, int], limit: int = LIMIT, schemes: tuple = SCHEMES) -> Plan:
-    return min((Plan(counts, limit, small, groups) for small, groups in schemes), key=lambda p: p.sequences)
+    """The scheme's plan with the fewest sequences; none is tried after one that no packing betters."""
+    least, best = -(-sum(n * c for n, c in counts.items()) // limit), None
+    for small, groups in schemes:
+        plan = Plan(counts, limit, small, groups)
+        if best is None or plan.sequences < best.sequences:
+            best = plan
+        if best.sequences == least:
+            break
+    return best
 
 
 def pieces(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", end_id: int = 2, limit: int = LIMIT, remembered: int = MOST_PIECES, batch_bytes: int = 2 << 20) -> DataFrame:
