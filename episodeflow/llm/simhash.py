@@ -4,7 +4,9 @@ A fingerprint's embedding holds the bit counts of its 32 two-bit segments. The M
 never above the Hamming distance of the fingerprints, so links lie within 3 in it, and one of the two halves of their
 embeddings lies within 1. The grid's cells are the halves' count vectors: each distinct fingerprint stands in its two
 cells and probes the cells one step up in one count (one direction is enough, the other is the partner's). What meets
-in a cell is compared exactly, and a cell hands on a spanning forest of its links, never all pairs.
+in a cell is compared exactly, and a cell hands on a spanning forest of its links, never all pairs. A cell of more than
+`SPLIT` rows is split by the other half: links lie within 3 there, so that one of its two quarters lies within 1, and
+the same step is taken again with the quarters' counts. No task holds more of a crowded cell than such a part.
 
 Equal fingerprints are one node from the start, so copies cost nothing. Null texts are empty; a text without words has
 fingerprint zero and links like any other; repeated rows keep their rows; other columns aren't read.
@@ -24,7 +26,7 @@ from .common import enter, materialise, ragged, record, slices, texts
 from .components import components
 
 SHINGLE, DISTANCE, SEED = 3, 3, 42
-MANY = 64
+MANY, SPLIT = 64, 1 << 15
 _PAIRS = np.uint64(0x5555555555555555)
 
 
@@ -87,6 +89,20 @@ def _cells(prints: DataFrame) -> DataFrame:
     return halves.selectExpr("fp", f"inline(concat(array(struct(half * 4294967296L + c as cell, false as probe)), {up}))").select("cell", "probe", "fp")
 
 
+def _parts(rows: DataFrame) -> DataFrame:
+    """(cell, probe, fp) of crowded cells, split by the quarters of the other half.
+
+    Own rows meet each other, so one direction is enough for them; probes meet own rows only and go both ways.
+    """
+    counts = "(({0} & 1431655765L) + (shiftrightunsigned({0}, 1) & 1431655765L))"
+    other = F.when(F.col("cell") < (1 << 32), F.expr(counts.format("shiftrightunsigned(fp, 32)"))).otherwise(F.expr(counts.format("(fp & 4294967295L)")))
+    quarters = rows.withColumn("_o", other).selectExpr("cell", "probe", "fp", "inline(array(struct(0L as _q, _o & 65535L as c), struct(1L as _q, shiftrightunsigned(_o, 16) as c)))")
+    up = "transform(filter(sequence(0, 7), i -> (shiftright(c, 2 * i) & 3L) < 2L), i -> struct(c + shiftleft(1L, 2 * i) as c2, true as p2))"
+    down = "if(probe, transform(filter(sequence(0, 7), i -> (shiftright(c, 2 * i) & 3L) > 0L), i -> struct(c - shiftleft(1L, 2 * i) as c2, true as p2)), array())"
+    each = quarters.selectExpr("cell", "_q", "fp", f"inline(concat(array(struct(c as c2, probe as p2)), {up}, {down}))")
+    return each.select(F.xxhash64("cell", "_q", "c2").alias("cell"), F.col("p2").alias("probe"), "fp")  # cells that share a hash cost a comparison
+
+
 def _forest(fps: np.ndarray, distance: int) -> tuple[list, list]:
     """Links that join what is linked among fps: each is reached once, from the one that found it."""
     left, a, b = np.unique(fps), [], []
@@ -132,7 +148,7 @@ def _links(cell: np.ndarray, probe: np.ndarray, fp: np.ndarray, distance: int) -
     return np.concatenate(a), np.concatenate(b)
 
 
-def links(prints: DataFrame, distance: int = DISTANCE) -> DataFrame:
+def links(prints: DataFrame, distance: int = DISTANCE, split: int = SPLIT) -> DataFrame:
     """(a, b): links that join all fingerprints (distinct, column fp) at `distance` (3 at most) or fewer differing bits."""
     if not 0 <= distance <= 3:
         raise ValueError("two halves with a step of one find distances up to 3")
@@ -164,14 +180,18 @@ def links(prints: DataFrame, distance: int = DISTANCE) -> DataFrame:
             yield out(held)
 
     n = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = _cells(prints).repartition(n, "cell").sortWithinPartitions("cell", "probe")
+    cells = _cells(prints)
+    crowded = materialise(cells.groupBy("cell").count().where(F.col("count") > split).select("cell"), "crowded")
+    if crowded.limit(1).count():
+        cells = cells.join(crowded, "cell", "left_anti").unionByName(_parts(cells.join(crowded, "cell", "left_semi")))
+    dealt = cells.repartition(n, "cell").sortWithinPartitions("cell", "probe")
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, distance: int = DISTANCE) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id: the smallest doc_id reachable over links, itself included."""
     prints = materialise(fingerprints(docs, shingle), "fingerprints")
-    nodes = prints.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    nodes = materialise(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct-fingerprints")
     joined = components(links(nodes.select("fp"), distance))
     smallest = nodes.join(joined, nodes.fp == joined.node, "left").select("fp", "least", F.coalesce("component", "fp").alias("c"))
     groups = smallest.groupBy("c").agg(F.min("least").alias("component_id"))

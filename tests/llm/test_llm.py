@@ -347,6 +347,9 @@ def test_links_join_dense_groups(spark):
     got = simhash.links(spark.createDataFrame([(x,) for x in signed], "fp long")).collect()
     want = [(signed[i], signed[i + 1 + j]) for i in range(len(fps)) for j in np.flatnonzero(np.bitwise_count(fps[i + 1 :] ^ fps[i]) <= 3)]
     assert roots(signed, [(r["a"], r["b"]) for r in got]) == roots(signed, want)
+    for split in (1, 40):  # crowded cells split by their other half
+        again = simhash.links(spark.createDataFrame([(x,) for x in signed], "fp long"), split=split).collect()
+        assert roots(signed, [(r["a"], r["b"]) for r in again]) == roots(signed, want)
     a, b = fps[:200], fps[-200:]
     counts = lambda x: [bin(int(x) >> 2 * i & 3).count("1") for i in range(32)]
     d = simhash.manhattan(simhash.embedding(a), simhash.embedding(b))
