@@ -30,7 +30,7 @@ from pyspark.sql import Window as W
 
 from .common import materialise, record
 
-SAMPLE, QUERIES, BLOCK, ROWS_A_TASK, SIGMAS, SEED = 4096, 4096, 4096, 32768, 2.6, 11
+SAMPLE, QUERIES, BLOCK, ROWS_A_TASK, SIGMAS, SEED, DENSE = 4096, 4096, 4096, 32768, 2.6, 11, 1 / 16
 
 
 def valid(df: DataFrame, dim: int | None = None) -> DataFrame:
@@ -80,11 +80,7 @@ def estimates(codes: np.ndarray, norm: np.ndarray, held: np.ndarray, queries: np
 
 def exact(x: np.ndarray, q: np.ndarray) -> np.ndarray:
     """Inner products of rows, summed in the order of the components, so that they don't depend on what else is in the block."""
-    x, q = np.broadcast_arrays(x, q)
-    out = x[:, 0] * q[:, 0]
-    for d in range(1, x.shape[1]):
-        out = out + x[:, d] * q[:, d]
-    return out
+    return np.cumsum(x * q, axis=1)[:, -1]
 
 
 class Best:
@@ -93,26 +89,35 @@ class Best:
     def __init__(self, ids: np.ndarray, q: np.ndarray, k: int):
         self.ids, self.q, self.k = ids, q, k
         self.scores, self.rows = [np.empty(0)] * len(ids), [np.empty(0, np.int64)] * len(ids)
-        self.bar = np.full(len(ids), -np.inf)
-
-    def take(self, vec: np.ndarray, x: np.ndarray, a: int, guess: np.ndarray, error: np.ndarray) -> None:
-        """Rows vec with vectors x for the queries from the a-th on: those that the bounds can't exclude are scored."""
-        k, ids = self.k, self.ids[a : a + len(guess)]
-        low, high = guess - error, guess + error
-        wild = ~(np.isfinite(low) & np.isfinite(high))
-        low[wild], high[wild] = -np.inf, np.inf
-        own = vec[None, :] == ids[:, None]
-        high[own] = low[own] = -np.inf
-        bar = self.bar[a : a + len(guess)]
+        self.bar, self.size = np.full(len(ids), -np.inf), lengths(q)
+
+    def take(self, vec: np.ndarray, x: np.ndarray, size: np.ndarray, a: int, guess: np.ndarray, error: np.ndarray) -> None:
+        """Rows vec with vectors x of lengths size for the queries from the a-th on: those that the bounds can't exclude are scored.
+
+        Where the bounds let through more than `DENSE` of a tile, all its products cost less than picking rows; the few
+        that reach the bar are summed again in order.
+        """
+        k, ids, q = self.k, self.ids[a : a + len(guess)], self.q[a : a + len(guess)]
+        bar, own = self.bar[a : a + len(guess)], vec[None, :] == ids[:, None]
+        high = guess + error
+        high[~np.isfinite(high)] = np.inf
+        high[own] = -np.inf
         if len(vec) >= k and np.isinf(bar).any():
+            low = guess - error
+            low[own | ~np.isfinite(low)] = -np.inf
             bar = np.maximum(bar, np.partition(low, len(vec) - k, axis=1)[:, len(vec) - k])
         some, at = np.nonzero((high >= bar[:, None]) & ~own)
-        score = np.empty(len(some))
-        for c in range(0, len(some), 1 << 16):
-            part = slice(c, c + (1 << 16))
-            score[part] = exact(x[at[part]], self.q[a + some[part]])
-        keep = score >= self.bar[a + some]
-        some, at, score = some[keep], at[keep], score[keep]
+        if len(some) > DENSE * high.size:
+            rough = (q @ x.T)[some, at]
+        else:
+            rough = np.empty(len(some))
+            for c in range(0, len(some), 1 << 14):
+                part = slice(c, c + (1 << 14))
+                rough[part] = np.einsum("ij,ij->i", x[at[part]], q[some[part]])
+        slack = 1e-12 * self.size[a + some] * size[at]
+        keep = ~(rough + slack < bar[some])
+        some, at = some[keep], at[keep]
+        score = np.concatenate([np.empty(0), *[exact(x[at[c : c + 4096]], q[some[c : c + 4096]]) for c in range(0, len(some), 4096)]])
         cuts = np.flatnonzero(np.diff(some, prepend=-1))
         for c, d in zip(cuts, np.append(cuts[1:], len(some)), strict=True):
             j = a + int(some[c])
@@ -167,11 +172,11 @@ def search(df: DataFrame, queries: DataFrame, k: int = 20, dim: int | None = Non
                     vec = part.column(0).to_numpy()
                     x = matrix(part.column(4), dim)
                     codes = np.frombuffer(b"".join(part.column(1).to_pylist()), np.uint8).reshape(len(vec), -1)
-                    norm, held = (part.column(c).to_numpy() for c in (2, 3))
+                    norm, held, size = *(part.column(c).to_numpy() for c in (2, 3)), lengths(x)
                     for a in range(0, len(ids), 128):
                         guess, error = estimates(codes, norm, held, q[a : a + 128], turn, sigmas)
                         own = offset[a : a + 128, None]
-                        best.take(vec, x, a, guess + own, error + 1e-9 * np.abs(own))
+                        best.take(vec, x, size, a, guess + own, error + 1e-9 * np.abs(own))
             many = [len(s) for s in best.scores]
             if sum(many):
                 yield record(schema, np.repeat(ids, many), np.concatenate(best.rows), np.concatenate(best.scores))
