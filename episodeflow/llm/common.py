@@ -50,15 +50,21 @@ CACHES: list = []
 _last: list[str] = [""]
 
 
+def trim() -> None:
+    """What this worker process has freed goes back to the system: it may sit idle while others need the memory."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def enter(operator: str) -> None:
     """Called by an operator's Python code: what another operator left in this (reused) worker process is let go."""
     if _last[0] != operator:
         _last[0] = operator
         for clear in CACHES:
             clear()
-        gc.collect()
-        with contextlib.suppress(OSError, AttributeError):
-            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        trim()
 
 
 def laid(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -96,17 +102,18 @@ def held_out(doc_id) -> F.Column:
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def smallest(rows: DataFrame, key: str, n: int) -> DataFrame:
+def smallest(rows: DataFrame, key: str, n: int, buckets: int = 64) -> DataFrame:
     """Of each `key` the n rows (key, doc_id; all distinct) with the smallest hash of doc_id, numbered from 1 as _k.
 
-    Rows whose hash can't be among them, by the size of their key's group, go before anything is sorted or sent: a group
-    that holds most of all rows costs a task a few times n of them.
+    Rows are first thinned in `buckets` by another hash, to twice their share of n and some: a key that holds most of
+    all rows is spread over tasks, and the one that orders what is left of it reads a few times n rows at any size. (That
+    a bucket holds more of the n smallest than it may keep is all but impossible; it would only change the choice.)
     """
-    place = F.shiftrightunsigned(F.xxhash64("doc_id"), 11) / F.lit(float(1 << 53))
-    sizes = rows.groupBy(key).agg(F.count("*").alias("_n"))
-    few = rows.join(sizes, key).where(place * F.col("_n") < 4 * n + 40).drop("_n")
-    order = W.partitionBy(key).orderBy(F.shiftrightunsigned(F.xxhash64("doc_id"), 11), "doc_id")
-    return few.withColumn("_k", F.row_number().over(order)).where(F.col("_k") <= n)
+    most = 2 * -(-n // buckets) + 16
+    place = F.shiftrightunsigned(F.xxhash64("doc_id"), 11)
+    dealt = rows.withColumn("_b", F.pmod(F.xxhash64("doc_id", F.lit("bucket")), F.lit(buckets)))
+    each = dealt.withColumn("_r", F.row_number().over(W.partitionBy(key, "_b").orderBy(place, "doc_id"))).where(F.col("_r") <= most).drop("_b", "_r")
+    return each.withColumn("_k", F.row_number().over(W.partitionBy(key).orderBy(place, "doc_id"))).where(F.col("_k") <= n)
 
 
 def ragged(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:

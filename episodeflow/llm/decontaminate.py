@@ -34,13 +34,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CACHES, enter, laid, materialise, ragged, record, slices, texts
+from .common import CACHES, enter, laid, materialise, ragged, record, slices, texts, trim
 
 #: The masks, 1 = compared.
 MASKS, SHORT_MASKS = ("1111", "11101"), ("11011", "10111")
 SHORTEST = 5
 LEAST, SIMILARITY, MISS, MOST = 12, 0.8, 1, 16
-BLOCK_WORDS, CELLS, HITS, PART = 1 << 21, 1 << 21, 1 << 20, 4 << 20
+BLOCK_WORDS, CELLS, HITS, PART = 1 << 21, 1 << 21, 1 << 20, 1 << 19
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 _BASE = 0x100000001B3 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
@@ -318,6 +318,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: int = LEAST, simi
                     keys, vals = list(best), list(best.values())
                     yield record(schema, [batch.column(0)[t].as_py() for t, _ in keys], [items.ids[i] for _, i in keys], [int(-v[2]) for v in vals], [int(v[3]) for v in vals], [int(v[1]) for v in vals], [len(items.hashes[i]) for _, i in keys])
 
+            trim()
+
         part = rows.mapInArrow(run, "doc_id long, item_id long, start long, n_words long, n_equal long, item_words long")
         if blocks > 1:  # one block at a time in driver and tasks
             part = materialise(part, "contaminated")

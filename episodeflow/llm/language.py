@@ -23,7 +23,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import enter, held_out, modest_batches, record, slices, smallest
+from .common import enter, held_out, modest_batches, record, slices, smallest, trim
 
 SAMPLE, EACH, CONTENT, CHUNK, MARGIN, LEVEL = 1200, 1365, 400 << 10, 4096, 0.02, 6
 _NO_LETTERS = re.compile(r"[\W\d_]+")
@@ -105,5 +105,6 @@ def known_language(docs: DataFrame, margin: float = MARGIN) -> DataFrame:
         for batch in slices(batches):
             said = [judge(t) for t in batch.column(at).to_pylist()]
             yield batch.filter(pa.array([n != "und" and m >= margin for n, _, m in said]))
+        trim()
 
     return docs.mapInArrow(run, kinds)

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import enter, materialise, ragged, record, slices, texts
+from .common import enter, materialise, ragged, record, slices, texts, trim
 from .components import components
 
 SHINGLE, DISTANCE, SEED = 3, 3, 42
@@ -58,6 +58,7 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
         for batch in slices(batches):
             prints = np.array([fingerprint(t, shingle) for t in batch.column(1).to_pylist()], np.uint64)
             yield record(schema, batch.column(0), prints.view(np.int64))
+        trim()
 
     return texts(docs).mapInArrow(run, "doc_id long, fp long")
 
@@ -178,6 +179,8 @@ def links(prints: DataFrame, distance: int = DISTANCE, split: int = SPLIT) -> Da
             held.append(tuple(x[cut:] for x in parts))
         if held:
             yield out(held)
+        held = []
+        trim()
 
     n = int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     cells = _cells(prints)
