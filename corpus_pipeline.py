@@ -52,7 +52,7 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     It remembers fewer pieces than it would alone: what the stages before it hold in an executor stays there.
     """
-    return packing.pack(docs, remembered=400_000, batch_bytes=1 << 20)
+    return packing.pack(docs, remembered=200_000, batch_bytes=1 << 20)
 
 
 STAGES = [("language", known_language), ("near_duplicates", one_of_each), ("decontamination", decontaminated), ("personal_data", redacted), ("packing", packed)]
