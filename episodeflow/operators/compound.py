@@ -12,14 +12,14 @@ from ..plans import miner
 from . import frequency, occurrences
 
 
-def track(stream: DataFrame, episodes: list[Episode], expiry: int | None = None) -> DataFrame:
-    """The counted occurrences: (stream, ep_id, s, e, members, occ_no)."""
+def track(stream: DataFrame, episodes: list[Episode], expiry: int | None = None, chunk: int | None = None) -> DataFrame:
+    """The counted occurrences: (stream, ep_id, s, e, members, occ_no); chunk: ticks, for long streams."""
     if episodes and episodes[0].kind == "parallel":
         near = occurrences.same_tick(stream) if expiry == 0 else occurrences.recents(stream, expiry)
         raw = occurrences.parallel_intervals(near, episodes, members=True)
     else:
         raw = occurrences.serial_intervals(stream, episodes, members=True)
-    return frequency.select_disjoint(raw)
+    return frequency.select_disjoint(raw, chunk)
 
 
 def raster(occurrences_: DataFrame, t0: int, t1: int) -> DataFrame:
@@ -54,5 +54,5 @@ def mine_chain(stream: DataFrame, groups: miner.EpisodePlan, chain: miner.Episod
     top = found.maximal()
     episodes = [e for e, _ in found.rows if e.id in top and len(e.types) > 1]
     if episodes:
-        stream = miner._cut(rewrite(stream, track(stream, episodes, groups.expiry), anchor, mode))
+        stream = miner._cut(rewrite(stream, track(stream, episodes, groups.expiry, found.chunk), anchor, mode))
     return found, stream, miner.mine(stream, replace(chain, kind="serial"))

@@ -13,22 +13,21 @@ from pyspark.sql import Window as W
 from ..model import Episode, Gap, pos
 
 
-def _ids(episodes: list[Episode], spark) -> DataFrame:
-    rows = [(e.id, list(e.types), [(g.lo, g.hi, g.label) for g in e.gaps]) for e in episodes]
-    return spark.createDataFrame(rows, "ep_id string, types array<string>, gaps array<struct<lo:bigint,hi:bigint,label:string>>")
-
-
-def band_join(left: DataFrame, right: DataFrame, lo: int, hi: int, on: tuple[str, ...] = ("stream",)) -> DataFrame:
+def band_join(left: DataFrame, right: DataFrame, lo, hi, on: tuple[str, ...] = ("stream",), width: int | None = None) -> DataFrame:
     """Pairs (l, r) of rows with equal `on` and lo < r.t - l.t <= hi; both sides have t, the columns come as structs.
 
+    lo and hi are numbers, or names of columns of left; then `width` says how wide a bucket is (the widest interval).
     _b is r's bucket. Aggregates by r that keep `on` and _b among their keys need no further shuffle.
     """
-    width = max(1, hi - max(lo, -1), hi // 2)
-    first, last = F.floor((F.col("t") + lo + 1) / width), F.floor((F.col("t") + hi) / width)
+    if width is None:
+        width = max(1, hi - max(lo, -1), hi // 2)
+    lower, upper = (F.col(x) if isinstance(x, str) else F.lit(x) for x in (lo, hi))
+    first, last = F.floor((F.col("t") + lower + 1) / width), F.floor((F.col("t") + upper) / width)
     a = left.select(*on, F.struct("*").alias("l"), F.explode(F.sequence(first.cast("long"), last.cast("long"))).alias("_b"))
     b = right.select(*on, F.struct("*").alias("r"), F.floor(F.col("t") / width).cast("long").alias("_b"))
     dt = F.col("r.t") - F.col("l.t")
-    return a.join(b, [*on, "_b"]).where((dt > lo) & (dt <= hi))
+    lower, upper = (F.col(f"l.{x}") if isinstance(x, str) else F.lit(x) for x in (lo, hi))
+    return a.join(b, [*on, "_b"]).where((dt > lower) & (dt <= upper))
 
 
 def recents(stream: DataFrame, expiry: int, strict: bool = False) -> DataFrame:
@@ -69,34 +68,41 @@ def parallel_intervals(near: DataFrame, episodes: list[Episode], members: bool =
     return met.select("stream", "ep_id", F.array_min(places).alias("s"), pos().alias("e"), *extra)
 
 
-def serial_pairs(stream: DataFrame, gap: Gap) -> DataFrame:
-    """Intervals of all two-type serial episodes with this gap at once."""
-    both = band_join(stream, stream, gap.lo, gap.hi)
-    return both.groupBy("stream", "_b", F.col("l.etype").alias("a"), F.col("r.etype").alias("b"), pos("r").alias("e")).agg(F.max(pos("l")).alias("s")).select("stream", F.concat("a", F.lit(f"-{gap.label}->"), "b").alias("ep_id"), "s", "e")
+def serial_pairs(stream: DataFrame, *gaps: Gap) -> DataFrame:
+    """Intervals of all two-type serial episodes with these (disjoint) gaps at once.
+
+    One join over the hull of the gaps, then the gap that a distance falls in; where the hull is mostly holes, a join each.
+    """
+    lo, hi = min(g.lo for g in gaps), max(g.hi for g in gaps)
+    if hi - lo > 4 * sum(g.hi - g.lo for g in gaps):
+        out = serial_pairs(stream, gaps[0])
+        for g in gaps[1:]:
+            out = out.unionByName(serial_pairs(stream, g))
+        return out
+    both = band_join(stream, stream, lo, hi)
+    dt, label = F.col("r.t") - F.col("l.t"), F.lit(None).cast("string")
+    for g in gaps:
+        label = F.when((dt > g.lo) & (dt <= g.hi), F.lit(g.label)).otherwise(label)
+    rows = both.withColumn("_g", label).where("_g is not null")
+    found = rows.groupBy("stream", "_b", F.col("l.etype").alias("a"), F.col("r.etype").alias("b"), "_g", pos("r").alias("e")).agg(F.max(pos("l")).alias("s"))
+    return found.select("stream", F.concat("a", F.lit("-"), "_g", F.lit("->"), "b").alias("ep_id"), "s", "e")
 
 
 def serial_extend(intervals: DataFrame, stream: DataFrame, episodes: list[Episode], members: bool = False) -> DataFrame:
     """Raw intervals of the episodes from those of their prefixes: one for each end event, with the latest start.
 
     intervals: (stream, ep_id, s, e) of the prefixes, not thinned, since a dominated prefix may be the one that goes on.
-    members: they also carry the members of the occurrence with that start.
+    members: they also carry the members of the occurrence with that start. One join, whatever gaps the episodes end with.
     """
-    spark = stream.sparkSession
-    out = None
-    for gap in sorted({e.gaps[-1] for e in episodes}, key=lambda g: g.lo):
-        own = [e for e in episodes if e.gaps[-1] == gap]
-        rows = [(e.prefix().id, e.id, e.types[-1]) for e in own]
-        step = spark.createDataFrame(rows, "ep_id string, new_id string, etype string")
-        left = intervals.join(F.broadcast(step) if len(rows) <= 200_000 else step, "ep_id").withColumn("t", F.col("e.t"))
-        both = band_join(left, stream, gap.lo, gap.hi, ("stream", "etype"))
-        keys = [F.col("stream"), F.col("etype").alias("_x"), F.col("_b"), F.col("l.new_id").alias("ep_id"), pos("r").alias("e")]
-        if members:
-            best = both.groupBy(*keys).agg(F.max(F.struct(F.col("l.s").alias("s"), F.col("l.e").alias("pe"), F.col("l.members").alias("m"))).alias("b"))
-            part = best.select("stream", "ep_id", F.col("b.s").alias("s"), "e", F.concat("b.m", F.array(F.struct(F.col("_x").alias("etype"), F.col("e.t").alias("t"), F.col("e.eid").alias("eid")))).alias("members"))
-        else:
-            part = both.groupBy(*keys).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
-        out = part if out is None else out.unionByName(part)
-    return out
+    rows = [(e.prefix().id, e.id, e.types[-1], e.gaps[-1].lo, e.gaps[-1].hi) for e in episodes]
+    step = stream.sparkSession.createDataFrame(rows, "ep_id string, new_id string, etype string, lo long, hi long")
+    left = intervals.join(F.broadcast(step) if len(rows) <= 200_000 else step, "ep_id").withColumn("t", F.col("e.t"))
+    both = band_join(left, stream, "lo", "hi", ("stream", "etype"), max(e.gaps[-1].hi - e.gaps[-1].lo for e in episodes))
+    keys = [F.col("stream"), F.col("etype").alias("_x"), F.col("_b"), F.col("l.new_id").alias("ep_id"), pos("r").alias("e")]
+    if not members:
+        return both.groupBy(*keys).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
+    best = both.groupBy(*keys).agg(F.max(F.struct(F.col("l.s").alias("s"), F.col("l.e").alias("pe"), F.col("l.members").alias("m"))).alias("b"))
+    return best.select("stream", "ep_id", F.col("b.s").alias("s"), "e", F.concat("b.m", F.array(F.struct(F.col("_x").alias("etype"), F.col("e.t").alias("t"), F.col("e.eid").alias("eid")))).alias("members"))
 
 
 def singles(stream: DataFrame, members: bool = False) -> DataFrame:

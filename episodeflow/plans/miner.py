@@ -1,13 +1,14 @@
 """The level-wise loop: count, retain, generate, until nothing is left.
 
-Frequent episodes of a level are metadata and come to the driver; intervals stay distributed and are written to the
-checkpoint folder between levels, so that lineage doesn't grow and lost executors cost one level at most.
+Frequent episodes of a level are metadata and come to the driver; intervals stay distributed. Those of frequent episodes
+alone are written to the checkpoint folder between levels, so that lineage doesn't grow and lost executors cost one level
+at most. Long streams are counted chunk by chunk of time.
 """
 
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -19,6 +20,8 @@ from ..operators import occurrences as O
 from ..storage import cut as _cut
 
 FREQUENT = "ep_id string, kind string, k int, types array<string>, gaps array<string>, freq long, rel_freq double, maximal boolean"
+#: Events of a stream, on average, from which it is counted in chunks.
+LONG = 4096
 LEVELS = "k int, n_candidates long, n_frequent long, max_freq long, min_freq long, wall_ms long"
 
 
@@ -59,7 +62,7 @@ class MiningResult:
     levels: list[tuple]
     length: int
     passes: int = 0
-    by_stream: list[DataFrame] = field(default_factory=list)
+    chunk: int | None = None
 
     def largest(self) -> tuple[int, int]:
         """The largest size and how many episodes have it."""
@@ -88,19 +91,28 @@ def maximal_ids(episodes: list[Episode]) -> set[str]:
     return {e.id for e in episodes} - covered
 
 
+def _small(df: DataFrame, rows: int) -> DataFrame:
+    """A table from the driver, broadcast where it has few rows."""
+    return F.broadcast(df) if rows <= 200_000 else df
+
+
 def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
     """All frequent episodes of the plan; frequency is summed over streams."""
     began = time.time()
-    singles = stream.groupBy("etype").count().collect()
+    singles = stream.groupBy("etype").agg(F.count("*").alias("count"), F.min("t").alias("t0"), F.max("t").alias("t1"), F.approx_count_distinct("stream").alias("streams")).collect()
     length = sum(r["count"] for r in singles)
+    chunk = None
+    if singles and length / max(r["streams"] for r in singles) > LONG:
+        span = plan.expiry if plan.expiry is not None else max((g.hi for g in plan.gaps), default=None)
+        chunk = Q.chunk_of(max(r["t1"] for r in singles) - min(r["t0"] for r in singles), length, span)
     least = plan.least(length)
-    result = MiningResult([], [], length, 1)
+    result = MiningResult([], [], length, 1, chunk)
     found = sorted(((Episode(plan.kind, (r["etype"],)), r["count"]) for r in singles if r["count"] >= least), key=lambda x: x[0].types)
     _level(result, 1, len(singles), found, began)
     spark = stream.sparkSession
     kept = {e.types[0] for e, _ in found}
     if kept and len(kept) < len(singles):
-        stream = stream.join(F.broadcast(spark.createDataFrame([(x,) for x in sorted(kept)], "etype string")), "etype", "left_semi").select("stream", "etype", "t", "eid")
+        stream = stream.join(_small(spark.createDataFrame([(x,) for x in sorted(kept)], "etype string"), len(kept)), "etype", "left_semi").select("stream", "etype", "t", "eid")
     near = intervals = None
     k = 2
     while found and (plan.max_k is None or k <= plan.max_k):
@@ -123,13 +135,10 @@ def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
             n_cands = m * (m if plan.allow_self else m - 1) * len(plan.gaps) if k == 2 else len(cands)
             if not n_cands:
                 break
-            if k == 2:
-                raw = O.serial_pairs(stream, plan.gaps[0])
-                for g in plan.gaps[1:]:
-                    raw = raw.unionByName(O.serial_pairs(stream, g))
-            else:
-                raw = O.serial_extend(intervals, stream, cands)
-            raw = intervals = _cut(raw)
+            # Pairs are counted as they come; only those found frequent are written for the next level.
+            raw = O.serial_pairs(stream, *plan.gaps) if k == 2 else O.serial_extend(intervals, stream, cands)
+            if k > 2:
+                raw = intervals = _cut(raw)
         else:
             cands = [Episode("serial", (a.types[0], b.types[0])) for a in frequent for b in frequent if plan.allow_self or a != b] if k == 2 else C.next_serial(frequent, plan.sound_prune())
             n_cands = len(cands)
@@ -137,14 +146,17 @@ def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
                 break
             raw = O.serial_span(stream, cands, plan.expiry)
         by_id = {e.id: e for e in cands}
-        counted = Q.count(raw).where(F.col("freq") >= least).collect()
+        counted = Q.count(raw, chunk).where(F.col("freq") >= least).collect()
         result.passes += 1
         pairs = ((by_id.get(r["ep_id"]) or (_pair(r["ep_id"], plan, kept) if not cands else None), r["freq"]) for r in counted)
         found = sorted(((e, f) for e, f in pairs if e), key=lambda x: x[0].id)
         _level(result, k, n_cands, found, began)
-        if intervals is not None and found:
-            ids = [(e.id,) for e, _ in found]
-            intervals = intervals.join(F.broadcast(spark.createDataFrame(ids, "ep_id string")), "ep_id", "left_semi").select("stream", "ep_id", "s", "e")
+        if plan.kind == "serial" and plan.gaps and found and (plan.max_k is None or k < plan.max_k):
+            if k == 2:
+                intervals = _cut(O.serial_extend(O.singles(stream), stream, [e for e, _ in found]))
+            else:
+                ids = [(e.id,) for e, _ in found]
+                intervals = intervals.join(_small(spark.createDataFrame(ids, "ep_id string"), len(ids)), "ep_id", "left_semi").select("stream", "ep_id", "s", "e")
         k += 1
     return result
 
