@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -14,9 +14,42 @@ def maximal(frequent: DataFrame) -> DataFrame:
     return frequent.join(drops, "types", "left_anti")
 
 
-def recovery(frequent: DataFrame, truth: DataFrame) -> DataFrame:
-    """frequent: (types, freq); truth: (planted array). By size: share inside a planted pattern, and the least frequency there."""
-    inside = frequent.join(F.broadcast(truth), F.size(F.array_except("types", "planted")) == 0, "left_semi").select("types", F.lit(1).alias("_in"))
+def _members(node: Column) -> Column:
+    """The types of a node; a compound's stand in brackets."""
+    return F.when(node.startswith("[") & node.endswith("]"), F.split(F.substring(node, F.lit(2), F.length(node) - 2), " ")).otherwise(F.array(node))
+
+
+def _fits(node: Column, planted: Column, kind: str) -> Column:
+    return node == planted if kind != "chain" else F.size(F.array_except(_members(node), _members(planted))) == 0
+
+
+def embedded(types: Column, planted: Column, kind: str) -> Column:
+    """Whether an episode is part of a planted one. parallel: a subset; serial: in the same order, others may stand between;
+    chain: the same, and a group may lack some of the planted group's types."""
+    if kind == "parallel":
+        return F.size(F.array_except(types, planted)) == 0
+
+    def step(at: Column, x: Column) -> Column:
+        later = F.filter(F.sequence(F.lit(0), F.size(planted) - 1), lambda i: (i >= at) & _fits(x, F.get(planted, i), kind))
+        return F.when((at >= 0) & (F.size(later) > 0), F.get(later, F.lit(0)) + 1).otherwise(F.lit(-1))
+
+    return F.aggregate(types, F.lit(0), step) > 0
+
+
+def recovery(frequent: DataFrame, truth: DataFrame, kind: str = "parallel") -> DataFrame:
+    """frequent: (types, freq); truth: (planted array). By size: share inside a planted pattern, and the least frequency there.
+
+    kind: parallel, serial or chain (nodes named like compound events). An episode meets the patterns that hold its first
+    type only.
+    """
+    if kind not in ("parallel", "serial", "chain"):
+        raise ValueError(f"no such kind of episode: {kind}")
+    member = (lambda node: F.explode(_members(node))) if kind == "chain" else None
+    planted = truth.select("planted", F.explode("planted").alias("_first"))
+    if member:
+        planted = planted.select("planted", member(F.col("_first")).alias("_first"))
+    first = F.get(_members(F.get("types", F.lit(0))), F.lit(0)) if kind == "chain" else F.get("types", F.lit(0))
+    inside = frequent.withColumn("_first", first).join(planted.distinct(), "_first").where(embedded(F.col("types"), F.col("planted"), kind)).select("types", F.lit(1).alias("_in"))
     rows = frequent.join(inside.distinct(), "types", "left")
     return rows.groupBy(F.size("types").alias("k")).agg(F.round(100 * F.count("_in") / F.count("*"), 6).alias("pct_embedded"), F.min(F.when(F.col("_in").isNotNull(), F.col("freq"))).alias("min_count"))
 

@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import Gap
-from . import frequency, occurrences
+from ..model import Gap, parallel
+from ..storage import cut
+from . import candidates, frequency, occurrences
 from .simulator import _uniform
 
 
@@ -35,23 +36,42 @@ def dataset(stream: F.Column) -> F.Column:
     return F.element_at(F.split(stream, "/"), -1)
 
 
-def null_counts(null: DataFrame, kind: str, max_k: int, expiry: int | None = None, gaps: tuple[Gap, ...] = ()) -> DataFrame:
+#: Types near an event beyond which groups are listed level by level instead of from each event's own subsets.
+CROWD = 14
+
+
+def null_counts(null: DataFrame, kind: str, max_k: int, expiry: int | None = None, gaps: tuple[Gap, ...] = (), chunk: int | None = None) -> DataFrame:
     """(dataset, k, ep_id, freq) with threshold zero: all episodes seen at least once, of all data sets at once."""
     single = null.groupBy(dataset(F.col("stream")).alias("dataset"), F.col("etype").alias("ep_id")).agg(F.count("*").alias("freq")).select("dataset", F.lit(1).alias("k"), "ep_id", "freq")
     if kind == "parallel":
-        near = occurrences.recents(null, expiry)
-        raw = _subsets(near, max_k)
+        near = cut(occurrences.recents(null, expiry))
+        crowd = near.agg(F.max(F.size("near"))).first()[0] or 0
+        raw = _subsets(near, max_k) if crowd <= CROWD else _levels(near, max_k)
     else:
         raw, grown = None, occurrences.singles(null)
         for k in range(2, max_k + 1):
-            grown = _grow_all(grown, null, gaps)
+            grown = cut(_grow_all(grown, null, gaps)) if k > 2 else occurrences.serial_pairs(null, *gaps)
             part = grown.withColumn("k", F.lit(k))
             raw = part if raw is None else raw.unionByName(part)
-    counted = frequency.count_by_stream(raw.select("stream", F.concat_ws("|", F.col("k").cast("string"), "ep_id").alias("ep_id"), "s", "e"))
+    counted = frequency.count_by_stream(raw.select("stream", F.concat_ws("|", F.col("k").cast("string"), "ep_id").alias("ep_id"), "s", "e"), chunk)
     parts = F.split("ep_id", r"\|", 2)
     return single.unionByName(counted.select(dataset(F.col("stream")).alias("dataset"), parts[0].cast("int").alias("k"), parts[1].alias("ep_id"), "freq").groupBy("dataset", "k", "ep_id").agg(F.sum("freq").alias("freq")))
 
 
+def _levels(near: DataFrame, max_k: int) -> DataFrame:
+    """Intervals of every group of 2 to max_k types that is seen, each level's groups from those of the one before it."""
+    raw = cut(occurrences.parallel_pairs(near)).withColumn("k", F.lit(2))
+    level = raw
+    for k in range(3, max_k + 1):
+        seen = [parallel(r["ep_id"].split("+")) for r in level.select("ep_id").distinct().collect()]
+        episodes = candidates.next_parallel(seen)
+        if not episodes:
+            break
+        level = cut(occurrences.parallel_intervals(near, episodes)).withColumn("k", F.lit(k))
+        raw = raw.unionByName(level)
+    return raw
+
+
 def _subsets(near: DataFrame, max_k: int) -> DataFrame:
     """Intervals of every group of 2 to max_k types that an event closes."""
     own = F.create_map("etype", F.struct("t", "eid"))
@@ -65,13 +85,15 @@ def _subsets(near: DataFrame, max_k: int) -> DataFrame:
 
 
 def _grow_all(grown: DataFrame, stream: DataFrame, gaps: tuple[Gap, ...]) -> DataFrame:
-    """Every episode one event longer, by every gap."""
-    out = None
-    for gap in gaps:
-        both = occurrences.band_join(grown.withColumn("t", F.col("e.t")), stream, gap.lo, gap.hi)
-        part = both.groupBy("stream", "_b", F.concat("l.ep_id", F.lit(f"-{gap.label}->"), "r.etype").alias("ep_id"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
-        out = part if out is None else out.unionByName(part)
-    return out
+    """Every episode one event longer, by every gap: one join over the gaps' hull."""
+    lo, hi = min(g.lo for g in gaps), max(g.hi for g in gaps)
+    both = occurrences.band_join(grown.select("stream", "ep_id", "s", F.col("e.t").alias("t")), stream, lo, hi)
+    dt, label = F.col("r.t") - F.col("l.t"), F.lit(None).cast("string")
+    for g in gaps:
+        label = F.when((dt > g.lo) & (dt <= g.hi), F.lit(g.label)).otherwise(label)
+    rows = both.withColumn("_g", label).where("_g is not null")
+    ep_id = F.concat("l.ep_id", F.lit("-"), "_g", F.lit("->"), "r.etype")
+    return rows.groupBy("stream", "_b", ep_id.alias("ep_id"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
 
 
 def max_freq_profile(counts: DataFrame, max_k: int, n_sets: int) -> DataFrame:

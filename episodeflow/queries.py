@@ -39,6 +39,12 @@ def _sql_gaps(*pairs: tuple[int, int], u: str = S.U) -> list[tuple[str, str, str
     return [(f"({lo},{hi}]", f"{lo} * {u}", f"{hi} * {u}") for lo, hi in pairs]
 
 
+def _chunk(u: int, span: int | None = None) -> int:
+    """A chunk for the one long stream of the events table, whose unit u stands for its rate."""
+    n = T.UNIT_TIMES_EVENTS // u
+    return frequency.chunk_of(2 * u * n, n, span)
+
+
 # ---- level one and the stream itself
 
 
@@ -93,7 +99,7 @@ def parallel_levels_channels(spark: SparkSession, sf_dir: str) -> DataFrame:
 def parallel_expiry_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     u, s, out = T.unit(spark, sf_dir), T.channels(spark, sf_dir), None
     for m, x in (("0.1", u // 10), ("1", u), ("2", 2 * u), ("7", 7 * u)):
-        c = frequency.count(occurrences.parallel_pairs(occurrences.recents(s, x)))
+        c = frequency.count(occurrences.parallel_pairs(occurrences.recents(s, x)), _chunk(u, x))
         part = c.agg(F.lit(m).alias("expiry"), F.count(F.when(F.col("freq") >= 8, 1)).alias("n_frequent"), F.max("freq").alias("max_freq"), F.sum("freq").alias("total"))
         out = part if out is None else out.unionByName(part)
     return out
@@ -123,7 +129,7 @@ SWEEP = ((0, 1), (0, 2), (2, 4), (4, 6))
 def serial_interval_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     u, s, out = T.unit(spark, sf_dir), T.channels(spark, sf_dir), None
     for g in (Gap(lo * u, hi * u, f"({lo},{hi}]") for lo, hi in SWEEP):
-        c = frequency.count(occurrences.serial_pairs(s, g))
+        c = frequency.count(occurrences.serial_pairs(s, g), _chunk(u, g.hi))
         part = c.agg(F.lit(g.label).alias("gap"), F.count(F.when(F.col("freq") >= 8, 1)).alias("n_frequent"), F.max("freq").alias("max_freq"), F.sum("freq").alias("total"))
         out = part if out is None else out.unionByName(part)
     return out
@@ -211,7 +217,7 @@ _CHOSEN = "SELECT g.e, max(iv.s) AS s FROM g JOIN iv ON g.e = iv.e AND g.ep_id =
 @query(S.counted(S.OVERLAY, _GROUP_SQL, S.near(S.U), f"SELECT row_number() OVER (ORDER BY e) AS occ_no, CAST(s // 1000000000000 AS BIGINT) AS s_t, CAST(e // 1000000000000 AS BIGINT) AS e_t FROM ({_CHOSEN})"))
 def occurrences_tracked(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
-    return compound.track(s, [parallel(GROUP.split("+"))], u).select("occ_no", F.col("s.t").alias("s_t"), F.col("e.t").alias("e_t"))
+    return compound.track(s, [parallel(GROUP.split("+"))], u, _chunk(u, u)).select("occ_no", F.col("s.t").alias("s_t"), F.col("e.t").alias("e_t"))
 
 
 _MEMBERS = f"m AS MATERIALIZED (SELECT c.e, near.a, max(near.s) AS p FROM ({_CHOSEN}) AS c JOIN near ON near.e = c.e WHERE near.a IN ('0', '1', '2') GROUP BY c.e, near.a)"
@@ -220,13 +226,13 @@ _MEMBERS = f"m AS MATERIALIZED (SELECT c.e, near.a, max(near.s) AS p FROM ({_CHO
 @query(S.counted(S.OVERLAY, _GROUP_SQL, S.near(S.U), "SELECT dense_rank() OVER (ORDER BY e) AS occ_no, a AS etype, CAST(p // 1000000000000 AS BIGINT) AS t FROM m", _MEMBERS))
 def occurrence_raster(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
-    return compound.raster(compound.track(s, [parallel(GROUP.split("+"))], u), 0, 1 << 60).select("occ_no", "etype", "t")
+    return compound.raster(compound.track(s, [parallel(GROUP.split("+"))], u, _chunk(u, u)), 0, 1 << 60).select("occ_no", "etype", "t")
 
 
 def _rewrite(anchor: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         s, u = _overlay(spark, sf_dir)
-        new = compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u), anchor)
+        new = compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u, _chunk(u, u)), anchor)
         return new.groupBy("etype").agg(F.count("*").alias("n"), F.sum(F.col("t") - 1_700_000_000_000_000).alias("sum_t"), F.sum("eid").alias("sum_eid"))
 
     return run
@@ -254,7 +260,7 @@ def chain_mine(spark: SparkSession, sf_dir: str) -> DataFrame:
 def chain_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
     n = T.load(spark, sf_dir, "events").count()
-    new = compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u))
+    new = compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u, _chunk(u, u)))
     return mine(new, EpisodePlan("serial", n // 100, gaps=tuple(_gaps(u, *FIVE)), max_k=2)).frequent(spark).where("k = 2").select("ep_id", "freq")
 
 
@@ -279,7 +285,7 @@ def overlay_expiry_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     (s, u), out = _overlay(spark, sf_dir), None
     for m in (1, 2, 4, 6):
         near = miner._cut(occurrences.recents(s, m * u))
-        c = frequency.count(occurrences.parallel_pairs(near).unionByName(occurrences.parallel_intervals(near, [parallel(GROUP.split("+"))])))
+        c = frequency.count(occurrences.parallel_pairs(near).unionByName(occurrences.parallel_intervals(near, [parallel(GROUP.split("+"))])), _chunk(u, m * u))
         part = c.agg(F.lit(m).alias("expiry"), F.count(F.when(F.col("freq") >= 100, 1)).alias("n_frequent"), F.max(F.when(F.col("ep_id") == GROUP, F.col("freq"))).alias("planted"))
         out = part if out is None else out.unionByName(part)
     return out
@@ -289,7 +295,7 @@ def overlay_expiry_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 def overlay_interval_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     (s, u), out = _overlay(spark, sf_dir), None
     for g in _gaps(u, (0, 2), (2, 4), (4, 6), (6, 8)):
-        c = frequency.count(occurrences.serial_pairs(s, g))
+        c = frequency.count(occurrences.serial_pairs(s, g), _chunk(u, g.hi))
         part = c.agg(F.lit(g.label).alias("gap"), F.count(F.when(F.col("freq") >= 100, 1)).alias("n_frequent"), F.max("freq").alias("max_freq"))
         out = part if out is None else out.unionByName(part)
     return out
@@ -313,7 +319,7 @@ _NULL_SQL = (_JITTER, f"{S.PAIRS} UNION ALL {S.TRIPLES}", S.near(S.U))
 def _null_tops(spark: SparkSession, sf_dir: str) -> DataFrame:
     u = T.unit(spark, sf_dir)
     null = significance.jitter(T.channels(spark, sf_dir), 20 * u, SETS)
-    return significance.null_counts(null, "parallel", 3, expiry=u)
+    return significance.null_counts(null, "parallel", 3, expiry=u, chunk=_chunk(u, u))
 
 
 @query(S.counted(*_NULL_SQL, f"SELECT CAST(x.k AS INTEGER) AS k, round(coalesce(sum(top), 0) / {SETS}, 6) AS avg_max, coalesce(max(top), 0) AS max_max, CASE WHEN count(top) = {SETS} THEN min(top) ELSE 0 END AS min_max FROM range(1, 4) AS x(k) LEFT JOIN t USING (k) GROUP BY x.k", _TOPS))
@@ -339,7 +345,7 @@ def null_threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
 def serial_null_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     u = T.unit(spark, sf_dir)
     null = significance.jitter(T.channels(spark, sf_dir), 20 * u, SETS)
-    counts = significance.null_counts(null, "serial", 2, gaps=tuple(_gaps(u, (4, 6))))
+    counts = significance.null_counts(null, "serial", 2, gaps=tuple(_gaps(u, (4, 6))), chunk=_chunk(u, 6 * u))
     return significance.max_freq_profile(counts, 2, SETS).where("k = 2")
 
 
@@ -347,7 +353,7 @@ def serial_null_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
 def discovery_null_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     u = T.unit(spark, sf_dir)
     null = significance.jitter(T.channels(spark, sf_dir), 20 * u, SETS)
-    counts = significance.null_counts(null, "serial", 2, gaps=tuple(_gaps(u, (2, 4), (4, 6), (6, 8))))
+    counts = significance.null_counts(null, "serial", 2, gaps=tuple(_gaps(u, (2, 4), (4, 6), (6, 8))), chunk=_chunk(u, 8 * u))
     return significance.max_freq_profile(counts, 2, SETS).where("k = 2")
 
 
@@ -369,7 +375,7 @@ def planted_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
 def noise_vs_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
     near = miner._cut(occurrences.recents(s, u))
-    c = frequency.count(occurrences.parallel_intervals(near, [parallel(x.split("+")) for x in ("0+1", "0+2", "1+2", GROUP)]))
+    c = frequency.count(occurrences.parallel_intervals(near, [parallel(x.split("+")) for x in ("0+1", "0+2", "1+2", GROUP)]), _chunk(u, u))
     low = c.groupBy(F.size(F.split("ep_id", r"\+")).alias("k")).agg(F.min("freq").alias("planted"))
     top = _null_tops(spark, sf_dir).where("k > 1").groupBy("k").agg(F.max("freq").alias("noise"))
     return low.join(top, "k", "full_outer").select("k", "noise", "planted")
@@ -380,7 +386,7 @@ def calibrated_null(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Surrogates with the data's own windowed rates: profile of their highest frequencies."""
     u = T.unit(spark, sf_dir)
     null = miner._cut(significance.calibrated_null(T.channels(spark, sf_dir), 500 * u, SETS, 3))
-    return significance.max_freq_profile(significance.null_counts(null, "parallel", 3, expiry=u), 3, SETS)
+    return significance.max_freq_profile(significance.null_counts(null, "parallel", 3, expiry=u, chunk=_chunk(u, u)), 3, SETS)
 
 
 @query("SELECT 2995.732274 AS lam_max, 5.002513 AS displacement, 7.199738 AS strong_weight, 1.5 AS compensated".replace("2995.732274", "CAST(round(-ln(0.05) / 0.001, 6) AS DOUBLE)").replace("5.002513", "CAST(round(ln(-ln(0.05) / 0.001 / 20 - 1), 6) AS DOUBLE)").replace("7.199738", "CAST(round(ln(-ln(0.05) / 0.001 / 20 - 1) + ln(9), 6) AS DOUBLE)").replace("1.5 AS", "CAST(1.5 AS DOUBLE) AS"))
@@ -389,10 +395,11 @@ def rate_parameters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _planted_run(spark: SparkSession, net, plan: EpisodePlan, seconds: float) -> DataFrame:
+    """Sizes, shares inside a planted pattern and least counts, of the pattern's own kind."""
     s = miner._cut(simulator.simulate(spark, net, seconds, 1, 5))
     found = mine(s, plan).frequent(spark)
     truth = spark.createDataFrame([([str(i) for layer in layers for i in layer],) for layers in net.truth], "planted array<string>")
-    return measures.recovery(found.select("types", "freq"), truth)
+    return measures.recovery(found.select("types", "freq"), truth, plan.kind)
 
 
 def _blocks(patterns: int, size: int) -> list[list[int]]:
@@ -559,7 +566,7 @@ LISTED = (("23", "0", (4, 6)), ("3", "4", (6, 8)), ("0", "3", (2, 4)), ("7", "9"
 @query(S.counted(S.OVERLAY, " UNION ALL ".join(f"SELECT * FROM ({S.serial2(_sql_gaps(g))}) WHERE ep_id = '{a}-({g[0]},{g[1]}]->{b}'" for a, b, g in LISTED)))
 def listed_patterns(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
-    return strategy.count(s, [serial((a, b), (_gaps(u, g)[0],)) for a, b, g in LISTED])
+    return strategy.count(s, [serial((a, b), (_gaps(u, g)[0],)) for a, b, g in LISTED], strategy="auto")
 
 
 def _naive(latest: bool):
@@ -782,7 +789,7 @@ def subepisode_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(S.counted(S.OVERLAY, _GROUP_SQL, S.near(S.U), "SELECT etype, count(*) AS n FROM (SELECT etype FROM s UNION ALL SELECT '[0 1 2]' FROM c) GROUP BY etype", f"{_MEMBERS}, {_COMPOUND.format(_ANCHORS['midpoint'])}"))
 def chain_rewrite_augment(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
-    return compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u), mode="augment").groupBy("etype").agg(F.count("*").alias("n"))
+    return compound.rewrite(s, compound.track(s, [parallel(GROUP.split("+"))], u, _chunk(u, u)), mode="augment").groupBy("etype").agg(F.count("*").alias("n"))
 
 
 @query(S.counted(S.USER, S.PAIRS, S.near(f"{6 * HOUR} - 1")))
@@ -835,7 +842,7 @@ def time_slice(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(S.counted(S.CHANNEL, S.serial2(_sql_gaps((4, 6))), select="SELECT ep_id, freq FROM freq ORDER BY freq DESC, ep_id LIMIT 10"))
 def top_episodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     u = T.unit(spark, sf_dir)
-    return frequency.count(occurrences.serial_pairs(T.channels(spark, sf_dir), _gaps(u, (4, 6))[0])).orderBy(F.desc("freq"), "ep_id").limit(10)
+    return frequency.count(occurrences.serial_pairs(T.channels(spark, sf_dir), _gaps(u, (4, 6))[0]), _chunk(u, 6 * u)).orderBy(F.desc("freq"), "ep_id").limit(10)
 
 
 @query("SELECT event_type AS etype, CAST(w AS TIMESTAMP) AS start, count(*) AS n FROM (SELECT event_type, unnest([date_trunc('hour', ts), date_trunc('hour', ts) - INTERVAL 1 HOUR]) AS w FROM events) GROUP BY ALL")
@@ -884,7 +891,7 @@ def alphabet_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
 def chunked_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One long stream whose islands are found chunk by chunk of time."""
     u = T.unit(spark, sf_dir)
-    return frequency.count(occurrences.serial_pairs(T.channels(spark, sf_dir), _gaps(u, (4, 6))[0]), chunk=500 * u)
+    return frequency.count(occurrences.serial_pairs(T.channels(spark, sf_dir), _gaps(u, (4, 6))[0]), _chunk(u, 6 * u))
 
 
 @query(S.counted(S.USER, f"SELECT f.stream, 'x' AS ep_id, least(max(n.p) FILTER (n.etype = 'click'), max(n.p) FILTER (n.etype = 'view')) AS s, f.p AS e FROM s AS f JOIN s AS n ON n.stream = f.stream AND n.t < f.t AND f.t - n.t <= {24 * HOUR} WHERE f.etype = 'purchase' GROUP BY f.stream, f.p HAVING count(*) FILTER (n.etype = 'click') > 0 AND count(*) FILTER (n.etype = 'view') > 0", select="SELECT freq FROM freq"))

@@ -219,10 +219,51 @@ def test_planted_order_is_recovered(spark):
     longest = [e for e, _ in found.rows if len(e.types) == 5]
     assert [e.types for e in longest] == [("0", "1", "2", "3", "4")]
     truth = spark.createDataFrame([([str(i) for i in range(5)],)], "planted array<string>")
-    got = {r["k"]: r["pct_embedded"] for r in measures.recovery(found.frequent(spark).select("types", "freq"), truth).collect()}
+    got = {r["k"]: r["pct_embedded"] for r in measures.recovery(found.frequent(spark).select("types", "freq"), truth, "serial").collect()}
     assert got[1] == pytest.approx(100 * 5 / 16) and all(got[k] == 100 for k in range(2, 6))
 
 
+def test_recovery_knows_order_and_compounds(spark):
+    rows = [(["A", "B"], 9), (["B", "A"], 5), (["A", "C"], 4), (["A", "A"], 7), (["X", "Y"], 3)]
+    found = spark.createDataFrame(rows, "types array<string>, freq long")
+    truth = spark.createDataFrame([(["A", "B", "C"],), (["Y", "X"],)], "planted array<string>")
+    assert [tuple(r) for r in measures.recovery(found, truth, "serial").collect()] == [(2, 40.0, 4)]
+    pairs = found.where("types[0] <> types[1]")
+    assert [tuple(r) for r in measures.recovery(pairs, truth).collect()] == [(2, 100.0, 3)]
+    chains = spark.createDataFrame([(["A", "[B C]"], 6), (["A", "[C D]", "E"], 5), (["[B C]", "A"], 8), (["A", "[B X]"], 2), (["E"], 7)], "types array<string>, freq long")
+    truth = spark.createDataFrame([(["A", "[B C D]", "E"],)], "planted array<string>")
+    got = {r["k"]: (r["pct_embedded"], r["min_count"]) for r in measures.recovery(chains, truth, "chain").collect()}
+    assert got == {1: (100.0, 7), 2: (33.333333, 6), 3: (100.0, 5)}
+
+
+def test_chunked_choice_equals_the_whole(spark):
+    rng = random.Random(5)
+    sequences = []
+    for _ in range(12):
+        t, times = 0, []
+        for _ in range(150):
+            t += rng.choice([0, 0, 1, 1, 2, 9])
+            times.append(t)
+        sequences.append(([rng.choice("ABC") for _ in times], times))
+    s = frame(spark, *sequences)
+    for eps, expiry in (([parallel("AB"), parallel("ABC")], 6), ([serial("ABA", (Gap(0, 4), Gap(0, 9)))], None)):
+        whole = sorted(map(str, compound.track(s, eps, expiry).collect()))
+        for chunk in (1, 7, 64):
+            assert sorted(map(str, compound.track(s, eps, expiry, chunk).collect())) == whole
+    plain = serial("AB")
+    want = freqs(strategy.count(s, [plain]))
+    assert freqs(strategy.count(s, [plain], chunk=5)) == want == freqs(strategy.count(s, [plain], strategy="kernel"))
+    assert freqs(strategy.count(s, [parallel("AB")], 6, "auto")) == freqs(strategy.count(s, [parallel("AB")], 6))
+
+
+def test_null_levels_equal_subsets(spark, monkeypatch):
+    null = simulator.null_stream(spark, "fixed", 8, 4, 2, 1)
+    rows = lambda: sorted(map(tuple, significance.null_counts(null, "parallel", 4, expiry=20_000).collect()))
+    own = rows()
+    monkeypatch.setattr(significance, "CROWD", 0)
+    assert rows() == own and max(r[1] for r in own) == 4
+
+
 def test_null_streams_are_flat(spark):
     for model in ("fixed", "shared", "drift", "tied"):
         null = simulator.null_stream(spark, model, 8, 4, 2, 1)
