@@ -48,11 +48,11 @@ def rewrite(stream: DataFrame, occs: DataFrame, anchor: str = "midpoint", mode:
     return stream.unionByName(new)
 
 
-def mine_chain(stream: DataFrame, groups: miner.EpisodePlan, chain: miner.EpisodePlan, anchor: str = "midpoint", mode: str = "replace") -> tuple[miner.MiningResult, DataFrame, miner.MiningResult]:
+def mine_chain(stream: DataFrame, groups: miner.EpisodePlan, chain: miner.EpisodePlan, anchor: str = "midpoint", mode: str = "replace", strategy: str = "auto") -> tuple[miner.MiningResult, DataFrame, miner.MiningResult]:
     """Groups, the stream with maximal groups rewritten, and serial episodes over it."""
-    found = miner.mine(stream, groups)
+    found = miner.mine(stream, groups, strategy)
     top = found.maximal()
     episodes = [e for e, _ in found.rows if e.id in top and len(e.types) > 1]
     if episodes:
         stream = miner._cut(rewrite(stream, track(stream, episodes, groups.expiry, found.chunk), anchor, mode))
-    return found, stream, miner.mine(stream, replace(chain, kind="serial"))
+    return found, stream, miner.mine(stream, replace(chain, kind="serial"), strategy)

@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model import Gap, parallel
 from ..storage import cut
 from . import candidates, frequency, occurrences
-from .simulator import _uniform
 
 
 def estimate_rates(stream: DataFrame, window: int) -> DataFrame:
@@ -16,18 +15,26 @@ def estimate_rates(stream: DataFrame, window: int) -> DataFrame:
     return stream.groupBy("stream", "etype", F.floor(F.col("t") / window).alias("w")).agg(F.count("*").alias("n"))
 
 
+def _congruence(*terms: tuple) -> Column:
+    """A number below 2^31 for each row, the same in any engine: terms (column, factor) through two linear congruences."""
+    total = F.lit(12345).cast("long")
+    for column, factor in terms:
+        total = total + F.pmod(column.cast("long"), F.lit(1 << 31)) * factor
+    return F.pmod(F.pmod(total, F.lit(1 << 31)) * 69069 + 1, F.lit(1 << 31))
+
+
 def calibrated_null(stream: DataFrame, window: int, n_sets: int, seed: int) -> DataFrame:
-    """Data sets with the data's count of each type in each window, at times drawn anew within it."""
-    rates = estimate_rates(stream, window).select("etype", "w", "n", "stream")
-    rows = rates.select("*", F.explode(F.sequence(F.lit(0), F.lit(n_sets - 1))).alias("d")).select("*", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("i"))
-    t = (F.col("w") * window + F.floor(_uniform(F.lit(seed), "stream", "etype", "w", "d", "i") * window)).cast("long")
-    return rows.select(F.concat_ws("/", "stream", F.col("d").cast("string")).alias("stream"), "etype", t.alias("t"), F.pmod(F.xxhash64("stream", "etype", "w", "i"), F.lit(1 << 62)).alias("eid"))
+    """Data sets with the data's count of each type in each window: every event at a time drawn anew within its window."""
+    rows = stream.select("*", F.explode(F.sequence(F.lit(0), F.lit(n_sets - 1))).alias("d"))
+    high, low = (_congruence((F.col("eid"), f), (F.col("d"), 2654435761), (F.lit(seed), 40503)) for f in (1103515245, 22695477))
+    t = F.floor(F.col("t") / window) * window + F.pmod(high * (1 << 31) + low, F.lit(window))
+    return rows.select(F.concat_ws("/", "stream", F.col("d").cast("string")).alias("stream"), "etype", t.cast("long").alias("t"), "eid")
 
 
 def jitter(stream: DataFrame, width: int, n_sets: int, seed: int = 1) -> DataFrame:
     """Each event moved within (-width, width) by a linear congruence of its eid; one stream for each data set."""
     rows = stream.select("*", F.explode(F.sequence(F.lit(0), F.lit(n_sets - 1))).alias("d"))
-    u = F.pmod((F.col("eid") * 1103515245 + 12345 + F.col("d") * 2654435761 + F.lit(seed) * 40503) % 2147483648 * 69069 + 1, F.lit(2147483648))
+    u = _congruence((F.col("eid"), 1103515245), (F.col("d"), 2654435761), (F.lit(seed), 40503))
     moved = F.col("t") + F.pmod(u, F.lit(2 * width - 1)) - (width - 1)
     return rows.select(F.concat_ws("/", "stream", F.col("d").cast("string")).alias("stream"), "etype", moved.cast("long").alias("t"), "eid")
 

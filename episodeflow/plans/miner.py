@@ -18,6 +18,7 @@ from ..operators import candidates as C
 from ..operators import frequency as Q
 from ..operators import occurrences as O
 from ..storage import cut as _cut
+from . import recording
 
 FREQUENT = "ep_id string, kind string, k int, types array<string>, gaps array<string>, freq long, rel_freq double, maximal boolean"
 #: Events of a stream, on average, from which it is counted in chunks.
@@ -96,8 +97,28 @@ def _small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= 200_000 else df
 
 
-def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
-    """All frequent episodes of the plan; frequency is summed over streams."""
+def _recorded(stream: DataFrame, plan: EpisodePlan, result: MiningResult, least: int) -> MiningResult:
+    """The result from one job over a recording that a task can hold."""
+    reach = plan.expiry if not plan.strict_expiry or plan.expiry is None else plan.expiry - 1
+    rows = recording.levels(stream, plan.kind, reach, plan.gaps, least, plan.max_k, plan.sound_prune(), plan.allow_self).collect()
+    for k in sorted({r["k"] for r in rows}):
+        own = [r for r in rows if r["k"] == k]
+        found = [(Episode(plan.kind, tuple(r["types"]), tuple(plan.gaps[g] for g in r["gaps"])), r["freq"]) for r in own if r["types"]]
+        freqs = [f for _, f in found]
+        result.rows += found
+        result.levels.append((k, own[0]["n_candidates"], len(found), max(freqs, default=0), min(freqs, default=0), own[0]["wall_ms"]))
+    result.passes = len(result.levels)
+    return result
+
+
+def mine(stream: DataFrame, plan: EpisodePlan, strategy: str = "auto") -> MiningResult:
+    """All frequent episodes of the plan; frequency is summed over streams.
+
+    strategy: windowed (a job a level, any size), recording (one job, one task: groups, and orders with gaps), or auto,
+    which takes the second for recordings of up to recording.MOST events. The counts are the same.
+    """
+    if strategy not in ("auto", "windowed", "recording"):
+        raise ValueError(f"no such strategy: {strategy}")
     began = time.time()
     singles = stream.groupBy("etype").agg(F.count("*").alias("count"), F.min("t").alias("t0"), F.max("t").alias("t1"), F.approx_count_distinct("stream").alias("streams")).collect()
     length = sum(r["count"] for r in singles)
@@ -107,6 +128,11 @@ def mine(stream: DataFrame, plan: EpisodePlan) -> MiningResult:
         chunk = Q.chunk_of(max(r["t1"] for r in singles) - min(r["t0"] for r in singles), length, span)
     least = plan.least(length)
     result = MiningResult([], [], length, 1, chunk)
+    bounded = plan.gaps or (plan.kind == "parallel" and plan.expiry >= plan.strict_expiry)
+    if strategy == "recording" and not bounded:
+        raise ValueError("orders without gaps aren't counted in one task")
+    if strategy == "recording" or (strategy == "auto" and bounded and length <= recording.MOST):
+        return _recorded(stream, plan, result, least)
     found = sorted(((Episode(plan.kind, (r["etype"],)), r["count"]) for r in singles if r["count"] >= least), key=lambda x: x[0].types)
     _level(result, 1, len(singles), found, began)
     spark = stream.sparkSession

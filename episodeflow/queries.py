@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import partial
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -11,11 +13,13 @@ from .functions import rates, udfs
 from .model import Episode, Gap, parallel, serial
 from .operators import automata, baselines, candidates, compound, frequency, measures, occurrences, significance, simulator
 from .plans import miner, strategy
-from .plans.miner import EpisodePlan, mine
+from .plans.miner import EpisodePlan
 from .sources import streams as T
 from .storage import new_path
 from .streaming import online
 
+#: Queries go through the distributed plans, however small the tables are.
+mine = partial(miner.mine, strategy="windowed")
 QUERIES: dict = {}
 SQL: dict = {}
 HOUR = S.HOUR
@@ -68,6 +72,11 @@ def rate_estimate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return significance.estimate_rates(T.user_events(spark, sf_dir), 24 * HOUR)
 
 
+SIX = [("(0,6h]", "0", str(6 * HOUR))]
+THREE = [("(0,6h]", "0", str(6 * HOUR)), ("(6h,12h]", str(6 * HOUR), str(12 * HOUR)), ("(12h,24h]", str(12 * HOUR), str(24 * HOUR))]
+THREE_GAPS = tuple(Gap(int(lo), int(hi), n) for n, lo, hi in THREE)
+
+
 # ---- parallel episodes
 
 
@@ -95,6 +104,18 @@ def parallel_levels_channels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mine(T.channels(spark, sf_dir), EpisodePlan("parallel", 8, expiry=u)).frequent(spark).select("ep_id", "k", "freq")
 
 
+@query(SQL["parallel_levels_channels"])
+def recording_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same levels by the way that `auto` takes for recordings one task can hold; beyond that size it takes the other."""
+    u = T.unit(spark, sf_dir)
+    return miner.mine(T.channels(spark, sf_dir), EpisodePlan("parallel", 8, expiry=u)).frequent(spark).select("ep_id", "k", "freq")
+
+
+@query(S.counted(S.USER, S.serial2(THREE), select="SELECT ep_id, freq FROM freq WHERE freq >= 300"))
+def recording_serial_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return miner.mine(T.user_events(spark, sf_dir), EpisodePlan("serial", 300, gaps=THREE_GAPS)).frequent(spark).where("k = 2").select("ep_id", "freq")
+
+
 @query(" UNION ALL ".join(f"SELECT '{m}' AS expiry, count(*) FILTER (freq >= 8) AS n_frequent, max(freq) AS max_freq, CAST(sum(freq) AS BIGINT) AS total FROM ({S.counted(S.CHANNEL, S.PAIRS, S.near(x))})" for m, x in (("0.1", f"{S.U} // 10"), ("1", S.U), ("2", f"2 * {S.U}"), ("7", f"7 * {S.U}"))))
 def parallel_expiry_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     u, s, out = T.unit(spark, sf_dir), T.channels(spark, sf_dir), None
@@ -112,11 +133,6 @@ def parallel_same_tick_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame
 
 # ---- serial episodes
 
-SIX = [("(0,6h]", "0", str(6 * HOUR))]
-THREE = [("(0,6h]", "0", str(6 * HOUR)), ("(6h,12h]", str(6 * HOUR), str(12 * HOUR)), ("(12h,24h]", str(12 * HOUR), str(24 * HOUR))]
-THREE_GAPS = tuple(Gap(int(lo), int(hi), n) for n, lo, hi in THREE)
-
-
 @query(S.counted(S.USER, S.serial2(SIX)))
 def serial_pairs_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return frequency.count(occurrences.serial_pairs(T.user_events(spark, sf_dir), Gap(0, 6 * HOUR, "(0,6h]")))
@@ -252,7 +268,7 @@ def chain_mine(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Groups at one unit, rewritten, and chains over five candidate intervals."""
     s, u = _overlay(spark, sf_dir)
     n = T.load(spark, sf_dir, "events").count()
-    _, _, chains = compound.mine_chain(s, EpisodePlan("parallel", n // 100, expiry=u), EpisodePlan("serial", n // 100, gaps=tuple(_gaps(u, *FIVE))))
+    _, _, chains = compound.mine_chain(s, EpisodePlan("parallel", n // 100, expiry=u), EpisodePlan("serial", n // 100, gaps=tuple(_gaps(u, *FIVE))), strategy="windowed")
     return chains.frequent(spark).select("ep_id", "k", "freq", "maximal")
 
 
@@ -311,7 +327,7 @@ def connectivity_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ---- nulls, profiles and significance
 
 SETS = 5
-_JITTER = f"SELECT 'all/' || d AS stream, CAST(user_id % 26 AS VARCHAR) AS etype, epoch_us(ts) + ((event_id * 1103515245 + 12345 + d * 2654435761 + 40503) % 2147483648 * 69069 + 1) % 2147483648 % (40 * {S.U} - 1) - (20 * {S.U} - 1) AS t, event_id AS eid FROM events, range({SETS}) AS r(d)"
+_JITTER = f"SELECT 'all/' || d AS stream, CAST(user_id % 26 AS VARCHAR) AS etype, epoch_us(ts) + ((event_id % 2147483648 * 1103515245 + 12345 + d * 2654435761 + 40503) % 2147483648 * 69069 + 1) % 2147483648 % (40 * {S.U} - 1) - (20 * {S.U} - 1) AS t, event_id AS eid FROM events, range({SETS}) AS r(d)"
 _TOPS = "tops AS (SELECT split_part(stream, '/', 2) AS d, len(string_split(ep_id, '+')) AS k, ep_id, count(*) AS f FROM g GROUP BY ALL UNION ALL SELECT split_part(stream, '/', 2), 1, etype, count(*) FROM s GROUP BY ALL), t AS (SELECT d, k, max(f) AS top FROM tops GROUP BY ALL)"
 _NULL_SQL = (_JITTER, f"{S.PAIRS} UNION ALL {S.TRIPLES}", S.near(S.U))
 

@@ -158,12 +158,12 @@ def test_mining_equals_exhaustive_counting(spark):
     rng = random.Random(2)
     types, times = [rng.choice("ABCDE") for _ in range(400)], [3 * i + rng.choice([0, 1, 2]) for i in range(400)]
     s = frame(spark, (types, times))
-    found = mine(s, EpisodePlan("parallel", 10, expiry=12))
+    found = mine(s, EpisodePlan("parallel", 10, expiry=12), "windowed")
     for k in (2, 3):
         want = {i: f for i, f in freqs(baselines.enumerate_all(s, "parallel", k, expiry=12)).items() if f >= 10}
         assert {e.id: f for e, f in found.rows if len(e.types) == k} == want
     gaps = (Gap(0, 6), Gap(6, 12))
-    deep = mine(s, EpisodePlan("serial", 8, gaps=gaps, max_k=3))
+    deep = mine(s, EpisodePlan("serial", 8, gaps=gaps, max_k=3), "windowed")
     eps = [serial(t, g) for k in (2, 3) for t in product("ABCDE", repeat=k) for g in product(gaps, repeat=k - 1)]
     want = {i: f for i, f in freqs(automata.count(s, eps)).items() if f >= 8}
     assert {e.id: f for e, f in deep.rows if len(e.types) > 1} == want
@@ -174,6 +174,33 @@ def test_mining_equals_exhaustive_counting(spark):
     assert maximal_ids([parallel("AB"), parallel("A"), parallel("B"), parallel("C")]) == {"A+B", "C"}
 
 
+def test_both_strategies_find_the_same(spark):
+    rng = random.Random(8)
+    sequences = []
+    for _ in range(5):
+        t, times = rng.randrange(50), []
+        for _ in range(250):
+            t += rng.choice([0, 0, 1, 2, 4])
+            times.append(t)
+        sequences.append(([rng.choice("ABCDE") for _ in times], times))
+    s = frame(spark, *sequences)
+    plans = [
+        EpisodePlan("parallel", 12, expiry=5),
+        EpisodePlan("parallel", 12, expiry=0),
+        EpisodePlan("parallel", 0.02, expiry=4, strict_expiry=True, max_k=3),
+        EpisodePlan("serial", 25, gaps=(Gap(0, 3), Gap(3, 6)), max_k=3),
+        EpisodePlan("serial", 20, gaps=(Gap(2, 5),), allow_self=False),
+        EpisodePlan("serial", 20, gaps=(Gap(0, 2), Gap(40, 44)), max_k=3, prune="all"),
+    ]
+    for plan in plans:
+        a, b = mine(s, plan, "windowed"), mine(s, plan, "recording")
+        assert sorted((e.id, f) for e, f in a.rows) == sorted((e.id, f) for e, f in b.rows) and len(a.rows) > 5, plan
+        assert [x[:5] for x in a.levels] == [x[:5] for x in b.levels], plan
+        assert a.largest() == b.largest() and a.maximal() == b.maximal()
+    with pytest.raises(ValueError):
+        mine(s, EpisodePlan("serial", 5), "recording")
+
+
 def test_thresholds():
     assert EpisodePlan("parallel", 0.01, expiry=1).least(25_000) == 250
     assert EpisodePlan("parallel", 300, expiry=1, strict_threshold=True).least(9) == 301
