@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import Episode
-from ..plans import miner
+from ..plans import miner, recording
 from . import frequency, occurrences
 
 
@@ -54,5 +54,9 @@ def mine_chain(stream: DataFrame, groups: miner.EpisodePlan, chain: miner.Episod
     top = found.maximal()
     episodes = [e for e, _ in found.rows if e.id in top and len(e.types) > 1]
     if episodes:
-        stream = miner._cut(rewrite(stream, track(stream, episodes, groups.expiry, found.chunk), anchor, mode))
+        if found.recorded and not groups.strict_expiry:
+            stream = miner._cut(recording.rewritten(stream, episodes, groups.expiry, anchor, mode))
+        else:
+            reach = groups.expiry - groups.strict_expiry
+            stream = miner._cut(rewrite(stream, track(stream, episodes, reach, found.chunk), anchor, mode))
     return found, stream, miner.mine(stream, replace(chain, kind="serial"), strategy)

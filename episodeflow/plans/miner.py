@@ -64,6 +64,7 @@ class MiningResult:
     length: int
     passes: int = 0
     chunk: int | None = None
+    recorded: bool = False
 
     def largest(self) -> tuple[int, int]:
         """The largest size and how many episodes have it."""
@@ -107,7 +108,7 @@ def _recorded(stream: DataFrame, plan: EpisodePlan, result: MiningResult, least:
         freqs = [f for _, f in found]
         result.rows += found
         result.levels.append((k, own[0]["n_candidates"], len(found), max(freqs, default=0), min(freqs, default=0), own[0]["wall_ms"]))
-    result.passes = len(result.levels)
+    result.passes, result.recorded = len(result.levels), True
     return result
 
 

@@ -8,7 +8,7 @@ import pytest
 from episodeflow.functions import rates
 from episodeflow.model import STREAM, Episode, Gap, gap_set, parallel, serial
 from episodeflow.operators import automata, baselines, candidates, compound, frequency, measures, occurrences, significance, simulator
-from episodeflow.plans import strategy
+from episodeflow.plans import recording, strategy
 from episodeflow.plans.miner import EpisodePlan, maximal_ids, mine
 
 
@@ -229,8 +229,16 @@ def test_rewriting(spark):
     rows = sorted((r["t"], r["etype"], r["eid"]) for r in compound.rewrite(s, occs).collect())
     assert rows == [(1, "[A B]", 0), (9, "C", 2), (20, "[A B]", 3), (29, "C", 5)]
     assert compound.rewrite(s, occs, mode="augment").count() == 8
-    groups, _, chains = compound.mine_chain(s, EpisodePlan("parallel", 2, expiry=3), EpisodePlan("serial", 2, gaps=(Gap(7, 10),)))
-    assert "[A B]-(7,10]->C" in {e.id for e, _ in chains.rows}
+    for strategy in ("windowed", "recording"):
+        groups, _, chains = compound.mine_chain(s, EpisodePlan("parallel", 2, expiry=3), EpisodePlan("serial", 2, gaps=(Gap(7, 10),)), strategy=strategy)
+        assert "[A B]-(7,10]->C" in {e.id for e, _ in chains.rows}
+    rng = random.Random(3)
+    many = frame(spark, *[([rng.choice("ABCD") for _ in range(80)], sorted(rng.randrange(200) for _ in range(80))) for _ in range(3)])
+    eps = [parallel("AB"), parallel("BCD")]
+    for anchor in ("midpoint", "mean"):
+        for mode in ("replace", "augment"):
+            want = compound.rewrite(many, compound.track(many, eps, 3), anchor, mode)
+            assert sorted(map(tuple, recording.rewritten(many, eps, 3, anchor, mode).collect())) == sorted(map(tuple, want.collect()))
 
 
 def test_refractory(spark):
