@@ -35,9 +35,10 @@ def compound_name(ep_id) -> F.Column:
 def rewrite(stream: DataFrame, occs: DataFrame, anchor: str = "midpoint", mode: str = "replace") -> DataFrame:
     """Each occurrence becomes one event at the middle of its span (or the mean of its members); its eid is their least.
 
-    mode: replace takes the members out (claimed by any occurrence), augment leaves them in.
+    mode: replace takes the members out (claimed by any occurrence), augment leaves them in, types takes all events of the
+    members' types out, whether they are claimed or not, so that a group's types are found in its compound alone.
     """
-    if anchor not in ("midpoint", "mean") or mode not in ("replace", "augment"):
+    if anchor not in ("midpoint", "mean") or mode not in ("replace", "augment", "types"):
         raise ValueError(f"no such anchor or mode: {anchor}, {mode}")
     middle = F.floor((F.col("s.t") + F.col("e.t")) / 2)
     mean = F.floor(F.aggregate("members", F.lit(0).cast("bigint"), lambda a, m: a + m["t"]) / F.size("members"))
@@ -45,6 +46,9 @@ def rewrite(stream: DataFrame, occs: DataFrame, anchor: str = "midpoint", mode:
     if mode == "replace":
         claimed = occs.select("stream", F.explode("members.eid").alias("eid")).distinct()
         stream = stream.join(claimed, ["stream", "eid"], "left_anti").select("stream", "etype", "t", "eid")
+    elif mode == "types":
+        members = occs.select(F.explode("members.etype").alias("etype")).distinct()
+        stream = stream.join(members, "etype", "left_anti").select("stream", "etype", "t", "eid")
     return stream.unionByName(new)
 
 

@@ -236,7 +236,7 @@ def test_rewriting(spark):
     many = frame(spark, *[([rng.choice("ABCD") for _ in range(80)], sorted(rng.randrange(200) for _ in range(80))) for _ in range(3)])
     eps = [parallel("AB"), parallel("BCD")]
     for anchor in ("midpoint", "mean"):
-        for mode in ("replace", "augment"):
+        for mode in ("replace", "augment", "types"):
             want = compound.rewrite(many, compound.track(many, eps, 3), anchor, mode)
             assert sorted(map(tuple, recording.rewritten(many, eps, 3, anchor, mode).collect())) == sorted(map(tuple, want.collect()))
 
