@@ -47,22 +47,34 @@ def dataset(stream: F.Column) -> F.Column:
 CROWD = 14
 
 
-def null_counts(null: DataFrame, kind: str, max_k: int, expiry: int | None = None, gaps: tuple[Gap, ...] = (), chunk: int | None = None) -> DataFrame:
-    """(dataset, k, ep_id, freq) with threshold zero: all episodes seen at least once, of all data sets at once."""
-    single = null.groupBy(dataset(F.col("stream")).alias("dataset"), F.col("etype").alias("ep_id")).agg(F.count("*").alias("freq")).select("dataset", F.lit(1).alias("k"), "ep_id", "freq")
+def null_counts(null: DataFrame, kind: str, max_k: int, expiry: int | None = None, gaps: tuple[Gap, ...] = (), chunk: int | None = None, least: int = 1) -> DataFrame:
+    """(dataset, k, ep_id, freq) of all episodes seen at least `least` times in a data set, of all data sets at once.
+
+    Orders with least above 1 grow from what was found so often in their data set only, which any longer one needs.
+    """
+    single = null.groupBy("stream", F.col("etype").alias("ep_id")).agg(F.count("*").alias("freq")).withColumn("k", F.lit(1))
     if kind == "parallel":
         near = cut(occurrences.recents(null, expiry))
         crowd = near.agg(F.max(F.size("near"))).first()[0] or 0
         raw = _subsets(near, max_k) if crowd <= CROWD else _levels(near, max_k)
+        named = raw.select("stream", F.concat_ws("|", F.col("k").cast("string"), "ep_id").alias("ep_id"), "s", "e")
+        parts = F.split("ep_id", r"\|", 2)
+        counted = frequency.count_by_stream(named, chunk).select("stream", parts[1].alias("ep_id"), "freq", parts[0].cast("int").alias("k"))
     else:
-        raw, grown = None, occurrences.singles(null)
+        counted, grown = None, None
         for k in range(2, max_k + 1):
-            grown = cut(_grow_all(grown, null, gaps)) if k > 2 else occurrences.serial_pairs(null, *gaps)
-            part = grown.withColumn("k", F.lit(k))
-            raw = part if raw is None else raw.unionByName(part)
-    counted = frequency.count_by_stream(raw.select("stream", F.concat_ws("|", F.col("k").cast("string"), "ep_id").alias("ep_id"), "s", "e"), chunk)
-    parts = F.split("ep_id", r"\|", 2)
-    return single.unionByName(counted.select(dataset(F.col("stream")).alias("dataset"), parts[0].cast("int").alias("k"), parts[1].alias("ep_id"), "freq").groupBy("dataset", "k", "ep_id").agg(F.sum("freq").alias("freq")))
+            grown = occurrences.serial_pairs(null, *gaps) if k == 2 else _grow_all(grown, null, gaps)
+            if k < max_k or k > 2:
+                grown = cut(grown)
+            found = frequency.count_by_stream(grown, chunk)
+            if least > 1 and k < max_k:
+                found = cut(found.where(F.col("freq") >= least))
+                grown = grown.join(found.select("stream", "ep_id"), ["stream", "ep_id"], "left_semi")
+            found = found.withColumn("k", F.lit(k))
+            counted = found if counted is None else counted.unionByName(found)
+    every = single if counted is None else single.unionByName(counted)
+    sums = every.groupBy(dataset(F.col("stream")).alias("dataset"), "k", "ep_id").agg(F.sum("freq").alias("freq"))
+    return sums.where(F.col("freq") >= least)
 
 
 def _levels(near: DataFrame, max_k: int) -> DataFrame:
