@@ -29,6 +29,28 @@ def lagged_correlation(stream: DataFrame, bin_: int, lag: int, x: str, y: str) -
     return rows.agg(F.round(F.corr("nx", "ny"), 6).alias("r"), F.count("*").alias("bins"))
 
 
+def lagged_correlations(stream: DataFrame, bin_: int, lags: list[int], types: list[str]) -> DataFrame:
+    """(x, y, lag, r): the same of every two of `types` (named by the user) at every lag, from sums over bins that hold events.
+
+    Bins without events add to no sum; the number of bins is known from the stream's ends.
+    """
+    spark = stream.sparkSession
+    ends = stream.select(F.floor(F.col("t") / bin_).alias("b")).agg(F.min("b").alias("b0"), F.max("b").alias("b1"))
+    counts = stream.where(F.col("etype").isin(types)).groupBy(F.floor(F.col("t") / bin_).alias("b"), "etype").agg(F.count("*").alias("n"))
+    shift = F.broadcast(spark.createDataFrame([(k,) for k in lags], "lag long"))
+    later = counts.crossJoin(shift).select(F.col("etype").alias("y"), (F.col("b") - F.col("lag")).alias("b"), "lag", F.col("n").alias("ny"))
+    both = counts.select("b", F.col("etype").alias("x"), F.col("n").alias("nx")).join(later, "b").groupBy("x", "y", "lag").agg(F.sum(F.col("nx") * F.col("ny")).alias("xy"))
+    # Of x the bins up to the last one but lag, of y those from the first one plus lag.
+    sums = counts.crossJoin(shift).crossJoin(F.broadcast(ends))
+    one, two = F.col("b") <= F.col("b1") - F.col("lag"), F.col("b") >= F.col("b0") + F.col("lag")
+    total = lambda cond, name: [F.sum(F.when(cond, F.col("n"))).alias(name), F.sum(F.when(cond, F.col("n") * F.col("n"))).alias(f"{name}2")]
+    per = sums.groupBy("etype", "lag", "b0", "b1").agg(*total(one, "sx"), *total(two, "sy"))
+    x = per.select("lag", (F.col("b1") - F.col("b0") + 1 - F.col("lag")).alias("m"), F.col("etype").alias("x"), "sx", "sx2")
+    rows = x.join(per.select("lag", F.col("etype").alias("y"), "sy", "sy2"), "lag").join(both, ["x", "y", "lag"], "left").na.fill(0)
+    r = (F.col("m") * F.col("xy") - F.col("sx") * F.col("sy")) / F.sqrt((F.col("m") * F.col("sx2") - F.col("sx") ** 2) * (F.col("m") * F.col("sy2") - F.col("sy") ** 2))
+    return rows.select("x", "y", "lag", F.round(r, 6).alias("r"))
+
+
 def enumerate_all(stream: DataFrame, kind: str, k: int, expiry: int | None = None, gap: Gap | None = None, most: int = 20_000) -> DataFrame:
     """Frequencies of all combinations of k types, without candidate control; refuses more than `most` of them."""
     types = sorted(r["etype"] for r in stream.select("etype").distinct().collect())

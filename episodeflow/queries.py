@@ -280,6 +280,38 @@ def chain_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mine(new, EpisodePlan("serial", n // 100, gaps=tuple(_gaps(u, *FIVE)), max_k=2)).frequent(spark).where("k = 2").select("ep_id", "freq")
 
 
+@query(S.counted(S.OVERLAY, _GROUP_SQL, S.near(S.U), "SELECT ep_id, freq FROM f3 WHERE freq >= (SELECT count(*) FROM events) // 100", f"{_MEMBERS}, {_COMPOUND.format(_ANCHORS['midpoint'])}, {_REWRITTEN}, f3 AS ({S.counted('SELECT * FROM w', S.grow('p2', _sql_gaps(*FIVE)), f'p2 AS MATERIALIZED ({S.serial2(_sql_gaps(*FIVE))})')})"))
+def chain_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Chains of three nodes over five candidate intervals, the group rewritten: the whole way from the stream."""
+    return chain_mine(spark, sf_dir).where("k = 3").select("ep_id", "freq")
+
+
+_LINE = "['23', '0', '1', '2', '3', '4', '5']"
+
+
+@query(S.counted(S.OVERLAY, S.serial2(_sql_gaps((0, 2), (2, 4))), select=f"SELECT 2 AS k, round(100.0 * count(*) FILTER (i) / count(*), 6) AS pct_embedded, min(freq) FILTER (i) AS min_count FROM (SELECT freq, list_position({_LINE}, split_part(ep_id, '-', 1)) < list_position({_LINE}, split_part(ep_id, '->', 2)) AND true AS i FROM freq WHERE freq >= (SELECT count(*) FROM events) // 200)".replace("AND true", "IS TRUE")))
+def overlay_recovery_order(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ordered pairs against the planted order: a pair the other way round isn't part of it."""
+    s, u = _overlay(spark, sf_dir)
+    n = T.load(spark, sf_dir, "events").count()
+    found = mine(s, EpisodePlan("serial", n // 200, gaps=tuple(_gaps(u, (0, 2), (2, 4))), max_k=2)).frequent(spark).where("k = 2")
+    truth = spark.createDataFrame([([str(c) for _, c, _ in T.PLANTED],)], "planted array<string>")
+    every = measures.recovery(found.select(F.concat("types", "gaps").alias("id"), "types", "freq").select("types", "freq"), truth, "serial")
+    return every.select("k", "pct_embedded", "min_count")
+
+
+@query(S.counted(S.OVERLAY, S.grow("p2", _sql_gaps((2, 4), (4, 6))), f"p2 AS MATERIALIZED ({S.serial2(_sql_gaps((2, 4), (4, 6)))})", "SELECT count(*) AS sound, count(*) FILTER (EXISTS (SELECT 1 FROM h WHERE h.a = x AND h.b = y) AND EXISTS (SELECT 1 FROM h WHERE h.a = y AND h.b = z) AND EXISTS (SELECT 1 FROM h WHERE h.a = x AND h.b = z)) AS unsound FROM (SELECT split_part(ep_id, '-', 1) AS x, split_part(split_part(ep_id, '->', 2), '-', 1) AS y, split_part(ep_id, '->', 3) AS z FROM freq WHERE freq >= (SELECT count(*) FROM events) // 100)", f"h AS (SELECT split_part(ep_id, '-', 1) AS a, split_part(ep_id, '->', 2) AS b FROM ({S.counted(S.OVERLAY, S.serial2(_sql_gaps((2, 4), (4, 6))))}) WHERE freq >= (SELECT count(*) FROM events) // 100)"))
+def pruning_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Frequent orders of three with the pruning that is sound for gaps, and with that by all subsets, which loses some."""
+    s, u = _overlay(spark, sf_dir)
+    n = T.load(spark, sf_dir, "events").count()
+    counts = []
+    for prune in ("ends", "all"):
+        found = mine(s, EpisodePlan("serial", n // 100, gaps=tuple(_gaps(u, (2, 4), (4, 6))), max_k=3, prune=prune))
+        counts.append(sum(len(e.types) == 3 for e, _ in found.rows))
+    return spark.createDataFrame([tuple(counts)], "sound long, unsound long")
+
+
 @query(S.counted(S.OVERLAY, f"{S.PAIRS} UNION ALL {S.TRIPLES}", S.near(S.U), "SELECT len(t) AS k, round(100.0 * count(*) FILTER (list_has_all(['23', '0', '1', '2', '3', '4', '5'], t)) / count(*), 6) AS pct_embedded, min(freq) FILTER (list_has_all(['23', '0', '1', '2', '3', '4', '5'], t)) AS min_count FROM h GROUP BY 1", "h AS (SELECT freq, string_split(ep_id, '+') AS t FROM freq WHERE freq >= (SELECT count(*) FROM events) // 100 UNION ALL SELECT count(*), [etype] FROM s GROUP BY etype HAVING count(*) >= (SELECT count(*) FROM events) // 100)"))
 def overlay_recovery(spark: SparkSession, sf_dir: str) -> DataFrame:
     s, u = _overlay(spark, sf_dir)
@@ -397,11 +429,17 @@ def noise_vs_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
     return low.join(top, "k", "full_outer").select("k", "noise", "planted")
 
 
-@query()
+_WINDOW = f"(500 * {S.U})"
+_DRAWN = " + ".join(f"((event_id % 2147483648 * {f} + 12345 + d * 2654435761 + 3 * 40503) % 2147483648 * 69069 + 1) % 2147483648{m}" for f, m in ((1103515245, " * 2147483648"), (22695477, "")))
+_CALIBRATED = f"SELECT 'all/' || d AS stream, CAST(user_id % 26 AS VARCHAR) AS etype, epoch_us(ts) // {_WINDOW} * {_WINDOW} + ({_DRAWN}) % {_WINDOW} AS t, event_id AS eid FROM events, range({SETS}) AS r(d)"
+_PROFILE = f"SELECT CAST(x.k AS INTEGER) AS k, round(coalesce(sum(top), 0) / {SETS}, 6) AS avg_max, coalesce(max(top), 0) AS max_max, CASE WHEN count(top) = {SETS} THEN min(top) ELSE 0 END AS min_max FROM range(1, {{}}) AS x(k) LEFT JOIN t USING (k) GROUP BY x.k"
+
+
+@query(S.counted(_CALIBRATED, f"{S.PAIRS} UNION ALL {S.TRIPLES}", S.near(S.U), _PROFILE.format(4), _TOPS))
 def calibrated_null(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Surrogates with the data's own windowed rates: profile of their highest frequencies."""
     u = T.unit(spark, sf_dir)
-    null = miner._cut(significance.calibrated_null(T.channels(spark, sf_dir), 500 * u, SETS, 3))
+    null = significance.calibrated_null(T.channels(spark, sf_dir), 500 * u, SETS, 3)
     return significance.max_freq_profile(significance.null_counts(null, "parallel", 3, expiry=u, chunk=_chunk(u, u)), 3, SETS)
 
 
@@ -413,7 +451,7 @@ def rate_parameters(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _planted_run(spark: SparkSession, net, plan: EpisodePlan, seconds: float) -> DataFrame:
     """Sizes, shares inside a planted pattern and least counts, of the pattern's own kind."""
     s = miner._cut(simulator.simulate(spark, net, seconds, 1, 5))
-    found = mine(s, plan).frequent(spark)
+    found = miner.mine(s, plan).frequent(spark)
     truth = spark.createDataFrame([([str(i) for layer in layers for i in layer],) for layers in net.truth], "planted array<string>")
     return measures.recovery(found.select("types", "freq"), truth, plan.kind)
 
@@ -424,11 +462,12 @@ def _blocks(patterns: int, size: int) -> list[list[int]]:
 
 @query()
 def simulate_synchrony(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """64 channels, two groups of 8 fired by a unit of their own: how much of what is found was planted."""
+    """64 channels, 50 s, two groups of 8 that a unit of their own fires: how much of what is found was planted."""
     net = simulator.Network(64, simulator.random_network(64, 2, 0.5, 1))
-    for b in _blocks(2, 8):
-        simulator.plant(net, [b[:1], b[1:]], [1])
-    return _planted_run(spark, net, EpisodePlan("parallel", 150, expiry=2000, max_k=4), 20)
+    for k, b in enumerate(_blocks(2, 8)):
+        simulator.plant(net, [[16 + k], b])
+    net.truth = [layers[1:] for layers in net.truth]
+    return _planted_run(spark, net, EpisodePlan("parallel", 300, expiry=1000), 50)
 
 
 @query()
@@ -436,7 +475,7 @@ def simulate_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     net = simulator.Network(64, simulator.random_network(64, 2, 0.5, 2))
     for b in _blocks(2, 8):
         simulator.plant(net, [[i] for i in b])
-    return _planted_run(spark, net, EpisodePlan("serial", 100, gaps=(Gap(4000, 6000),), max_k=8), 20)
+    return _planted_run(spark, net, EpisodePlan("serial", 300, gaps=(Gap(4000, 6000),)), 50)
 
 
 @query()
@@ -445,8 +484,8 @@ def simulate_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     net = simulator.Network(64, simulator.random_network(64, 2, 0.5, 3))
     layers = [x for k in range(4) for x in ([k], list(range(8 + 4 * k, 12 + 4 * k)))]
     simulator.plant(net, layers)
-    s = miner._cut(simulator.simulate(spark, net, 20, 1, 6))
-    _, _, chains = compound.mine_chain(s, EpisodePlan("parallel", 150, expiry=1000), EpisodePlan("serial", 100, gaps=(Gap(4000, 6000),), max_k=8))
+    s = miner._cut(simulator.simulate(spark, net, 50, 1, 6))
+    _, _, chains = compound.mine_chain(s, EpisodePlan("parallel", 300, expiry=1000), EpisodePlan("serial", 100, gaps=(Gap(4000, 6000),), max_k=8), mode="types")
     return chains.frequent(spark).where("k > 1").select("ep_id", "k", "freq", "maximal")
 
 
@@ -539,7 +578,13 @@ def similarity_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.peel_similarity(tops, 3)
 
 
-@query()
+_BURSTS = f"""SELECT * FROM ({_SLICES}) UNION ALL SELECT 'burst ' || stream, etype, t, eid FROM (
+  SELECT r.*, d.g FROM (SELECT *, sum(o) OVER (PARTITION BY stream ORDER BY t, eid) AS g FROM (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY stream ORDER BY t, eid) < {2 * HOUR} THEN 0 ELSE 1 END AS o FROM ({_SLICES}))) AS r
+  JOIN (SELECT stream, arg_max(g, (n, -t0)) AS g FROM (SELECT stream, g, count(*) AS n, min(t) AS t0 FROM (SELECT *, sum(o) OVER (PARTITION BY stream ORDER BY t, eid) AS g FROM (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY stream ORDER BY t, eid) < {2 * HOUR} THEN 0 ELSE 1 END AS o FROM ({_SLICES}))) GROUP BY ALL HAVING count(*) >= 5) GROUP BY stream) AS d ON d.stream = r.stream AND d.g = r.g)"""
+_BURST_PEEL = _PEEL.replace("SELECT a.slice AS a, b.slice AS b FROM (SELECT DISTINCT slice FROM e3) AS a, (SELECT DISTINCT slice FROM e3) AS b", "SELECT slice AS a, 'burst ' || slice AS b FROM (SELECT DISTINCT slice FROM e3) WHERE slice NOT LIKE 'burst %'")
+
+
+@query(S.counted(_BURSTS, S.grow("p2", DAYGAP), f"p2 AS MATERIALIZED ({S.serial2(DAYGAP)})", "SELECT a, b, CAST(sum(v) AS BIGINT) AS sim FROM tot GROUP BY a, b", f"{_TOP_SQL}, {_BURST_PEEL}"))
 def similarity_burst(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each slice against the densest burst within it."""
     s = _slices(spark, sf_dir)
@@ -576,6 +621,16 @@ def lagged_correlation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.lagged_correlation(s, 10 * u, 0, "23", "0")
 
 
+_LAGS = 4
+
+
+@query(f"WITH s AS (SELECT t // (10 * {S.U}) AS b, etype FROM ({S.OVERLAY})), e AS (SELECT min(b) AS b0, max(b) AS b1 FROM s), c AS (SELECT b, etype, count(*) AS n FROM s GROUP BY ALL), g AS (SELECT unnest(range(b0, b1 + 1)) AS b FROM e), ty AS (SELECT DISTINCT etype FROM s WHERE etype IN ('23', '0', '3', '4', '9')), d AS (SELECT g.b, ty.etype, coalesce(n, 0) AS n FROM g CROSS JOIN ty LEFT JOIN c USING (b, etype)) SELECT x.etype AS x, y.etype AS y, l.lag, round(corr(x.n, y.n), 6) AS r FROM range({_LAGS}) AS l(lag), d AS x JOIN d AS y ON y.b = x.b + l.lag GROUP BY ALL")
+def lagged_correlations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Correlation of the binned counts of every two of five channels, at every lag of up to three bins."""
+    s, u = _overlay(spark, sf_dir)
+    return baselines.lagged_correlations(s, 10 * u, list(range(_LAGS)), ["23", "0", "3", "4", "9"])
+
+
 LISTED = (("23", "0", (4, 6)), ("3", "4", (6, 8)), ("0", "3", (2, 4)), ("7", "9", (4, 6)))
 
 
@@ -639,15 +694,22 @@ def expected_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # ---- other tables as streams
 
-_TOPWORDS = "(SELECT etype FROM (SELECT etype, count(*) AS c FROM d GROUP BY etype ORDER BY c DESC, etype LIMIT 20))"
+@query(f"WITH d AS MATERIALIZED ({S.DOCS}) SELECT * FROM ({S.counted('SELECT * FROM d', S.serial2([('(0,10]', '0', '10')]), select='SELECT ep_id, freq FROM freq WHERE freq >= (SELECT count(*) FROM d) / 250.0')})")
+def documents_motifs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ordered pairs of words within ten positions that are found once in 250 words or more; any word may take part."""
+    return mine(T.words(spark, sf_dir), EpisodePlan("serial", 0.004, gaps=(Gap(0, 10),), max_k=2)).frequent(spark).where("k = 2").select("ep_id", "freq")
 
 
-@query(f"WITH d AS MATERIALIZED ({S.DOCS}) SELECT * FROM ({S.counted(f'SELECT * FROM d WHERE etype IN {_TOPWORDS}', S.serial2([('(0,10]', '0', '10')]))})")
-def documents_motifs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Ordered pairs of the 20 most frequent words within ten positions, over all documents."""
-    s = T.words(spark, sf_dir)
-    top = s.groupBy("etype").count().orderBy(F.desc("count"), "etype").limit(20)
-    return frequency.count(occurrences.serial_pairs(T.keep_types(s, F.broadcast(top)), Gap(0, 10)))
+@query()
+def documents_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders of up to four words with gaps of up to ten positions, by a frequency threshold over all words."""
+    return mine(T.words(spark, sf_dir), EpisodePlan("serial", 0.002, gaps=(Gap(0, 10),), max_k=4)).frequent(spark).where("k > 1").select("ep_id", "k", "freq")
+
+
+@query()
+def documents_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Groups of up to ten words within ten positions, by a frequency threshold over all words."""
+    return mine(T.words(spark, sf_dir), EpisodePlan("parallel", 0.0005, expiry=9, max_k=10)).frequent(spark).where("k > 1").select("ep_id", "k", "freq")
 
 
 @query(S.counted("SELECT CAST(conv_id AS VARCHAR) AS stream, role AS etype, CAST(turn AS BIGINT) AS t, CAST(turn AS BIGINT) AS eid FROM conversations WHERE role IS NOT NULL AND turn IS NOT NULL", S.serial2([("(0,1]", "0", "1")])))
@@ -754,6 +816,32 @@ def dispersion(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.groupBy("etype").agg(F.count("*").alias("users"), F.round(F.var_samp("c") / F.avg("c"), 6).alias("fano"))
 
 
+_AT = "(SELECT count(*) FROM s) / 100.0"
+
+
+@query(S.counted(S.OVERLAY, f"{S.PAIRS} UNION ALL {S.TRIPLES}", S.near(S.U), "SELECT CAST(k AS INTEGER) AS k, n_candidates, n_frequent, max_freq, min_freq FROM l", f"o AS (SELECT etype, count(*) AS f FROM s GROUP BY 1), p AS (SELECT split_part(ep_id, '+', 1) AS x, split_part(ep_id, '+', 2) AS y, freq FROM freq WHERE ep_id NOT LIKE '%+%+%' AND freq >= {_AT}), c AS (SELECT a.x, a.y, b.y AS z FROM p AS a JOIN p AS b ON a.x = b.x AND a.y < b.y JOIN p AS d ON d.x = a.y AND d.y = b.y), q AS (SELECT freq FROM freq JOIN c ON ep_id = x || '+' || y || '+' || z WHERE freq >= {_AT}), l AS (SELECT 1 AS k, (SELECT count(*) FROM o) AS n_candidates, count(*) AS n_frequent, max(f) AS max_freq, min(f) AS min_freq FROM o WHERE f >= {_AT} UNION ALL SELECT 2, (SELECT count(*) * (count(*) - 1) // 2 FROM o WHERE f >= {_AT}), count(*), max(freq), min(freq) FROM p UNION ALL SELECT 3, (SELECT count(*) FROM c), count(*), max(freq), min(freq) FROM q)"))
+def level_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Candidates, frequent episodes and their counts of each of the first three levels: a pass over the data for each."""
+    s, u = _overlay(spark, sf_dir)
+    return mine(s, EpisodePlan("parallel", 0.01, expiry=u, max_k=3)).level_stats(spark).drop("wall_ms")
+
+
+@query(S.counted(S.OVERLAY, f"{S.PAIRS} UNION ALL {S.TRIPLES}", S.near(S.U), "SELECT CAST(max(k) AS INTEGER) AS largest, count(*) FILTER (k = (SELECT max(k) FROM h)) AS of_that_size, max(k) AS passes FROM h", f"h AS (SELECT len(string_split(ep_id, '+')) AS k FROM freq WHERE freq >= {_AT})"))
+def largest_found(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The largest size, how many episodes have it, and the passes over the data."""
+    s, u = _overlay(spark, sf_dir)
+    found = mine(s, EpisodePlan("parallel", 0.01, expiry=u))
+    return spark.createDataFrame([(*found.largest(), found.passes)], "largest int, of_that_size long, passes long")
+
+
+@query()
+def peak_entries(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the one-pass kernel remembers at most of each episode: entries within the gaps, however long the stream is."""
+    s, g = T.user_events(spark, sf_dir), Gap(0, 6 * HOUR, "(0,6h]")
+    eps = [serial(("click", "view"), (g,)), serial(("click", "view", "purchase"), (g, g)), serial(("error", "error"), (g,))]
+    return automata.count_by_stream(s, eps).groupBy("ep_id").agg(F.max("peak_entries").alias("peak_entries"), F.sum("freq").alias("freq"))
+
+
 @query()
 def level_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Candidates, frequent episodes and seconds of each level, beside the number of combinations."""
@@ -914,3 +1002,52 @@ def chunked_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
 def general_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A click and a view in any order, then a purchase, within a day."""
     return automata.count_order(T.user_events(spark, sf_dir), ["click", "view", "purchase"], [(0, 2), (1, 2)], 24 * HOUR)
+
+
+# ---- join, window and sampling forms
+
+
+@query(S.counted(S.USER, S.serial2(THREE), select="SELECT a.ep_id || substr(b.ep_id, length(b.x) + 1) AS ep_id FROM p AS a JOIN p AS b ON a.y = b.x", more="p AS (SELECT ep_id, split_part(ep_id, '-', 1) AS x, split_part(ep_id, '->', 2) AS y FROM freq WHERE freq >= 300)"))
+def candidates_by_merge_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Overlap join of many candidates: both sides sorted, nothing broadcast."""
+    found = mine(T.user_events(spark, sf_dir), EpisodePlan("serial", 300, gaps=THREE_GAPS, max_k=2)).frequent(spark).where("k = 2")
+    a = found.select(F.col("ep_id").alias("id"), F.get("types", F.lit(1)).alias("key"))
+    b = found.select(F.get("types", F.lit(0)).alias("key"), F.expr("substr(ep_id, length(types[0]) + 1)").alias("rest"))
+    return a.join(b.hint("merge"), "key").select(F.concat("id", "rest").alias("ep_id"))
+
+
+@query("SELECT n_name, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY 1")
+def streams_by_hash_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events to the dimensions of their streams: a hash table a partition, without sorting the large side."""
+    c = T.load(spark, sf_dir, "customer").select("c_custkey", "c_nationkey")
+    rows = T.load(spark, sf_dir, "orders").select("o_custkey").join(c.hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey"))
+    return rows.join(F.broadcast(T.load(spark, sf_dir, "nation")), F.col("c_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(F.count("*").alias("n"))
+
+
+@query("WITH e AS (SELECT event_type AS etype, count(*) AS freq FROM events GROUP BY 1) SELECT a.etype AS a, b.etype AS b FROM e AS a JOIN e AS b ON a.freq > b.freq")
+def more_frequent_types(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A join by inequality, over the alphabet alone."""
+    c = T.user_events(spark, sf_dir).groupBy("etype").agg(F.count("*").alias("freq"))
+    return c.alias("a").join(c.alias("b"), F.col("a.freq") > F.col("b.freq")).select(F.col("a.etype").alias("a"), F.col("b.etype").alias("b"))
+
+
+@query("SELECT event_id AS eid, last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER w AS last_click, first_value(event_type) OVER w AS first_type, nth_value(event_type, 2) OVER w AS second_type FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)")
+def latest_by_type(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What a stream has seen up to each event: its latest click, its first and its second type."""
+    w = W.partitionBy("stream").orderBy("t", "eid").rowsBetween(W.unboundedPreceding, 0)
+    click = F.when(F.col("etype") == "click", F.col("eid"))
+    return T.user_events(spark, sf_dir).select("eid", F.last(click, ignorenulls=True).over(w).alias("last_click"), F.first("etype").over(w).alias("first_type"), F.nth_value("etype", 2).over(w).alias("second_type"))
+
+
+@query("WITH RECURSIVE r(k, combinations) AS (SELECT 1, 5 UNION ALL SELECT k + 1, combinations * 5 FROM r WHERE k < 6) SELECT k, combinations FROM r")
+def combinations_by_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How many orders of each size five types allow, by a recursive query."""
+    return spark.sql("WITH RECURSIVE r(k, combinations) AS (SELECT 1, 5 UNION ALL SELECT k + 1, combinations * 5 FROM r WHERE k < 6) SELECT k, combinations FROM r")
+
+
+@query()
+def sampled_rates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """An estimate of each type's frequency from a tenth of the streams, flagged as such: a probe for thresholds."""
+    s = T.user_events(spark, sf_dir)
+    some = s.join(s.select("stream").distinct().sample(0.1, 7), "stream", "left_semi")
+    return some.groupBy("etype").agg((F.count("*") * 10).alias("approx_freq"))

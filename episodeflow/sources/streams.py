@@ -65,8 +65,8 @@ def overlay(spark: SparkSession, sf_dir: str, u: int, seed: int = 0) -> DataFram
 
 
 def words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents as streams of lower-cased words; position is the tick."""
-    docs = load(spark, sf_dir, "documents").select("doc_id", F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^a-z]+").alias("w"))
+    """Documents as streams of lower-cased words, runs of letters of any script; position is the tick."""
+    docs = load(spark, sf_dir, "documents").select("doc_id", F.split(F.lower(F.coalesce("text", F.lit(""))), r"[^\p{L}]+").alias("w"))
     rows = docs.select("doc_id", F.posexplode("w").alias("t", "etype")).where("etype <> ''")
     return as_stream(rows, EventStreamSpec("doc_id", "etype", "t", "t", "ticks"))
 

@@ -18,7 +18,7 @@ def overlay(seed: int = 0) -> str:
 
 OVERLAY = overlay()
 DOCS = """SELECT CAST(doc_id AS VARCHAR) AS stream, w AS etype, CAST(i - 1 AS BIGINT) AS t, CAST(i - 1 AS BIGINT) AS eid FROM
-  (SELECT doc_id, unnest(x) AS w, generate_subscripts(x, 1) AS i FROM (SELECT doc_id, regexp_split_to_array(lower(coalesce(text, '')), '[^a-z]+') AS x FROM documents)) WHERE w <> ''"""
+  (SELECT doc_id, unnest(x) AS w, generate_subscripts(x, 1) AS i FROM (SELECT doc_id, regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{L}]+') AS x FROM documents)) WHERE w <> ''"""
 
 
 def stream(source: str) -> str:
