@@ -111,8 +111,9 @@ def _grow_all(grown: DataFrame, stream: DataFrame, gaps: tuple[Gap, ...]) -> Dat
     for g in gaps:
         label = F.when((dt > g.lo) & (dt <= g.hi), F.lit(g.label)).otherwise(label)
     rows = both.withColumn("_g", label).where("_g is not null")
-    ep_id = F.concat("l.ep_id", F.lit("-"), "_g", F.lit("->"), "r.etype")
-    return rows.groupBy("stream", "_b", ep_id.alias("ep_id"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
+    keys = [F.col("l.ep_id").alias("_p"), "_g", F.col("r.etype").alias("_x"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")]
+    found = rows.groupBy("stream", "_b", *keys).agg(F.max("l.s").alias("s"))
+    return found.select("stream", F.concat("_p", F.lit("-"), "_g", F.lit("->"), "_x").alias("ep_id"), "s", "e")
 
 
 def max_freq_profile(counts: DataFrame, max_k: int, n_sets: int) -> DataFrame:

@@ -2,7 +2,7 @@
 
 Frequent episodes of a level are metadata and come to the driver; intervals stay distributed. Those of frequent episodes
 alone are written to the checkpoint folder between levels, so that lineage doesn't grow and lost executors cost one level
-at most. Long streams are counted chunk by chunk of time.
+at most. Streams are counted chunk by chunk of time.
 """
 
 from __future__ import annotations
@@ -21,8 +21,6 @@ from ..storage import cut as _cut
 from . import recording
 
 FREQUENT = "ep_id string, kind string, k int, types array<string>, gaps array<string>, freq long, rel_freq double, maximal boolean"
-#: Events of a stream, on average, from which it is counted in chunks.
-LONG = 4096
 LEVELS = "k int, n_candidates long, n_frequent long, max_freq long, min_freq long, wall_ms long"
 
 
@@ -121,10 +119,10 @@ def mine(stream: DataFrame, plan: EpisodePlan, strategy: str = "auto") -> Mining
     if strategy not in ("auto", "windowed", "recording"):
         raise ValueError(f"no such strategy: {strategy}")
     began = time.time()
-    singles = stream.groupBy("etype").agg(F.count("*").alias("count"), F.min("t").alias("t0"), F.max("t").alias("t1"), F.approx_count_distinct("stream").alias("streams")).collect()
+    singles = stream.groupBy("etype").agg(F.count("*").alias("count"), F.min("t").alias("t0"), F.max("t").alias("t1")).collect()
     length = sum(r["count"] for r in singles)
-    chunk = None
-    if singles and length / max(r["streams"] for r in singles) > LONG:
+    chunk = None  # one for all streams: a stream that holds most events is spread, short ones have one chunk each
+    if singles:
         span = plan.expiry if plan.expiry is not None else max((g.hi for g in plan.gaps), default=None)
         chunk = Q.chunk_of(max(r["t1"] for r in singles) - min(r["t0"] for r in singles), length, span)
     least = plan.least(length)

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from ..model import Episode
 from ..operators import automata, frequency, occurrences
-from .miner import LONG
 
 
 def choose(n_streams: int, n_candidates: int, size: int, expiry: int | None, few_streams: int = 64, small: int = 512) -> str:
@@ -25,7 +24,7 @@ def count(stream: DataFrame, episodes: list[Episode], expiry: int | None = None,
     if strategy == "auto":
         seen = stream.agg(F.count("*").alias("n"), F.approx_count_distinct("stream").alias("streams"), F.min("t").alias("t0"), F.max("t").alias("t1")).first()
         strategy = choose(seen["streams"], len(episodes), max((len(e.types) for e in episodes), default=0), expiry)
-        if seen["n"] and seen["n"] / max(1, seen["streams"]) > LONG:
+        if seen["n"]:
             spans = [sum(g.hi for g in e.gaps) for e in episodes if e.gaps]
             chunk = frequency.chunk_of(seen["t1"] - seen["t0"], seen["n"], expiry if expiry is not None else max(spans, default=None))
     if strategy == "kernel":

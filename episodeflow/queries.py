@@ -551,8 +551,9 @@ def _slices(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _slice_tops(s: DataFrame) -> DataFrame:
     """Top episodes of three nodes of each slice, with their types."""
     gap = Gap(0, 24 * HOUR, "(0,24h]")
-    grown = significance._grow_all(occurrences.serial_pairs(s, gap), s, (gap,))
-    counts = frequency.count_by_stream(grown).withColumnRenamed("stream", "slice")
+    s = miner._cut(s)
+    grown = miner._cut(significance._grow_all(miner._cut(occurrences.serial_pairs(s, gap)), s, (gap,)))
+    counts = frequency.count_by_stream(grown, gap.hi).withColumnRenamed("stream", "slice")
     return measures.top_by_slice(counts, TOP).withColumn("types", F.split("ep_id", r"-\(0,24h\]->"))
 
 
