@@ -77,6 +77,28 @@ def pos(prefix: str = "") -> Column:
     return F.struct(F.col(f"{p}t").alias("t"), F.col(f"{p}eid").alias("eid"))
 
 
+_SPREAD, _HALF = 10**18, 5 * 10**17
+
+
+def packed(place: Column) -> Column:
+    """A position (t, eid) as one number of the same order: aggregates of structs are sorted, those of numbers hashed.
+
+    eid has to lie within 5 * 10^17 of zero.
+    """
+    return place["t"].cast("decimal(19,0)") * F.lit(_SPREAD).cast("decimal(19,0)") + (place["eid"] + F.lit(_HALF)).cast("decimal(19,0)")
+
+
+def unpacked(number: Column) -> Column:
+    low = F.pmod(number, F.lit(_SPREAD).cast("decimal(38,0)"))
+    t = F.try_divide(number - low, F.lit(_SPREAD).cast("decimal(38,0)"))
+    return F.struct(t.cast("long").alias("t"), (low.cast("long") - F.lit(_HALF)).alias("eid"))
+
+
+def latest(place: Column) -> Column:
+    """The last of a group's positions, as an aggregate that `unpacked` reads."""
+    return F.max(packed(place))
+
+
 def render_chain(episode: Episode) -> str:
     """Compound types already carry brackets: A [B C] D, with the gaps' labels where there are any."""
     out = episode.types[0]

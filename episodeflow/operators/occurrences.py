@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from ..model import Episode, Gap, pos
+from ..model import Episode, Gap, latest, pos, unpacked
 
 
 def band_join(left: DataFrame, right: DataFrame, lo, hi, on: tuple[str, ...] = ("stream",), width: int | None = None) -> DataFrame:
@@ -36,8 +36,8 @@ def recents(stream: DataFrame, expiry: int, strict: bool = False) -> DataFrame:
     if reach < 0:
         raise ValueError("the expiry leaves no room for an event itself")
     both = band_join(stream, stream, -1, reach).where((F.col("l.t") < F.col("r.t")) | (F.col("l.eid") <= F.col("r.eid")))
-    latest = both.groupBy("stream", "_b", F.col("r.etype").alias("etype"), F.col("r.t").alias("t"), F.col("r.eid").alias("eid"), F.col("l.etype").alias("near_type")).agg(F.max(pos("l")).alias("p"))
-    return latest.groupBy("stream", "_b", "etype", "t", "eid").agg(F.map_from_entries(F.collect_list(F.struct("near_type", "p"))).alias("near")).drop("_b")
+    last = both.groupBy("stream", "_b", F.col("r.etype").alias("etype"), F.col("r.t").alias("t"), F.col("r.eid").alias("eid"), F.col("l.etype").alias("near_type")).agg(latest(pos("l")).alias("p")).withColumn("p", unpacked(F.col("p")))
+    return last.groupBy("stream", "_b", "etype", "t", "eid").agg(F.map_from_entries(F.collect_list(F.struct("near_type", "p"))).alias("near")).drop("_b")
 
 
 def same_tick(stream: DataFrame) -> DataFrame:
@@ -45,8 +45,8 @@ def same_tick(stream: DataFrame) -> DataFrame:
     ticks = stream.groupBy("stream", "t").agg(F.array_sort(F.collect_list(F.struct("eid", "etype"))).alias("all"))
     each = ticks.select("stream", "t", "all", F.posexplode("all").alias("i", "e"))
     before = F.slice("all", F.lit(1), F.col("i") + 1)
-    latest = F.aggregate(before, F.create_map().cast("map<string,struct<t:bigint,eid:bigint>>"), lambda m, x: F.map_concat(F.map_filter(m, lambda k, v: k != x["etype"]), F.create_map(x["etype"], F.struct(F.col("t").alias("t"), x["eid"].alias("eid")))))
-    return each.select("stream", F.col("e.etype").alias("etype"), "t", F.col("e.eid").alias("eid"), latest.alias("near"))
+    last = F.aggregate(before, F.create_map().cast("map<string,struct<t:bigint,eid:bigint>>"), lambda m, x: F.map_concat(F.map_filter(m, lambda k, v: k != x["etype"]), F.create_map(x["etype"], F.struct(F.col("t").alias("t"), x["eid"].alias("eid")))))
+    return each.select("stream", F.col("e.etype").alias("etype"), "t", F.col("e.eid").alias("eid"), last.alias("near"))
 
 
 def parallel_pairs(near: DataFrame) -> DataFrame:
@@ -84,8 +84,8 @@ def serial_pairs(stream: DataFrame, *gaps: Gap) -> DataFrame:
     for g in gaps:
         label = F.when((dt > g.lo) & (dt <= g.hi), F.lit(g.label)).otherwise(label)
     rows = both.withColumn("_g", label).where("_g is not null")
-    found = rows.groupBy("stream", "_b", F.col("l.etype").alias("a"), F.col("r.etype").alias("b"), "_g", pos("r").alias("e")).agg(F.max(pos("l")).alias("s"))
-    return found.select("stream", F.concat("a", F.lit("-"), "_g", F.lit("->"), "b").alias("ep_id"), "s", "e")
+    found = rows.groupBy("stream", "_b", F.col("l.etype").alias("a"), F.col("r.etype").alias("b"), "_g", F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).agg(latest(pos("l")).alias("s"))
+    return found.select("stream", F.concat("a", F.lit("-"), "_g", F.lit("->"), "b").alias("ep_id"), unpacked(F.col("s")).alias("s"), pos().alias("e"))
 
 
 def serial_extend(intervals: DataFrame, stream: DataFrame, episodes: list[Episode], members: bool = False) -> DataFrame:
@@ -100,7 +100,8 @@ def serial_extend(intervals: DataFrame, stream: DataFrame, episodes: list[Episod
     both = band_join(left, stream, "lo", "hi", ("stream", "etype"), max(e.gaps[-1].hi - e.gaps[-1].lo for e in episodes))
     keys = [F.col("stream"), F.col("etype").alias("_x"), F.col("_b"), F.col("l.new_id").alias("ep_id"), pos("r").alias("e")]
     if not members:
-        return both.groupBy(*keys).agg(F.max("l.s").alias("s")).select("stream", "ep_id", "s", "e")
+        found = both.groupBy("stream", "etype", "_b", F.col("l.new_id").alias("ep_id"), F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).agg(latest(F.col("l.s")).alias("s"))
+        return found.select("stream", "ep_id", unpacked(F.col("s")).alias("s"), pos().alias("e"))
     best = both.groupBy(*keys).agg(F.max(F.struct(F.col("l.s").alias("s"), F.col("l.e").alias("pe"), F.col("l.members").alias("m"))).alias("b"))
     return best.select("stream", "ep_id", F.col("b.s").alias("s"), "e", F.concat("b.m", F.array(F.struct(F.col("_x").alias("etype"), F.col("e.t").alias("t"), F.col("e.eid").alias("eid")))).alias("members"))
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..model import Gap, parallel
+from ..model import Gap, latest, parallel, pos, unpacked
 from ..storage import cut
 from . import candidates, frequency, occurrences
 
@@ -111,9 +111,9 @@ def _grow_all(grown: DataFrame, stream: DataFrame, gaps: tuple[Gap, ...]) -> Dat
     for g in gaps:
         label = F.when((dt > g.lo) & (dt <= g.hi), F.lit(g.label)).otherwise(label)
     rows = both.withColumn("_g", label).where("_g is not null")
-    keys = [F.col("l.ep_id").alias("_p"), "_g", F.col("r.etype").alias("_x"), F.struct(F.col("r.t").alias("t"), F.col("r.eid").alias("eid")).alias("e")]
-    found = rows.groupBy("stream", "_b", *keys).agg(F.max("l.s").alias("s"))
-    return found.select("stream", F.concat("_p", F.lit("-"), "_g", F.lit("->"), "_x").alias("ep_id"), "s", "e")
+    keys = [F.col("l.ep_id").alias("_p"), "_g", F.col("r.etype").alias("_x"), F.col("r.t").alias("t"), F.col("r.eid").alias("eid")]
+    found = rows.groupBy("stream", "_b", *keys).agg(latest(F.col("l.s")).alias("s"))
+    return found.select("stream", F.concat("_p", F.lit("-"), "_g", F.lit("->"), "_x").alias("ep_id"), unpacked(F.col("s")).alias("s"), pos().alias("e"))
 
 
 def max_freq_profile(counts: DataFrame, max_k: int, n_sets: int) -> DataFrame:
