@@ -5,9 +5,9 @@ magic `PAIR`, version, counts (rules, sequence, documents, tokens), the first no
 the rules' expansion lengths, the sequence, the documents' ids and lengths, a bit for each doc_id that is null. Rule r is nonterminal `first + r`; a rule
 names earlier symbols only. Expansion lengths make any token reachable without decoding what stands before it.
 
-Rounds stand in for the one-pair-at-a-time loop: each takes the pairs that are found at least an eighth as often as the
-most frequent one (about one for `ROUND` ids at most), replaces them from left to right, and leaves overlapping pairs to the next round. Rounds go on until no pair is left that is found
-`min_pair` times; a rule takes three integers of the shard, so that a rarer pair would not pay for its rule.
+Rounds stand in for the one-pair-at-a-time loop: each takes the most frequent pairs, one for `ROUND` ids of the shard,
+replaces them from left to right, and leaves overlapping pairs to the next round. Rounds go on until no pair is left that
+is found `min_pair` times; a rule takes three integers of the shard, so that a rarer pair would not pay for its rule.
 
 Null texts are empty; empty tables give no shard; a doc_id that repeats keeps all its rows; a null doc_id comes first.
 Columns besides doc_id and text aren't read, so their names can't clash.
@@ -31,7 +31,7 @@ from .tokens import encoder
 HEAD = struct.Struct("<4sIIIIII")
 MAGIC, VERSION = b"PAIR", 2
 SHARD_TOKENS = 1 << 20
-ROUND, SHARE, MIN_PAIR = 64, 8, 4
+ROUND, MIN_PAIR = 256, 4
 BITS = 20
 
 
@@ -41,7 +41,7 @@ def _slots(a: np.ndarray, b: np.ndarray) -> np.ndarray:
 
 
 def _frequent(seq: np.ndarray, most: int, min_pair: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The pairs found at least a SHARE-th as often as the most frequent one, `most` of them or as many as tie: first << 32 | second, places where one stands, and which one.
+    """The `most` most frequent pairs (more where they tie), first << 32 | second, places where one stands, and which one.
 
     Of pairs that share a slot of the table the last one is taken, the others wait for another round.
     """
@@ -49,8 +49,7 @@ def _frequent(seq: np.ndarray, most: int, min_pair: int) -> tuple[np.ndarray, np
     order = np.sort(keys)
     opens = np.flatnonzero(np.append(True, order[1:] != order[:-1]))
     counts = np.diff(opens, append=len(order))
-    enough = counts >= max(min_pair, int(counts.max()) // SHARE)
-    opens, counts = opens[enough], counts[enough]
+    opens, counts = opens[counts >= min_pair], counts[counts >= min_pair]
     if len(counts) > most:
         opens = opens[counts >= np.partition(counts, -most)[-most]]
     found = order[opens]
