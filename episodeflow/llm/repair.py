@@ -190,7 +190,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str = "byte_bpe_50k.json
             names, lengths, arrays, held, shard = [], [], [], 0, shard + 1
             return out
 
-        for batch in slices(batches):
+        for batch in slices(batches, most=4 << 20):
             ids, sizes = enc.encode_bytes(*laid(batch.column(1)))
             sizes = sizes + 1
             ends = np.cumsum(sizes)
