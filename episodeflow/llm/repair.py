@@ -40,35 +40,46 @@ def _slots(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return (a * np.uint32(2654435761) + b * np.uint32(2246822519)) >> np.uint32(32 - BITS)
 
 
-def _frequent(seq: np.ndarray, most: int, min_pair: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The `most` most frequent pairs (more where they tie), first << 32 | second, places where one stands, and which one.
+def _frequent(seq: np.ndarray, places: np.ndarray, most: int, min_pair: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """The `most` most frequent pairs among places (more where they tie), first << 32 | second; where one stands; which one;
+    and the places of all pairs found `min_pair` times (a few rarer ones among them).
 
     Of pairs that share a slot of the table the last one is taken, the others wait for another round.
     """
-    keys = (seq[:-1].astype(np.int64) << 32) | seq[1:]
+    a, b = seq[places], seq[places + 1]
+    keys = (a.astype(np.int64) << 32) | b
     order = np.sort(keys)
-    opens = np.flatnonzero(np.append(True, order[1:] != order[:-1]))
+    opens = np.flatnonzero(np.append(True, order[1:] != order[:-1])) if len(order) else np.empty(0, np.int64)
     counts = np.diff(opens, append=len(order))
     opens, counts = opens[counts >= min_pair], counts[counts >= min_pair]
+    often = np.zeros(1 << BITS, bool)
+    often[_slots((order[opens] >> 32).astype(np.uint32), order[opens].astype(np.uint32))] = True
     if len(counts) > most:
         opens = opens[counts >= np.partition(counts, -most)[-most]]
     found = order[opens]
     number = np.full(1 << BITS, -1, np.int32)
     number[_slots((found >> 32).astype(np.uint32), found.astype(np.uint32))] = np.arange(len(found))
-    rule = number[_slots(seq[:-1], seq[1:])]
-    at = np.flatnonzero(rule >= 0)
-    rule = rule[at]
+    slots = _slots(a, b)
+    live = np.flatnonzero(often[slots])
+    rule = number[slots[live]]
+    taken = np.flatnonzero(rule >= 0)
+    rule, at = rule[taken], live[taken]
     fits = found[rule] == keys[at]
-    return found, at[fits], rule[fits]
+    return found, places[at[fits]], rule[fits], places[live]
 
 
 def compress(ids: np.ndarray, first: int, every: int = ROUND, min_pair: int = MIN_PAIR) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Rules (two columns), their expansion lengths, and the sequence. Symbols below `first` are ids."""
+    """Rules (two columns), their expansion lengths, and the sequence. Symbols below `first` are ids.
+
+    After a round only pairs that hold one of its nonterminals, or were frequent before it, can be frequent: the next
+    round looks at their places alone, and finds what it would find among all.
+    """
     seq = ids.astype(np.uint32)
     rules, lengths = [np.empty((0, 2), np.uint32)], [np.empty(0, np.uint32)]
     most, made, size = max(16, len(seq) // every), 0, np.ones(first, np.uint32)
-    while len(seq) > 1:
-        found, hits, rule = _frequent(seq, most, min_pair)
+    places = np.arange(max(0, len(seq) - 1))
+    while len(places):
+        found, hits, rule, places = _frequent(seq, places, most, min_pair)
         if not len(found):
             break
         opens = np.flatnonzero(np.diff(hits, prepend=-2) != 1)  # of runs of overlapping hits every second one counts
@@ -81,7 +92,13 @@ def compress(ids: np.ndarray, first: int, every: int = ROUND, min_pair: int = MI
         seq[hits] = (first + made + rule).astype(np.uint32)
         stays = np.ones(len(seq), bool)
         stays[hits + 1] = False
-        seq = seq[stays]
+        look = np.zeros(len(seq), bool)
+        look[places] = True
+        look[hits] = True
+        before = hits[hits > 0] - 1
+        look[before - ~stays[before]] = True  # the place before, or that of the nonterminal which took it
+        seq, look = seq[stays], look[stays]
+        places = np.flatnonzero(look[:-1])
         rules.append(pair)
         lengths.append(size[pair[:, 0]] + size[pair[:, 1]])
         size = np.concatenate([size, lengths[-1]])

@@ -837,3 +837,17 @@ def test_sql_beside_queries(spark, name):
     columns = [c[0] for c in got.description]
     want = sorted(map(str, got.fetchall()))
     assert sorted(str(tuple(r[c] for c in columns)) for r in queries.queries()[name](spark, sf).collect()) == want
+
+
+def test_rounds_look_at_part_of_the_places_and_find_what_all_give(monkeypatch):
+    rng, real = np.random.default_rng(3), repair._frequent
+    for k in range(60):
+        ids = rng.integers(0, int(rng.integers(1, 12)), int(rng.integers(0, 500))).astype(np.uint32)
+        ids = np.tile(ids[:30], 9) if k % 4 == 0 else ids
+        first = int(ids.max()) + 1 if len(ids) else 1
+        for every, least in ((4, 2), (64, 4)):
+            got = repair.compress(ids, first, every, least)
+            with monkeypatch.context() as m:
+                m.setattr(repair, "_frequent", lambda seq, places, *rest: real(seq, np.arange(len(seq) - 1), *rest))
+                want = repair.compress(ids, first, every, least)
+            assert all(np.array_equal(a, b) for a, b in zip(got, want, strict=True))
