@@ -1,7 +1,7 @@
 """One pass over each stream with all candidates at once, as an Arrow kernel.
 
 Candidates wait under the event types they can take next. A node remembers, for what has been reached, the latest start
-of an occurrence ending there; entries out of reach are dropped as the probe passes them. A completed episode counts
+of an occurrence ending there; entries out of reach are dropped as a probe or a new entry passes them. A completed episode counts
 and forgets everything it remembered. The last node is updated first, so that an event takes one node of an episode.
 """
 
@@ -24,6 +24,12 @@ class _Parallel:
     def __init__(self, e: Episode, expiry: int):
         self.types, self.expiry, self.seen, self.freq, self.peak = e.types, expiry, {}, 0, 0
 
+    def dump(self) -> list:
+        return [self.freq, self.seen]
+
+    def load(self, state: list) -> None:
+        self.freq, self.seen = state
+
     def take(self, x: str, t: int) -> None:
         seen = self.seen
         seen[x] = t
@@ -47,6 +53,12 @@ class _Serial:
         self.held = [deque() for _ in e.types]
         self.freq = self.peak = 0
 
+    def dump(self) -> list:
+        return [self.freq, [list(d) for d in self.held]]
+
+    def load(self, state: list) -> None:
+        self.freq, self.held = state[0], [deque(map(tuple, d)) for d in state[1]]
+
     def take(self, x: str, t: int) -> None:
         last = len(self.types) - 1
         for k in self.at:
@@ -70,6 +82,8 @@ class _Serial:
                     return
             else:
                 own = self.held[k]
+                while self.gaps and own and t - own[0][0] > self.gaps[k].hi:
+                    own.popleft()
                 if not self.gaps:  # without gaps an earlier entry with an earlier start is of no more use, but for ties
                     while own and own[-1][1] <= start and own[-1][0] == t:
                         own.pop()
@@ -79,9 +93,14 @@ class _Serial:
                 self.peak = max(self.peak, sum(map(len, self.held)))
 
 
+def machine(e: Episode, expiry: int | None) -> _Parallel | _Serial:
+    """What counts one episode: take(type, time) in order, freq, and dump() and load() of what it remembers."""
+    return _Parallel(e, expiry) if e.kind == "parallel" else _Serial(e, expiry)
+
+
 def run(types: list[str], times: list[int], episodes: list[Episode], expiry: int | None = None) -> list[tuple[str, int, int]]:
     """(ep_id, freq, peak entries) over one stream in its order."""
-    machines = [(_Parallel(e, expiry) if e.kind == "parallel" else _Serial(e, expiry)) for e in episodes]
+    machines = [machine(e, expiry) for e in episodes]
     waits = defaultdict(list)
     for e, m in zip(episodes, machines, strict=True):
         for x in set(e.types):

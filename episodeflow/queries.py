@@ -860,19 +860,41 @@ def spike_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.format("spikes").options(n="26", seconds="2", datasets="2", order="0,1,2,3").load().groupBy("stream", "etype").agg(F.count("*").alias("n"))
 
 
-@query()
+def _replay(spark: SparkSession, sf_dir: str, eps: list[Episode], expiry: int | None) -> DataFrame:
+    """Each stream's last online count of each episode, after a replay of all events."""
+    ev = spark.readStream.schema(T.load(spark, sf_dir, "events").schema).parquet(f"{sf_dir.rstrip('/')}/events.parquet*")
+    timed = T.as_stream(ev, T.EventStreamSpec("user_id", "event_type", "ts", "event_id")).withColumn("ts", F.timestamp_micros("t"))
+    path, timed = new_path(spark, "online"), online.closed(timed, new_path(spark, "closing"))
+    counts = online.online_count(timed, eps, expiry).writeStream.outputMode("update").foreachBatch(online.batch_sink(path))
+    counts.option("checkpointLocation", new_path(spark, "online-progress")).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(online.OUT).parquet(path).groupBy("stream", "ep_id").agg(F.max("freq").alias("freq"))
+
+
+_LAST_COUNTS = "SELECT stream, ep_id, count(*) AS freq FROM g WHERE ep_id IN ({}) GROUP BY ALL"
+
+
+@query(S.counted(S.USER, S.PAIRS, S.near(6 * HOUR), _LAST_COUNTS.format("'click+purchase', 'click+view'")))
 def online_count(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Running counts over a replay of all events; each stream's last count of each episode."""
-    import uuid
+    return _replay(spark, sf_dir, [parallel(("click", "purchase")), parallel(("click", "view"))], 6 * HOUR)
 
-    ev = spark.readStream.schema(T.load(spark, sf_dir, "events").schema).parquet(f"{sf_dir.rstrip('/')}/events.parquet*")
-    timed = T.as_stream(ev, T.EventStreamSpec("user_id", "event_type", "ts", "event_id")).withColumn("ts", F.timestamp_micros("t"))
-    eps = [parallel(("click", "purchase")), parallel(("click", "view"))]
-    name = f"online_{uuid.uuid4().hex}"
-    timed = online.closed(timed, new_path(spark, "closing"))
-    q = online.online_count(timed, eps, 6 * HOUR).writeStream.outputMode("update").format("memory").queryName(name).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name).groupBy("stream", "ep_id").agg(F.max("freq").alias("freq"))
+
+@query(S.counted(S.USER, S.serial2(SIX), select=_LAST_COUNTS.format("'view-(0,6h]->click', 'click-(0,6h]->purchase'")))
+def online_serial_count(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Orders counted online, by lists of times of which what is out of reach is dropped."""
+    return _replay(spark, sf_dir, [serial(x, (THREE_GAPS[0],)) for x in (("view", "click"), ("click", "purchase"))], None)
+
+
+@query()
+def spike_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The data source read as a stream."""
+    from .sources import spikes
+
+    spikes.register(spark)
+    path = new_path(spark, "spikes")
+    live = spark.readStream.format("spikes").options(n="26", seconds="2", datasets="2", order="0,1,2,3").load()
+    live.writeStream.foreachBatch(online.batch_sink(path)).option("checkpointLocation", new_path(spark, "spikes-progress")).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(live.schema).parquet(path).groupBy("stream", "etype").agg(F.count("*").alias("n"))
 
 
 # ---- more operators around the methods

@@ -1,8 +1,8 @@
-"""The simulator as a data source: spark.read.format("spikes").options(...).load()."""
+"""The simulator as a data source: spark.read.format("spikes").options(...).load(), or readStream."""
 
 from __future__ import annotations
 
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, InputPartition
 
 from ..model import STREAM
 
@@ -20,6 +20,9 @@ class SpikeSource(DataSource):
     def reader(self, schema) -> DataSourceReader:
         return SpikeReader(self.options)
 
+    def streamReader(self, schema) -> DataSourceStreamReader:
+        return SpikeStream(self.options)
+
 
 class SpikeReader(DataSourceReader):
     def __init__(self, options):
@@ -41,5 +44,21 @@ class SpikeReader(DataSourceReader):
             yield str(partition.value), str(units[i]), int(times[i] * TICKS), k
 
 
+class SpikeStream(SpikeReader, DataSourceStreamReader):
+    """A stream of data sets: an offset is how many of them have been read, and all that there are can be read at once."""
+
+    def initialOffset(self) -> dict:
+        return {"datasets": 0}
+
+    def latestOffset(self) -> dict:
+        return {"datasets": self.datasets}
+
+    def partitions(self, start: dict, end: dict):
+        return [InputPartition(k) for k in range(start["datasets"], end["datasets"])]
+
+    def commit(self, end: dict) -> None:
+        """Data sets come from their seeds: nothing to let go of."""
+
+
 def register(spark) -> None:
     spark.dataSource.register(SpikeSource)

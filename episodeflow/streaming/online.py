@@ -3,52 +3,101 @@
 from __future__ import annotations
 
 import json
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle, StreamingQuery
+from pyspark.sql.streaming.stateful_processor import ExpiredTimerInfo, TimerValues
 
 from ..model import Episode
+from ..operators.automata import machine
 
-STATE = "seen string, counts string, held string, mark long"
 OUT = "stream string, ep_id string, freq long"
+ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
-def online_count(events: DataFrame, episodes: list[Episode], expiry: int, late: str = "1 hour") -> DataFrame:
-    """Running frequencies of parallel episodes for each stream.
+class _Counter(StatefulProcessor):
+    """A stream's waiting events, and what each of its episodes remembers.
 
-    events: (stream, etype, ts, t, eid). Events wait until the watermark has passed them and are then taken in order,
-    so that the counts equal those of a batch over the same events; the state is a latest time for each type.
+    Only episodes that an event touches are read and written. Waiting events are read again when some of them are due.
     """
 
-    def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        seen, counts, held = ({}, {}, []) if not state.exists else (json.loads(x) for x in state.get[:3])
-        for pdf in batches:
-            held += [[int(t), int(i), x] for t, i, x in zip(pdf["t"], pdf["eid"], pdf["etype"], strict=True)]
-        mark = state.getCurrentWatermarkMs() * 1000
-        due = sorted(x for x in held if x[0] <= mark)
-        held = [x for x in held if x[0] > mark]
-        for t, _, x in due:
-            for e in episodes:
-                if x not in e.types:
-                    continue
-                own = seen.setdefault(e.id, {})
-                own[x] = t
-                if len(own) == len(e.types):
-                    if min(own.values()) >= t - expiry:
-                        counts[e.id] = counts.get(e.id, 0) + 1
-                        own.clear()
-                    else:
-                        for k in [k for k, v in own.items() if v < t - expiry]:
-                            del own[k]
-        state.update((json.dumps(seen), json.dumps(counts), json.dumps(held), mark))
+    def __init__(self, episodes: list[Episode], expiry: int | None):
+        self.episodes, self.expiry = {e.id: e for e in episodes}, expiry
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
+        self.waiting = handle.getListState("waiting", "t long, eid long, etype string")
+        self.remembered = handle.getMapState("remembered", "ep_id string", "state string")
+
+    def _wake(self, t: int) -> None:
+        self.handle.registerTimer(t // 1000 + 1)
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timerValues: TimerValues) -> Iterator[pd.DataFrame]:
+        for pdf in rows:
+            new = [(int(t), int(i), x) for t, i, x in zip(pdf["t"], pdf["eid"], pdf["etype"], strict=True)]
+            if new:
+                self.waiting.appendList(new)
+                self._wake(max(min(new)[0], timerValues.getCurrentWatermarkInMs() * 1000))
+        return iter(())
+
+    def handleExpiredTimer(self, key: tuple, timerValues: TimerValues, expiredTimerInfo: ExpiredTimerInfo) -> Iterator[pd.DataFrame]:
+        mark, held = timerValues.getCurrentWatermarkInMs() * 1000, list(self.waiting.get())
+        due = sorted(tuple(x) for x in held if x[0] <= mark)
+        if not due:
+            return
+        held = [tuple(x) for x in held if x[0] > mark]
         if held:
-            state.setTimeoutTimestamp(max(min(h[0] for h in held) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
-        yield pd.DataFrame([(key[0], k, n) for k, n in counts.items()], columns=["stream", "ep_id", "freq"])
+            self.waiting.put(held)
+            self._wake(min(held)[0])
+        else:
+            self.waiting.clear()
+        seen, out = {x for _, _, x in due}, []
+        for name, e in self.episodes.items():
+            if seen.isdisjoint(e.types):
+                continue
+            m = machine(e, self.expiry)
+            if self.remembered.containsKey((name,)):
+                m.load(json.loads(self.remembered.getValue((name,))[0]))
+            before = m.freq
+            for t, _, x in due:
+                if x in e.types:
+                    m.take(x, t)
+            self.remembered.updateValue((name,), (json.dumps(m.dump()),))
+            if m.freq != before:
+                out.append((key[0], name, m.freq))
+        if out:
+            yield pd.DataFrame(out, columns=["stream", "ep_id", "freq"])
+
+
+def online_count(events: DataFrame, episodes: list[Episode], expiry: int | None, late: str = "1 hour") -> DataFrame:
+    """Running frequencies for each stream of parallel episodes (within expiry) and of serial ones (by gaps, or expiry).
+
+    events: (stream, etype, ts, t, eid). Events wait until the watermark has passed them and are then taken in order,
+    so that the counts equal those of a batch over the same events; later ones are dropped and `late_rows` counts them.
+    An episode remembers a latest time for each type, or what of its prefixes is still within reach. The state lies in
+    RocksDB, which the session is told to use.
+    """
+    if any(e.kind == "parallel" for e in episodes) and expiry is None:
+        raise ValueError("parallel episodes need an expiry")
+    events.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKSDB)
+    return events.withWatermark("ts", late).groupBy("stream").transformWithStateInPandas(_Counter(episodes, expiry), OUT, "update", "EventTime")
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that a query's stateful operators dropped behind the watermark, over the progress it still remembers."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
+def batch_sink(path: str) -> Callable[[DataFrame, int], None]:
+    """For foreachBatch: each batch into a folder of its own, written anew when a batch is repeated."""
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
 
-    return events.withWatermark("ts", late).groupBy("stream").applyInPandasWithState(step, OUT, STATE, "update", GroupStateTimeout.EventTimeTimeout)
+    return write
 
 
 def closed(events: DataFrame, path: str) -> DataFrame:

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from episodeflow import queries as own
-from episodeflow.model import Gap, parallel
+from episodeflow.functions import udfs
+from episodeflow.model import Gap, parallel, serial
 from episodeflow.operators import frequency, occurrences
 from episodeflow.sources import streams as T
 from episodeflow.streaming import online
@@ -111,6 +112,44 @@ def test_replay_counts_the_last_hour_too(spark, tmp_path):
     assert {r["ep_id"]: r["freq"] for r in whole} == {r["ep_id"]: r["freq"] for r in batch}
 
 
+def test_online_orders_equal_batch_counts_and_late_rows_are_counted(spark, tmp_path):
+    import random
+
+    r = random.Random(5)
+    rows = [("ab"[k % 2], r.choice("ABCD"), 1_700_000_000_000_000 + 60_000_000 * (k // 3), k) for k in range(240)]
+    s = spark.createDataFrame(rows, "stream string, etype string, t long, eid long")
+    far = spark.createDataFrame([("z", "Z", 1_800_000_000_000_000, 999)], s.schema)
+    tardy = spark.createDataFrame([("a", "A", 1_700_000_000_000_001, 1000)], s.schema)
+    for k, part in enumerate([s.where("eid < 100"), s.where("eid >= 100"), far, tardy]):
+        part.coalesce(1).write.parquet(f"{tmp_path}/in/{k}")
+        for f in (tmp_path / "in" / str(k)).glob("part-*"):
+            os.utime(f, (1_700_000_000 + k, 1_700_000_000 + k))
+    gap, wide = Gap(0, 180_000_000, "g"), Gap(60_000_000, 300_000_000, "h")
+    eps = [serial("AB", (gap,)), serial("ABA", (gap, wide)), serial("AABC", (gap, gap, wide))]
+    ev = spark.readStream.schema(s.schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/*").withColumn("ts", F.timestamp_micros("t"))
+    q = online.online_count(ev, eps, None).writeStream.outputMode("update").foreachBatch(online.batch_sink(f"{tmp_path}/out")).option("checkpointLocation", f"{tmp_path}/cp").trigger(availableNow=True).start()
+    q.awaitTermination()
+    got = {(x["stream"], x["ep_id"]): x["n"] for x in spark.read.schema(online.OUT).parquet(f"{tmp_path}/out").groupBy("stream", "ep_id").agg(F.max("freq").alias("n")).collect()}
+    from episodeflow.operators import automata
+
+    want = {(x["stream"], x["ep_id"]): x["freq"] for x in automata.count_by_stream(s, eps).where("freq > 0").collect()}
+    assert got == want and len(want) >= 4
+    assert online.late_rows(q) == 1
+
+
+def test_spikes_as_a_stream_equal_the_batch(spark):
+    batch = own.QUERIES["spike_source"](spark, SF).collect()
+    assert sorted(map(tuple, own.QUERIES["spike_stream"](spark, SF).collect())) == sorted(map(tuple, batch)) and batch
+
+
+def test_sql_names(spark):
+    udfs.register(spark)
+    got = spark.sql("SELECT episode_id(array('b', 'a'), null) AS p, episode_id(array('b', 'a', 'c'), array('(0,2]', '(2,4]')) AS s, episode_id(array('b', 'a'), array()) AS u, episode_id(array('b'), array()) AS o, "
+                    "similarity_score(array(array('a','b','c'), array('x','y','z')), array(array('a','b','c'), array('q','x','y'))) AS n, similarity_score(null, array(array('a'))) AS z, similarity_score(array(), array(array('a'))) AS e").first()
+    assert (got["p"], got["s"], got["u"], got["o"]) == ("a+b", serial("bac", (Gap(0, 2), Gap(2, 4))).id, serial("ba").id, "b")
+    assert (got["n"], got["z"], got["e"]) == (8 + 4, None, 0)
+
+
 def test_online_rates_pairs_and_dedupe(spark, tmp_path):
     rows = [("a", x, 1_700_000_000_000_000 + 60_000_000 * t, t) for t, x in ((0, "A"), (2, "B"), (2, "B"), (9, "A"), (11, "B"))]
     s = spark.createDataFrame(rows, "stream string, etype string, t long, eid long").withColumn("ts", F.timestamp_micros("t"))
