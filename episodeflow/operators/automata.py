@@ -10,6 +10,7 @@ from __future__ import annotations
 from collections import defaultdict, deque
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -113,13 +114,14 @@ def run(types: list[str], times: list[int], episodes: list[Episode], expiry: int
 
 def count_by_stream(stream: DataFrame, episodes: list[Episode], expiry: int | None = None) -> DataFrame:
     """For many streams of a size that a task can hold; a stream that is longer goes to the windowed form."""
+    schema = pa.schema([("stream", pa.string()), ("ep_id", pa.string()), ("freq", pa.int64()), ("peak_entries", pa.int64())])
 
-    def kernel(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["t", "eid"])
-        rows = [(pdf["stream"].iloc[0], *r) for r in run(pdf["etype"].tolist(), pdf["t"].tolist(), episodes, expiry) if r[1] or r[2]]
-        return pd.DataFrame(rows, columns=["stream", "ep_id", "freq", "peak_entries"])
+    def kernel(key: tuple, table: pa.Table) -> pa.Table:
+        table = table.sort_by([("t", "ascending"), ("eid", "ascending")])
+        rows = [(key[0].as_py(), *r) for r in run(table["etype"].to_pylist(), table["t"].to_pylist(), episodes, expiry) if r[1] or r[2]]
+        return pa.Table.from_arrays([pa.array([r[k] for r in rows], f.type) for k, f in enumerate(schema)], schema=schema)
 
-    return stream.groupBy("stream").applyInPandas(kernel, COUNTS)
+    return stream.groupBy("stream").applyInArrow(kernel, COUNTS)
 
 
 def count(stream: DataFrame, episodes: list[Episode], expiry: int | None = None) -> DataFrame:
