@@ -77,7 +77,7 @@ def plant(net: Network, layers: list[list[int]], delays: list[int] | None = None
 
 
 def _fire(net: Network, seconds: float, seed: int) -> tuple[np.ndarray, np.ndarray]:
-    rng = np.random.default_rng(seed)
+    rng, again = np.random.default_rng(seed), np.random.default_rng((seed, 1))
     steps = round(seconds / net.dt)
     reach = max((d for *_, d in net.edges), default=0) + 1
     weight = np.zeros((reach, net.n, net.n))
@@ -95,14 +95,18 @@ def _fire(net: Network, seconds: float, seed: int) -> tuple[np.ndarray, np.ndarr
             uniform = -np.log1p(-rng.random((min(4096, steps - k), net.n)))
         rate = lam_max / (1 + np.exp(shift - arriving[k % reach]))
         arriving[k % reach] = 0
-        at = k * net.dt + uniform[k % 4096] / rate
-        fired = np.flatnonzero((at < (k + 1) * net.dt) & (at >= free))
-        if len(fired):
+        at, end = k * net.dt + uniform[k % 4096] / rate, (k + 1) * net.dt
+        early = np.flatnonzero((at < end) & (at < free))  # lost; arrivals have no memory, the next one counts from when the unit is free
+        at[early] = free[early] + again.exponential(1 / rate[early])
+        fired = np.flatnonzero(at < end)
+        while len(fired):
             units.append(fired)
             times.append(at[fired])
             free[fired] = at[fired] + net.refractory
             for d in used:
                 arriving[(k + d) % reach] += weight[d][fired].sum(axis=0)
+            at[fired] = free[fired] + again.exponential(1 / rate[fired])  # arrivals have no memory
+            fired = fired[at[fired] < end]
     if not units:
         return np.empty(0, int), np.empty(0)
     return np.concatenate(units), np.concatenate(times)

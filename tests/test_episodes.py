@@ -3,6 +3,7 @@
 import random
 from itertools import combinations, product
 
+import numpy as np
 import pytest
 
 from episodeflow.functions import rates
@@ -241,6 +242,14 @@ def test_rewriting(spark):
             assert sorted(map(tuple, recording.rewritten(many, eps, 3, anchor, mode).collect())) == sorted(map(tuple, want.collect()))
 
 
+def test_arrivals_of_a_step_are_those_of_a_process_with_dead_time():
+    for period in (0.0, 0.0003, 0.001):
+        units, times = simulator._fire(simulator.Network(50, lam_normal=900.0, refractory=period), 10, 3)
+        assert len(units) / 500 == pytest.approx(1 / (1 / 900 + period), rel=0.01)
+        for u in range(50):
+            assert (np.diff(np.sort(times[units == u])) >= period - 1e-12).all()
+
+
 def test_refractory(spark):
     types, times = seq("A0 A1 A2 A4 A5 B1 A9")
     got = sorted(r["t"] for r in simulator.refractory(frame(spark, (types, times)), 2).where("etype = 'A'").collect())
