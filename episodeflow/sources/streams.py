@@ -99,9 +99,12 @@ def dedupe(stream: DataFrame) -> DataFrame:
 
 
 def save_stream(stream: DataFrame, path: str, per_file: int = 1_000_000, day_ticks: int = 86_400_000_000) -> None:
-    """Partitioned by day, sorted within files by stream and time, so that slices prune and streams lie together."""
+    """Partitioned by day, sorted within files by stream and time, so that slices prune and streams lie together.
+
+    Tasks write ranges of (day, stream, time): a day, or a stream, that holds most events is written by many of them.
+    """
     days = stream.withColumn("day", F.floor(F.col("t") / day_ticks).cast("int"))
-    days.repartition("day").sortWithinPartitions("stream", "t", "eid").write.option("maxRecordsPerFile", per_file).partitionBy("day").mode("overwrite").parquet(path)
+    days.repartitionByRange("day", "stream", "t").sortWithinPartitions("day", "stream", "t", "eid").write.option("maxRecordsPerFile", per_file).partitionBy("day").mode("overwrite").parquet(path)
 
 
 def read_spikes(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFrame:

@@ -73,6 +73,17 @@ def test_files_round_trip(spark, tmp_path):
     assert T.read_spikes(spark, f"{tmp_path}/text", "text").count() == 3
 
 
+def test_a_day_that_holds_all_events_is_written_by_many_tasks(spark, tmp_path):
+    s = spark.range(4000).selectExpr("'a' AS stream", "'x' AS etype", "id AS t", "id AS eid")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        T.save_stream(s, f"{tmp_path}/p")
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
+    files = list((tmp_path / "p" / "day=0").glob("*.parquet"))
+    assert len(files) > 1 and T.read_spikes(spark, f"{tmp_path}/p").count() == 4000
+
+
 def test_ticks_do_not_depend_on_the_zone(spark):
     df = spark.sql("SELECT timestamp_ntz'2024-01-01 00:00:01' AS ts, 1 AS id, 'x' AS e")
     spec = T.EventStreamSpec("'a'", "e", "ts", "id")
