@@ -148,6 +148,22 @@ def test_online_orders_equal_batch_counts_and_late_rows_are_counted(spark, tmp_p
     assert online.late_rows(q) == 1
 
 
+def test_triggers_modes_and_sinks(spark, tmp_path):
+    rows = [("a", x, 1_700_000_000_000_000 + 60_000_000 * t, t) for t, x in enumerate("ABAB")]
+    s = spark.createDataFrame(rows, "stream string, etype string, t long, eid long").withColumn("ts", F.timestamp_micros("t"))
+    s.coalesce(1).write.parquet(f"{tmp_path}/in")
+    live = online.rates(spark.readStream.schema(s.schema).parquet(f"{tmp_path}/in"), "2 minutes")
+    for mode, sink in (("update", "memory"), ("complete", "memory"), ("complete", "console")):
+        q = live.writeStream.outputMode(mode).format(sink).queryName(f"sink_{mode}_{sink}").option("checkpointLocation", f"{tmp_path}/{mode}-{sink}").trigger(processingTime="1 second").start()
+        try:
+            q.processAllAvailable()
+            assert q.exception() is None
+            if sink == "memory":
+                assert sum(r["count"] for r in spark.table(f"sink_{mode}_{sink}").collect()) == 4
+        finally:
+            q.stop()
+
+
 def test_spikes_as_a_stream_equal_the_batch(spark):
     batch = own.QUERIES["spike_source"](spark, SF).collect()
     assert sorted(map(tuple, own.QUERIES["spike_stream"](spark, SF).collect())) == sorted(map(tuple, batch)) and batch
