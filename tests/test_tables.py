@@ -17,3 +17,9 @@ def made(spark, tmp_path_factory):
 
 def test_combinations_follow_the_types(spark, made):
     assert sorted(map(tuple, own.QUERIES["combinations_by_size"](spark, made).collect())) == [(k, 2**k) for k in range(1, 7)]
+
+
+def test_parameters_follow_the_rates(spark, made):
+    rows = {int(r["unit"]): r for r in own.QUERIES["rate_parameters"](spark, made).collect()}
+    assert len(rows) == 26
+    assert all(rows[k]["lam"] > 2 * rows[1]["lam"] and rows[k]["displacement"] < rows[1]["displacement"] for k in range(0, 26, 2))
