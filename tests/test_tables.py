@@ -23,3 +23,11 @@ def test_parameters_follow_the_rates(spark, made):
     rows = {int(r["unit"]): r for r in own.QUERIES["rate_parameters"](spark, made).collect()}
     assert len(rows) == 26
     assert all(rows[k]["lam"] > 2 * rows[1]["lam"] and rows[k]["displacement"] < rows[1]["displacement"] for k in range(0, 26, 2))
+
+
+def test_simulated_units_fire_at_the_rates_of_the_events(spark, made):
+    n = {}
+    for r in own.QUERIES["spike_source"](spark, made).collect():
+        n[int(r["etype"])] = n.get(int(r["etype"]), 0) + r["n"]
+    even, odd = (sum(n.get(k, 0) for k in range(4 + p, 26, 2)) for p in (0, 1))
+    assert even > 2 * odd > 0
