@@ -159,12 +159,12 @@ def null_stream(spark: SparkSession, model: str, n_channels: int, seconds: float
     return rows.select(F.col("d").cast("string").alias("stream"), ch.cast("string").alias("etype"), t.alias("t"), (F.col("k").cast("long") * n_channels + ch).alias("eid"))
 
 
-def null_networks(spark: SparkSession, n: int, c: float, seconds: float, n_datasets: int, seed: int) -> DataFrame:
-    """Random weights without strong ones, another network for each data set."""
+def null_networks(spark: SparkSession, n: int, c: float, seconds: float, n_datasets: int, seed: int, own: dict[int, float] | None = None) -> DataFrame:
+    """Random weights without strong ones, another network for each data set; own: rates of units."""
 
     def kernel(pdf: pd.DataFrame) -> pd.DataFrame:
         k = int(pdf["id"].iloc[0])
-        units, times = _fire(Network(n, random_network(n, 2, c, seed + k)), seconds, seed * 7919 + k)
+        units, times = _fire(Network(n, random_network(n, 2, c, seed + k), dict(own or {})), seconds, seed * 7919 + k)
         order = np.argsort(times, kind="stable")
         return pd.DataFrame({"stream": str(k), "etype": [str(u) for u in units[order]], "t": (times[order] * TICKS).astype(np.int64), "eid": np.arange(len(order))})
 
