@@ -112,6 +112,26 @@ def peel_similarity(sets: DataFrame, n: int, pairs: DataFrame | None = None, mul
     return total.groupBy("a", "b").agg(F.sum("v").alias("sim"))
 
 
+def peel_lists(lists: DataFrame, n: int, pairs: DataFrame | None = None) -> DataFrame:
+    """What `peel_similarity` gives for sets of episodes, for short ones that a row can hold: a row a pair, no join of episodes.
+
+    lists: (slice, sets array<array<string>>) of episodes of size n; pairs: (a, b), else all. A side without a list has none.
+    """
+    left, right = (lists.select(F.col("slice").alias(x), F.array_distinct("sets").alias(f"_{x}")) for x in "ab")
+    if pairs is None:
+        rows = left.crossJoin(F.broadcast(right))
+    else:
+        rows = pairs.join(left, "a", "left").join(right, "b", "left")
+    none, total = F.array().cast("array<array<string>>"), F.lit(0).cast("bigint")
+    rows = rows.select("a", "b", *[F.coalesce(f"_{x}", none).alias(f"_{x}") for x in "ab"], total.alias("sim"))
+    for i in range(n, 0, -1):
+        rows = rows.withColumn("_c", F.array_intersect("_a", "_b")).withColumn("sim", F.col("sim") + F.size("_c").cast("bigint") * (1 << i))
+        if i > 1:
+            halves = lambda e: F.array(F.slice(e, 1, i - 1), F.slice(e, 2, i - 1))  # noqa: B023, E731
+            rows = rows.withColumns({x: F.array_distinct(F.flatten(F.transform(F.array_except(x, "_c"), halves))) for x in ("_a", "_b")})
+    return rows.select("a", "b", "sim")
+
+
 def top_by_slice(counts: DataFrame, q: int) -> DataFrame:
     """counts: (slice, ep_id, freq, ...). The q most frequent of each slice; ties: the smaller ep_id."""
     order = W.partitionBy("slice").orderBy(F.desc("freq"), "ep_id")
